@@ -1,20 +1,23 @@
 """Line dedup: fuzzy lines by MinHash, in DataFrame functions alone.
 
 Lines are compared without the blanks around them. Equal lines form one class first, with
-map-side minima, and go on as their first occurrence. Signatures: character shingles of
-``SHINGLE`` code points taken where a word starts (a place that depends on the text only, so the
-sample of a line's shingles keeps the share two lines have in common; scripts without
-blanks start a shingle at every character), hashed once and minimised under ``BANDS * ROWS``
-xor permutations. Banding: each band of ROWS minima is a bucket. In a bucket a line is
-paired with the bucket's least line and with the one before it, so pairs are linear in lines.
-Verification: exact Jaccard of the full sets of ``EXACT`` character shingles, at least
-``THRESHOLD`` percent. Distributed union-find joins verified pairs; each component keeps the
-first occurrence of its least line.
-
-Defined results: null texts have no line; a line without a character other than blanks is
-kept and in no class; lines shorter than a shingle are one shingle; repeated rows (same
-doc_id, same text) are one document and share the decisions; of different texts with one doc_id each line number counts once
-a text. Extra columns are kept by ``dedup_lines`` and clash with nothing (internal names start with _cg).
+map-side minima, and go on as one occurrence.
+
+Character shingles: a line of under ``SHORT`` code points (or with hardly any blank) has all
+runs of ``RUN`` code points; a longer one the first ``START`` code points at each word's
+start (the word, a blank, the next word), a choice of places that depends on the text
+alone. Lines of nearly the limit's length get both sets, so that no similar pair falls between.
+Signatures: shingles are hashed once and minimised under ``BANDS * ROWS`` xor permutations.
+Banding: each band of ROWS minima is a bucket; in a bucket a line is paired with
+the bucket's least line and with the one before it, so pairs are linear in lines.
+Verification: exact Jaccard of the full shingle sets, at least ``THRESHOLD`` percent. Distributed
+union-find joins verified pairs; each component keeps its first occurrence.
+
+Defined results: null texts have no line; a line without a sign other than blanks is kept and
+in no class; lines shorter than a shingle are one shingle; repeated rows (same doc_id, same
+text) are one document and share the decisions, as do lines of equal number and content in
+different texts of one doc_id; lines of rows without an id come after all others. Extra columns are
+kept by ``dedup_lines`` and clash with nothing (internal names start with _cg).
 """
 
 from __future__ import annotations
@@ -25,31 +28,36 @@ from pyspark.sql import Window
 
 from critgraph.runtime import components, materialise
 
-SHINGLE, EXACT = 8, 5
-BANDS, ROWS = 12, 4
+RUN, START = 5, 10
+SHORT = 125
+BANDS, ROWS = 10, 4
 THRESHOLD = 80
-#: A shingle starts after each sign that is no ASCII letter or digit, and after some rare letters (for unbroken text).
-ANCHOR = r"(?s)(?<![A-Za-z0-9&&[^jqx]])(?=(.{1,%d}))" % SHINGLE
+#: Lines with this many shingles or more minimise over the half of them whose hash is even. Even hashes come first in every
+#: permutation, so the minimum is the same as over all of them.
+THIN = 24
+BLANKS = " \t\r\x0b\x0c"
 
 
 def _lines(docs: DataFrame) -> DataFrame:
-    """One row per line with a sign: its occurrence (d, x, n), the trimmed line, 128 bits of hash.
+    """One row per line with a sign: d, x (text hash), n, the place in the order of occurrences, the trimmed line and its hash.
 
-    x holds the text's hash and, as its lowest bit, whether doc_id is null, so that no key is null.
+    ``occ`` orders occurrences by doc_id and line; rows without an id come last and are told apart by their text.
     """
-    null = F.col("doc_id").isNull()
-    x = F.shiftleft(F.xxhash64("text"), 1).bitwiseOR(null.cast("bigint"))
-    d = docs.select(F.coalesce("doc_id", F.lit(0)).cast("bigint").alias("d"), x.alias("x"), F.posexplode(F.split("text", "\n", -1)).alias("n", "l"))
-    d = d.select("d", "x", "n", F.trim(F.translate("l", "\t\r\x0b\x0c", "    ")).alias("line")).where("line <> ''")
-    return d.select("d", "x", "n", "line", F.xxhash64("line").alias("h1"), F.xxhash64(F.lit(17), "line").alias("h2"))
+    d = docs.select(F.col("doc_id").cast("bigint").alias("d"), F.xxhash64("text").alias("x"), F.posexplode(F.split("text", "\n", -1)).alias("n", "l"))
+    d = d.select("d", "x", "n", F.btrim("l", F.lit(BLANKS)).alias("line")).where("line <> ''")
+    big = F.coalesce(F.col("d").cast("decimal(20,0)"), F.expr("18446744073709551616BD") + F.col("x").cast("decimal(20,0)"))
+    return d.select("d", "x", "n", (big * F.lit(2**31).cast("decimal(10,0)") + F.col("n")).cast("decimal(32,0)").alias("occ"), "line", F.xxhash64("line").alias("h1"))
 
 
-def _doc(occurrence: str) -> Column:
-    return F.when(F.col(f"{occurrence}.x").bitwiseAND(F.lit(1)) == 0, F.col(f"{occurrence}.d"))
-
-
-def shingles(line: Column) -> Column:
-    return F.when(F.length(line) < EXACT, F.array(line)).otherwise(F.array_distinct(F.regexp_extract_all(line, F.lit(r"(?s)(?=(.{%d}))" % EXACT), F.lit(1))))
+def shingle_sets(line: Column) -> Column:
+    """array of (level, hashes): level 0 all runs of characters, level 1 runs at word starts."""
+    long = F.length(line)
+    words = F.split(line, " ", -1)
+    starts = F.transform(words, lambda w, i: F.xxhash64(F.substring(F.concat(w, F.lit(" "), F.coalesce(F.get(words, i + 1), F.lit(""))), 1, START)))
+    runs = F.transform(F.when(long < RUN, F.array(line)).otherwise(F.regexp_extract_all(line, F.lit(r"(?s)(?=(.{%d}))" % RUN), F.lit(1))), lambda s: F.xxhash64(s))
+    unbroken = long > 16 * F.size(words)
+    level = lambda k, h: F.struct(F.lit(k).alias("level"), h.alias("h"))
+    return F.array_compact(F.array(F.when((long < SHORT) | unbroken, level(0, runs)), F.when((long >= SHORT * THRESHOLD // 100) & ~unbroken, level(1, starts))))
 
 
 def _seeds() -> list[int]:
@@ -58,40 +66,49 @@ def _seeds() -> list[int]:
         x ^= (x << 13) & (2**64 - 1)
         x ^= x >> 7
         x ^= (x << 17) & (2**64 - 1)
-        out.append(x - 2**64 if x >= 2**63 else x)
+        out.append(x & (2**63 - 1))
     return out
 
 
 def line_classes(docs: DataFrame) -> DataFrame:
-    """(id, keeper): the line occurrence each line with a sign belongs to; keeper = id for those kept."""
+    """Per line with a sign: d, x, n, occ, and keeper: the occurrence its class keeps."""
     lines = _lines(docs)
-    me = F.struct("d", "x", "n")
-    reps = lines.groupBy("h1", "h2").agg(F.min(me).alias("rep"))
-    texts = lines.select("d", "x", "n", "line")
-    same = lambda p: (F.col("d") == F.col(f"{p}.d")) & (F.col("x") == F.col(f"{p}.x")) & (F.col("n") == F.col(f"{p}.n"))
-    first = texts.join(reps.select("rep"), same("rep"), "left_semi")
-    h = first.select("d", "x", "n", F.explode(F.regexp_extract_all("line", F.lit(ANCHOR), F.lit(1))).alias("s")).select("d", "x", "n", F.xxhash64("s").alias("h"))
-    mins = h.groupBy("d", "x", "n").agg(*(F.min(F.col("h").bitwiseXOR(F.lit(c))).alias(f"m{k}") for k, c in enumerate(_seeds())))
-    keys = F.array(*(F.xxhash64(F.lit(b), *(f"m{b * ROWS + r}" for r in range(ROWS))) for b in range(BANDS)))
-    bands = mins.select("d", "x", "n", F.explode(keys).alias("key"))
-    order = Window.partitionBy("key").orderBy("d", "x", "n")
-    bands = bands.select(me.alias("a"), F.first(me).over(order).alias("low"), F.lag(me).over(order).alias("prev"))
-    pairs = bands.where("prev is not null").select("a", F.explode(F.array("low", "prev")).alias("b")).distinct()
-    left = pairs.join(texts, same("b")).select("a", "b", F.col("line").alias("lb"))
-    sets = left.join(texts, same("a")).select("a", "b", shingles(F.col("line")).alias("sa"), shingles(F.col("lb")).alias("sb"))
+    ids = materialise(lines.select("d", "x", "n", "occ", "h1", F.xxhash64(F.lit(17), "line").alias("h2"), F.monotonically_increasing_id().alias("id")), "lines")
+    reps = ids.groupBy("h1", "h2").agg(F.min("occ").alias("occ"), F.min("id").alias("id"))
+    texts = lines.select("occ", "h1", "line")
+    first = texts.join(reps.select("occ", "h1", "id"), ["occ", "h1"])
+    a = first.select("occ", "h1", "id", F.explode(shingle_sets(F.col("line"))).alias("s"))
+    a = a.select("occ", "h1", "id", "s.level", (F.size("s.h") < THIN).alias("few"), F.explode("s.h").alias("h")).where("few or h % 2 = 0")
+    # even hashes get the sign bit, which the seeds leave alone: they come first
+    h = a.withColumn("h", F.when(F.col("h") % 2 == 0, F.col("h").bitwiseOR(F.lit(-(2**63)))).otherwise(F.col("h").bitwiseAND(F.lit(2**63 - 1))))
+    mins = h.groupBy("occ", "h1", "level").agg(F.min("id").alias("id"), *(F.min(F.col("h").bitwiseXOR(F.lit(c))).alias(f"m{k}") for k, c in enumerate(_seeds())))
+    keys = F.array(*(F.xxhash64("level", F.lit(b), *(f"m{b * ROWS + r}" for r in range(ROWS))) for b in range(BANDS)))
+    order = Window.partitionBy("key").orderBy("id")
+    bands = mins.select("id", F.explode(keys).alias("key")).select("id", F.first("id").over(order).alias("low"), F.lag("id").over(order).alias("prev"))
+    pairs = bands.where("prev is not null").select(F.col("id").alias("a"), F.explode(F.array("low", "prev")).alias("b")).where("a <> b").distinct()
+    at = reps.select("id", "occ", "h1")
+    left = pairs.join(at.withColumnRenamed("id", "b"), "b").join(texts, ["occ", "h1"]).select("a", "b", F.col("line").alias("lb"))
+    both = left.join(at.withColumnRenamed("id", "a"), "a").join(texts, ["occ", "h1"])
+    sets = both.select("a", "b", shingle_sets(F.col("line")).alias("sa"), shingle_sets(F.col("lb")).alias("sb"))
+    sets = sets.select("a", "b", F.explode("sa").alias("sa"), "sb").select("a", "b", "sa", F.explode("sb").alias("sb")).where("sa.level = sb.level")
+    sets = sets.select("a", "b", F.array_distinct("sa.h").alias("sa"), F.array_distinct("sb.h").alias("sb"))
     common = F.size(F.array_intersect("sa", "sb"))
     verified = sets.where(100 * common >= THRESHOLD * (F.size("sa") + F.size("sb") - common)).select("a", "b").distinct()
-    moved = components(verified).select(F.col("node").alias("rep"), F.col("component").alias("to"))
-    kept = reps.join(moved, "rep", "left").select("h1", "h2", F.coalesce("to", "rep").alias("keeper"))
-    return lines.select("h1", "h2", me.alias("id")).join(kept, ["h1", "h2"]).select("id", "keeper")
+    joined = components(verified).select(F.col("node").alias("id"), "component")
+    known = reps.join(joined, "id", "left").select("h1", "h2", "occ", F.coalesce("component", "id").alias("k"))
+    least = known.groupBy("k").agg(F.min("occ").alias("keeper"))
+    kept = known.join(least, "k").select("h1", "h2", "keeper")
+    return ids.select("d", "x", "n", "occ", "h1", "h2").join(kept, ["h1", "h2"]).select("d", "x", "n", "occ", "keeper")
 
 
 def deduplicated(docs: DataFrame) -> DataFrame:
     """Per line with a sign: doc_id, line_no, kept, class_doc_id, class_line_no."""
+    of, unit = F.col("keeper"), F.lit(2**31).cast("decimal(10,0)")
+    doc = F.floor(of / unit).cast("decimal(22,0)")
+    named = F.when(doc < F.expr("9223372036854775808BD"), doc.cast("bigint"))
     return line_classes(docs).select(
-        _doc("id").alias("doc_id"), F.col("id.n").alias("line_no"), (F.col("id") == F.col("keeper")).alias("kept"),
-        _doc("keeper").alias("class_doc_id"), F.col("keeper.n").alias("class_line_no"),
-    )
+        F.col("d").alias("doc_id"), F.col("n").alias("line_no"), (F.col("occ") == of).alias("kept"), named.alias("class_doc_id"), (of - doc * unit).cast("int").alias("class_line_no")
+    )
 
 
 def dedup_lines(docs: DataFrame) -> DataFrame:
@@ -99,14 +116,13 @@ def dedup_lines(docs: DataFrame) -> DataFrame:
 
     n_chars, where present, is set to the new length.
     """
-    gone = line_classes(docs).where("id <> keeper").groupBy(F.col("id.d").alias("_cg_d"), F.col("id.x").alias("_cg_x")).agg(F.collect_set("id.n").alias("_cg_gone"))
-    x = F.shiftleft(F.xxhash64(docs["text"]), 1).bitwiseOR(docs["doc_id"].isNull().cast("bigint"))
-    on = (F.coalesce(docs["doc_id"], F.lit(0)).cast("bigint") == gone["_cg_d"]) & (x == gone["_cg_x"])
+    gone = line_classes(docs).where("occ <> keeper").groupBy(F.coalesce("d", F.lit(0)).alias("_cg_d"), F.col("d").isNull().alias("_cg_z"), F.col("x").alias("_cg_x")).agg(F.collect_set("n").alias("_cg_gone"))
+    on = (F.coalesce(docs["doc_id"].cast("bigint"), F.lit(0)) == gone["_cg_d"]) & (docs["doc_id"].isNull() == gone["_cg_z"]) & (F.xxhash64(docs["text"]) == gone["_cg_x"])
     d = docs.join(gone, on, "left")
     parts = F.split("text", "\n", -1)
     left = F.array_except(F.sequence(F.lit(0), F.size(parts) - 1), F.col("_cg_gone"))
     text = F.array_join(F.transform(left, lambda i: F.get(F.col("_cg_parts"), i)), "\n")
     d = d.withColumn("_cg_parts", parts).withColumn("_cg_text", F.when(F.col("_cg_gone").isNull(), F.col("text")).otherwise(text))
-    d = d.where(F.col("_cg_gone").isNull() | (F.trim(F.translate("_cg_text", "\t\r\x0b\x0c\n", "     ")) != ""))
+    d = d.where(F.col("_cg_gone").isNull() | (F.btrim("_cg_text", F.lit(BLANKS + "\n")) != ""))
     cols = [F.col("_cg_text").alias("text") if c == "text" else (F.when(F.col("_cg_gone").isNull(), F.col("n_chars")).otherwise(F.length("_cg_text")).cast(docs.schema["n_chars"].dataType).alias("n_chars") if c == "n_chars" else docs[c]) for c in docs.columns]
     return d.select(*cols)
