@@ -17,7 +17,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from critgraph.llm.words import HASHES, rolling
+from critgraph.llm.words import rolling, word_hashes
 from critgraph.runtime import ship
 
 FIT_DOCS = 3000
@@ -25,6 +25,8 @@ FIT_DOCS = 3000
 FIT_LINES = 200
 MIN_SHARE = 0.5
 MIN_WORDS, WINDOW, REPEAT_PCT = 20, 8, 30
+#: Words of a line whose variety is measured: the share of distinct words falls with length, so lines are compared alike.
+DISTINCT_OF = 64
 SYMBOLS = b"#*$%&|<>"
 SPACES = b" \t\n\x0b\x0c\r"
 FEATURES = ("bias", "symbols", "digits", "distinct", "word_length", "short", "closed", "repeated")
@@ -34,23 +36,20 @@ PRIOR = ([1.5, -12.0, -3.0, 1.5, 0.0, -0.3, 0.5, -2.0], [[0.5, -0.5], [-0.5, 0.5
 
 def base_counts(text: bytes) -> tuple[int, int, int, int, int, list[bytes]]:
     """n_words, word_chars, n_symbols, n_dup_lines, n_repeat_words and the lines that have a word."""
-    words = text.split()
-    n = len(words)
+    hashes = word_hashes(text)
+    n = len(hashes)
     word_chars = len(text.translate(None, SPACES).decode("utf-8", "replace"))
     symbols = len(text) - len(text.translate(None, SYMBOLS))
-    lines = [x for x in text.split(b"\n") if x.strip(SPACES)]
+    lines = [x for x in text.split(b"\n") if x and x.strip(SPACES)]
     dup = len(lines) - len(set(lines))
     repeat = 0
-    if n > WINDOW and len(set(words)) < n:
-        h = rolling(np.fromiter(map(HASHES.__getitem__, words), np.uint64, n), WINDOW)
-        order = np.argsort(h, kind="stable")
-        same = h[order[1:]] == h[order[:-1]]
-        if same.any():
-            hit = np.zeros(len(h), bool)
-            hit[order[1:][same]] = True
-            hit[order[:-1][same]] = True
+    if n > WINDOW:
+        h = rolling(hashes, WINDOW)
+        s = np.sort(h)
+        again = s[1:][s[1:] == s[:-1]]
+        if len(again):
+            at = np.flatnonzero(np.isin(h, again))
             edge = np.zeros(n + 1, np.int32)
-            at = np.flatnonzero(hit)
             np.add.at(edge, at, 1)
             np.add.at(edge, at + WINDOW, -1)
             repeat = int((np.cumsum(edge[:n]) > 0).sum())
@@ -69,7 +68,7 @@ def line_features(lines: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
         w = x.split()
         n, size = len(w), len(x)
         rows.append((
-            1.0, (size - len(x.translate(None, SYMBOLS))) / size, (size - len(x.translate(None, b"0123456789"))) / size, len(set(w)) / n,
+            1.0, (size - len(x.translate(None, SYMBOLS))) / size, (size - len(x.translate(None, b"0123456789"))) / size, len(set(w[:DISTINCT_OF])) / min(n, DISTINCT_OF),
             min(size / n, 20) / 10, float(n < 4), float(x.rstrip(SPACES)[-1:] in b'.!?"'), float(x in seen),
         ))
         counts.append(n)

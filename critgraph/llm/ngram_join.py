@@ -24,11 +24,12 @@ from __future__ import annotations
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute  # noqa: F401
 import xxhash
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from critgraph.llm.words import hashed, rolling
+from critgraph.llm.words import distinct, rolling, word_hashes
 from critgraph.runtime import components, materialise, ship
 
 WORDS = 5
@@ -37,10 +38,12 @@ FRAGMENTS = 8
 BUCKETS = 1 << 17  # of the hashed count
 HOT_MOST = 1 << 16  # buckets that may come last
 BITS = 1024  # of a parity bitmap
+FILTER_BITS = 1 << 22  # of the filter of documents whose fragments are wanted
+FILTER_TASKS = 64  # that build it
 
 
 def shingle_set(text: bytes | None) -> np.ndarray:
-    return np.unique(rolling(hashed(text.lower().split()), WORDS)) if text else np.empty(0, np.uint64)
+    return distinct(rolling(word_hashes(text.lower()), WORDS)) if text else np.empty(0, np.uint64)
 
 
 def digest(s: np.ndarray) -> int:
@@ -125,11 +128,37 @@ def _prefixes(docs: DataFrame, hot) -> DataFrame:
     return _texts(docs).mapInArrow(run, "g bigint, c bigint, n int")
 
 
-def _fragments(texts: DataFrame, hot) -> DataFrame:
-    """(c, fragment, grams): the cut pieces of the ordered sets of these texts."""
+def _filter(ids: DataFrame) -> np.ndarray:
+    """A bitmap of FILTER_BITS over hashes of doc_id: of fixed size, with false members but no missing ones."""
+
+    def spread(batches):
+        bits = np.zeros(FILTER_BITS, bool)
+        for b in batches:
+            bits[_places(b.column(0).to_numpy(zero_copy_only=False))] = True
+        yield pa.record_batch([pa.array([np.packbits(bits).tobytes()], pa.binary())], names=["bits"])
+
+    out = np.zeros(FILTER_BITS // 8, np.uint8)
+    for r in ids.coalesce(FILTER_TASKS).mapInArrow(spread, "bits binary").toLocalIterator():
+        out |= np.frombuffer(r["bits"], np.uint8)
+    return np.unpackbits(out).astype(bool)
+
+
+def _places(ids: np.ndarray) -> np.ndarray:
+    h = ids.astype(np.int64).view(np.uint64) * np.uint64(0x9E3779B97F4A7C15)
+    return (h >> np.uint64(64 - FILTER_BITS.bit_length() + 1)).astype(np.int64)
+
+
+def _fragments(docs: DataFrame, ids: DataFrame, hot) -> DataFrame:
+    """(c, f, g): the cut pieces of the ordered sets of these documents, and of a few others that the filter lets through.
+
+    The texts stay where they are read: only the filter, of fixed size, goes to the tasks.
+    """
+    wanted = docs.sparkSession.sparkContext.broadcast(_filter(ids))
 
     def run(batches):
         for b in batches:
+            b = b.filter(pa.compute.is_valid(b.column(0)))
+            b = b.filter(pa.array(wanted.value[_places(b.column(0).to_numpy(zero_copy_only=False))]))
             c, f, g = [], [], []
             for t in b.column(1).to_pylist():
                 s = shingle_set(t)
@@ -145,7 +174,7 @@ def _fragments(texts: DataFrame, hot) -> DataFrame:
                         g.append(part.tobytes())
             yield pa.record_batch([pa.array(c, pa.int64()), pa.array(f, pa.int32()), pa.array(g, pa.binary())], names=["c", "f", "g"])
 
-    return texts.mapInArrow(run, "c bigint, f int, g binary")
+    return _texts(docs).mapInArrow(run, "c bigint, f int, g binary")
 
 
 def _bounded(pairs: DataFrame, summaries: DataFrame) -> DataFrame:
@@ -166,19 +195,19 @@ def _bounded(pairs: DataFrame, summaries: DataFrame) -> DataFrame:
 def _verified(docs: DataFrame, summaries: DataFrame, pairs: DataFrame, hot) -> DataFrame:
     """The pairs (a, b) that reach the threshold: overlaps counted by fragment, then summed."""
     pairs = materialise(pairs, "pairs")
-    need = pairs.select(F.col("a").alias("c")).union(pairs.select(F.col("b").alias("c"))).distinct()
-    one = summaries.where("c is not null and doc_id is not null").groupBy("c").agg(F.min("doc_id").alias("doc_id")).join(need, "c", "left_semi")
-    texts = _texts(docs).join(one.select("doc_id").distinct(), "doc_id", "left_semi")
-    fragments = materialise(_fragments(texts, hot).dropDuplicates(["c", "f"]), "fragments")
-    sides = pairs.join(fragments.select(F.col("c").alias("a"), "f", F.col("g").alias("ga")), "a")
-    sides = sides.join(fragments.select(F.col("c").alias("b"), "f", F.col("g").alias("gb")), ["b", "f"])
+    one = materialise(summaries.where("c is not null and doc_id is not null").groupBy("c").agg(F.min("doc_id").alias("doc_id")), "one")
+    side = lambda x: _fragments(docs, one.join(pairs.select(F.col(x).alias("c")).distinct(), "c", "left_semi").select("doc_id"), hot)
+    sides = side("b").select(F.col("c").alias("b"), "f", F.col("g").alias("gb")).join(pairs, "b")
+    sides = sides.join(side("a").select(F.col("c").alias("a"), "f", F.col("g").alias("ga")), ["a", "f"])
 
     def run(batches):
         for t in batches:
             k = [len(np.intersect1d(np.frombuffer(x, np.uint64), np.frombuffer(y, np.uint64), assume_unique=True)) for x, y in zip(t.column(4).to_pylist(), t.column(5).to_pylist())]
-            yield pa.record_batch([*(t.column(i) for i in range(4)), pa.array(k, pa.int64())], names=["a", "b", "na", "nb", "k"])
+            yield pa.record_batch([*(t.column(i) for i in range(4)), t.column(6), pa.array(k, pa.int64())], names=["a", "b", "na", "nb", "f", "k"])
 
-    partial = sides.select("a", "b", "na", "nb", "ga", "gb").mapInArrow(run, "a bigint, b bigint, na int, nb int, k bigint")
+    partial = sides.select("a", "b", "na", "nb", "ga", "gb", "f").mapInArrow(run, "a bigint, b bigint, na int, nb int, f int, k bigint")
+    # copies of a text give the same partial count more than once
+    partial = partial.groupBy("a", "b", "na", "nb", "f").agg(F.max("k").alias("k"))
     return partial.groupBy("a", "b", "na", "nb").agg(F.sum("k").alias("k")).where(100 * F.col("k") >= PCT * (F.col("na") + F.col("nb") - F.col("k"))).select("a", "b")
 
 
