@@ -53,7 +53,9 @@ def shingle_sets(line: Column) -> Column:
     """array of (level, hashes): level 0 all runs of characters, level 1 runs at word starts."""
     long = F.length(line)
     words = F.split(line, " ", -1)
-    starts = F.transform(words, lambda w, i: F.xxhash64(F.substring(F.concat(w, F.lit(" "), F.coalesce(F.get(words, i + 1), F.lit(""))), 1, START)))
+    # the two arrays are arguments, not part of the function, so they are made once a line
+    after = F.slice(words, F.lit(2), F.size(words))
+    starts = F.zip_with(words, after, lambda w, v: F.xxhash64(F.substring(F.concat(w, F.lit(" "), F.coalesce(v, F.lit(""))), 1, START)))
     runs = F.transform(F.when(long < RUN, F.array(line)).otherwise(F.regexp_extract_all(line, F.lit(r"(?s)(?=(.{%d}))" % RUN), F.lit(1))), lambda s: F.xxhash64(s))
     unbroken = long > 16 * F.size(words)
     level = lambda k, h: F.struct(F.lit(k).alias("level"), h.alias("h"))
@@ -77,20 +79,21 @@ def line_classes(docs: DataFrame) -> DataFrame:
     reps = ids.groupBy("h1", "h2").agg(F.min("occ").alias("occ"), F.min("id").alias("id"))
     texts = lines.select("occ", "h1", "line")
     first = texts.join(reps.select("occ", "h1", "id"), ["occ", "h1"])
-    a = first.select("occ", "h1", "id", F.explode(shingle_sets(F.col("line"))).alias("s"))
-    a = a.select("occ", "h1", "id", "s.level", (F.size("s.h") < THIN).alias("few"), F.explode("s.h").alias("h")).where("few or h % 2 = 0")
+    # explode_outer: no array is empty, and Spark infers no filter that would compute the arrays below the joins as well
+    a = first.select("occ", "h1", "id", F.explode_outer(shingle_sets(F.col("line"))).alias("s"))
+    a = a.select("occ", "h1", "id", "s.level", (F.size("s.h") < THIN).alias("few"), F.explode_outer("s.h").alias("h")).where("few or h % 2 = 0")
     # even hashes get the sign bit, which the seeds leave alone: they come first
     h = a.withColumn("h", F.when(F.col("h") % 2 == 0, F.col("h").bitwiseOR(F.lit(-(2**63)))).otherwise(F.col("h").bitwiseAND(F.lit(2**63 - 1))))
     mins = h.groupBy("occ", "h1", "level").agg(F.min("id").alias("id"), *(F.min(F.col("h").bitwiseXOR(F.lit(c))).alias(f"m{k}") for k, c in enumerate(_seeds())))
     keys = F.array(*(F.xxhash64("level", F.lit(b), *(f"m{b * ROWS + r}" for r in range(ROWS))) for b in range(BANDS)))
     order = Window.partitionBy("key").orderBy("id")
-    bands = mins.select("id", F.explode(keys).alias("key")).select("id", F.first("id").over(order).alias("low"), F.lag("id").over(order).alias("prev"))
+    bands = mins.select("id", F.explode_outer(keys).alias("key")).select("id", F.first("id").over(order).alias("low"), F.lag("id").over(order).alias("prev"))
     pairs = bands.where("prev is not null").select(F.col("id").alias("a"), F.explode(F.array("low", "prev")).alias("b")).where("a <> b").distinct()
     at = reps.select("id", "occ", "h1")
     left = pairs.join(at.withColumnRenamed("id", "b"), "b").join(texts, ["occ", "h1"]).select("a", "b", F.col("line").alias("lb"))
     both = left.join(at.withColumnRenamed("id", "a"), "a").join(texts, ["occ", "h1"])
     sets = both.select("a", "b", shingle_sets(F.col("line")).alias("sa"), shingle_sets(F.col("lb")).alias("sb"))
-    sets = sets.select("a", "b", F.explode("sa").alias("sa"), "sb").select("a", "b", "sa", F.explode("sb").alias("sb")).where("sa.level = sb.level")
+    sets = sets.select("a", "b", F.explode_outer("sa").alias("sa"), "sb").select("a", "b", "sa", F.explode_outer("sb").alias("sb")).where("sa.level = sb.level")
     sets = sets.select("a", "b", F.array_distinct("sa.h").alias("sa"), F.array_distinct("sb.h").alias("sb"))
     common = F.size(F.array_intersect("sa", "sb"))
     verified = sets.where(100 * common >= THRESHOLD * (F.size("sa") + F.size("sb") - common)).select("a", "b").distinct()
