@@ -37,7 +37,7 @@ PCT = 80
 FRAGMENTS = 8
 BUCKETS = 1 << 17  # of the hashed count
 HOT_MOST = 1 << 16  # buckets that may come last
-BITS = 1024  # of a parity bitmap
+BITS, BITS_MOST = 512, 1 << 20  # of a parity bitmap
 FILTER_BITS = 1 << 22  # of the filter of documents whose fragments are wanted
 FILTER_TASKS = 64  # that build it
 
@@ -51,10 +51,23 @@ def digest(s: np.ndarray) -> int:
 
 
 def parity(s: np.ndarray) -> bytes:
-    odd = np.bincount((s >> np.uint64(20)).astype(np.int64) & (BITS - 1), minlength=BITS) & 1
+    """Bitmap of the parities of the set's hashes: two to four bits an element, within limits."""
+    bits = min(max(1 << (2 * len(s) - 1).bit_length(), BITS), BITS_MOST)
+    odd = np.bincount((s >> np.uint64(20)).astype(np.int64) & (bits - 1), minlength=bits) & 1
     return np.packbits(odd.astype(np.uint8)).tobytes()
 
 
+def apart(x: bytes, y: bytes) -> int:
+    """A lower bound of the symmetric difference: unequal bits, the longer bitmap folded to the shorter one's length."""
+    p, q = np.frombuffer(x, np.uint8), np.frombuffer(y, np.uint8)
+    n = min(len(p), len(q))
+    if len(p) > n:
+        p = np.bitwise_xor.reduce(p.reshape(-1, n), 0)
+    elif len(q) > n:
+        q = np.bitwise_xor.reduce(q.reshape(-1, n), 0)
+    return int(np.bitwise_count(p ^ q).sum(dtype=np.int64))
+
+
 def prefix_length(n: int) -> int:
     return n - -(-PCT * n // 100) + 1
 
@@ -178,18 +191,18 @@ def _fragments(docs: DataFrame, ids: DataFrame, hot) -> DataFrame:
 
 
 def _bounded(pairs: DataFrame, summaries: DataFrame) -> DataFrame:
-    """The pairs (a, b, na, nb) that the parity bitmaps don't rule out."""
+    """The pairs (a, b, na, nb) that the parity bitmaps don't rule out, with ``far``, a bound of their distance."""
     maps = summaries.where("p is not null").groupBy("c").agg(F.first("p").alias("p"))
     p = pairs.join(maps.select(F.col("c").alias("a"), F.col("p").alias("pa")), "a").join(maps.select(F.col("c").alias("b"), F.col("p").alias("pb")), "b")
 
     def run(batches):
         for t in batches:
-            bits = [np.frombuffer(b"".join(t.column(k).to_pylist()), np.uint64).reshape(t.num_rows, BITS // 64) for k in (4, 5)]
-            apart = np.bitwise_count(bits[0] ^ bits[1]).sum(1, dtype=np.int64)
+            differ = np.array([apart(x, y) for x, y in zip(t.column(4).to_pylist(), t.column(5).to_pylist())], np.int64)
             both = t.column(2).to_numpy().astype(np.int64) + t.column(3).to_numpy()
-            yield t.select([0, 1, 2, 3]).filter(pa.array((100 + PCT) * (both - apart) >= 2 * PCT * both))
+            out = pa.record_batch([*(t.column(i) for i in range(4)), pa.array(differ / np.maximum(both, 1))], names=["a", "b", "na", "nb", "far"])
+            yield out.filter(pa.array((100 + PCT) * (both - differ) >= 2 * PCT * both))
 
-    return p.select("a", "b", "na", "nb", "pa", "pb").mapInArrow(run, "a bigint, b bigint, na int, nb int")
+    return p.select("a", "b", "na", "nb", "pa", "pb").mapInArrow(run, "a bigint, b bigint, na int, nb int, far double")
 
 
 def _verified(docs: DataFrame, summaries: DataFrame, pairs: DataFrame, hot) -> DataFrame:
@@ -225,14 +238,15 @@ def joined(docs: DataFrame) -> DataFrame:
     fits = lambda p, q: 100 * F.least(p, q) >= PCT * F.greatest(p, q)
     chain = lists.where("pc is not null").where(fits("n", "pn")).select(side("c", "pc").alias("a"), side("pc", "c").alias("b"), side("n", "pn").alias("na"), side("pn", "n").alias("nb"))
     chain = materialise(_bounded(chain.groupBy("a", "b", "na", "nb").count().drop("count"), summaries), "chain")
-    # first each class with its neighbour of least digest, then what is still apart
-    best = chain.groupBy("b").agg(F.min(F.struct("a", "na", "nb")).alias("s")).select("s.a", "b", "s.na", "s.nb")
+    # first each class with its likeliest partner, then what is still apart
+    ends = chain.select(F.col("a").alias("own"), "*").union(chain.select(F.col("b").alias("own"), "*"))
+    best = ends.groupBy("own").agg(F.min(F.struct("far", "a", "b", "na", "nb")).alias("s")).select("s.a", "s.b", "s.na", "s.nb").distinct()
     edges = materialise(_verified(docs, summaries, best, hot), "edges")
     parts = materialise(components(edges), "parts")
     placed = lists.join(parts.withColumnRenamed("node", "c"), "c", "left").select("g", "c", "n", F.coalesce("component", "c").alias("k"))
     other = placed.select("g", F.col("c").alias("b"), F.col("n").alias("nb"), F.col("k").alias("kb"))
     across = placed.join(other, "g").where("c < b and k <> kb").where(fits("n", "nb")).select(F.col("c").alias("a"), "b", F.col("n").alias("na"), "nb").distinct()
-    more = materialise(_verified(docs, summaries, _bounded(across, summaries), hot), "edges")
+    more = materialise(_verified(docs, summaries, _bounded(across, summaries).drop("far"), hot), "edges")
     every = components(edges.union(more))
     named = rows.where("n > 0 and doc_id is not null").groupBy("c").agg(F.min("doc_id").alias("least"))
     named = named.join(every.withColumnRenamed("node", "c"), "c", "left").withColumn("k", F.coalesce("component", "c"))
