@@ -188,7 +188,8 @@ def packed(docs: DataFrame, tokenizer: str, window: int = WINDOW, step: int = ST
     """Per piece: doc_id, start, length, ids_crc32, doc_tokens, sequence_id, offset."""
     spark = docs.sparkSession
     classes = window // step
-    cut = pieces(docs, tokenizer, window).withColumn("_c", F.ceil(F.col("length") / step).cast("int"))
+    # written first: range partitioning samples its input, which would encode every text twice
+    cut = materialise(pieces(docs, tokenizer, window), "cut").withColumn("_c", F.ceil(F.col("length") / step).cast("int"))
     order = ["_c", "doc_id", "start", "length", "ids_crc32", "doc_tokens"]
     placed = ranked(cut, order, "_r")
     placed = materialise(placed, "pieces")
