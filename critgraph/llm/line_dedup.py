@@ -49,10 +49,14 @@ def _lines(docs: DataFrame) -> DataFrame:
     return d.select("d", "x", "n", (big * F.lit(2**31).cast("decimal(10,0)") + F.col("n")).cast("decimal(32,0)").alias("occ"), "line", F.xxhash64("line").alias("h1"))
 
 
-def shingle_sets(line: Column) -> Column:
+def with_words(d: DataFrame, line: str, words: str) -> DataFrame:
+    """The words of a line as a column of their own: what several expressions use is split once."""
+    return d.withColumn(words, F.split(line, " ", -1))
+
+
+def shingle_sets(line: Column, words: Column) -> Column:
     """array of (level, hashes): level 0 all runs of characters, level 1 runs at word starts."""
     long = F.length(line)
-    words = F.split(line, " ", -1)
     # the two arrays are arguments, not part of the function, so they are made once a line
     after = F.slice(words, F.lit(2), F.size(words))
     starts = F.zip_with(words, after, lambda w, v: F.xxhash64(F.substring(F.concat(w, F.lit(" "), F.coalesce(v, F.lit(""))), 1, START)))
@@ -80,7 +84,7 @@ def line_classes(docs: DataFrame) -> DataFrame:
     texts = lines.select("occ", "h1", "line")
     first = texts.join(reps.select("occ", "h1", "id"), ["occ", "h1"])
     # explode_outer: no array is empty, and Spark infers no filter that would compute the arrays below the joins as well
-    a = first.select("occ", "h1", "id", F.explode_outer(shingle_sets(F.col("line"))).alias("s"))
+    a = with_words(first, "line", "w").select("occ", "h1", "id", F.explode_outer(shingle_sets(F.col("line"), F.col("w"))).alias("s"))
     a = a.select("occ", "h1", "id", "s.level", (F.size("s.h") < THIN).alias("few"), F.explode_outer("s.h").alias("h")).where("few or h % 2 = 0")
     # even hashes get the sign bit, which the seeds leave alone: they come first
     h = a.withColumn("h", F.when(F.col("h") % 2 == 0, F.col("h").bitwiseOR(F.lit(-(2**63)))).otherwise(F.col("h").bitwiseAND(F.lit(2**63 - 1))))
@@ -92,7 +96,8 @@ def line_classes(docs: DataFrame) -> DataFrame:
     at = reps.select("id", "occ", "h1")
     left = pairs.join(at.withColumnRenamed("id", "b"), "b").join(texts, ["occ", "h1"]).select("a", "b", F.col("line").alias("lb"))
     both = left.join(at.withColumnRenamed("id", "a"), "a").join(texts, ["occ", "h1"])
-    sets = both.select("a", "b", shingle_sets(F.col("line")).alias("sa"), shingle_sets(F.col("lb")).alias("sb"))
+    both = with_words(with_words(both, "line", "wa"), "lb", "wb")
+    sets = both.select("a", "b", shingle_sets(F.col("line"), F.col("wa")).alias("sa"), shingle_sets(F.col("lb"), F.col("wb")).alias("sb"))
     sets = sets.select("a", "b", F.explode_outer("sa").alias("sa"), "sb").select("a", "b", "sa", F.explode_outer("sb").alias("sb")).where("sa.level = sb.level")
     sets = sets.select("a", "b", F.array_distinct("sa.h").alias("sa"), F.array_distinct("sb.h").alias("sb"))
     common = F.size(F.array_intersect("sa", "sb"))
