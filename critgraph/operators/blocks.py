@@ -18,7 +18,10 @@ MOST = 128  # instructions of a block
 TARGETS = 2  # consumers an instruction can name
 HEADER = 4  # bytes
 FORMATS = ("4seg", "2seg", "contiguous", "contiguous+1")
-_IN = Window.partitionBy("program_id", "block_no").orderBy("slot")
+
+
+def _within():
+    return Window.partitionBy("program_id", "block_no").orderBy("slot")
 
 
 def sizes(trace: DataFrame) -> DataFrame:
@@ -87,9 +90,9 @@ def _fields(trace: DataFrame) -> DataFrame:
 
 def decode_delay(trace: DataFrame, per_cycle: int = P_EDGE["bytes_per_cycle"]) -> DataFrame:
     """(program_id, block_no, slot, format, delay): the cycle in which an instruction's bytes have arrived, by encoding."""
-    upto = _IN.rowsBetween(Window.unboundedPreceding, 0)
+    upto = _within().rowsBetween(Window.unboundedPreceding, 0)
     whole = Window.partitionBy("program_id", "block_no")
-    d = _fields(trace).withColumns({"i": F.row_number().over(_IN), "cnt": F.count(F.lit(1)).over(whole)})
+    d = _fields(trace).withColumns({"i": F.row_number().over(_within()), "cnt": F.count(F.lit(1)).over(whole)})
     for c in ("t", "o", "v"):
         d = d.withColumns({f"c{c}": F.sum(c).over(upto), f"s{c}": F.sum(c).over(whole)})
     up = lambda e: F.expr(f"cast(({e} + {per_cycle - 1}) div {per_cycle} as int)")

@@ -17,7 +17,8 @@ from critgraph import schemas
 from critgraph.configs import Machine
 from critgraph.runtime import materialise, ship
 
-_BY = Window.partitionBy("program_id").orderBy("seq")
+def _by_seq():
+    return Window.partitionBy("program_id").orderBy("seq")
 
 
 def latency(m: Machine) -> Column:
@@ -73,20 +74,20 @@ def pipeline(trace: DataFrame, m: Machine) -> DataFrame:
 
 def control(trace: DataFrame, m: Machine) -> DataFrame:
     """Front-end chain; after a mispredicted branch, its execution in place of its fetch."""
-    miss = F.lag("mispredicted").over(_BY) if not m.ideal_branch else F.lit(False)
-    d = trace.withColumns({"_p": F.lag("seq").over(_BY), "_m": F.coalesce(miss, F.lit(False)), "_x": F.lag(latency(m)).over(_BY)})
+    miss = F.lag("mispredicted").over(_by_seq()) if not m.ideal_branch else F.lit(False)
+    d = trace.withColumns({"_p": F.lag("seq").over(_by_seq()), "_m": F.coalesce(miss, F.lit(False)), "_x": F.lag(latency(m)).over(_by_seq())})
     right = _edge(d.where("not _m"), F.col("_p"), "F", "F", "fetch", fetch_cycles(m))
     return right.unionByName(_edge(d.where("_m"), F.col("_p"), "E", "F", "control", F.col("_x") + m.penalty + fetch_cycles(m)))
 
 
 def chain(trace: DataFrame, stage: str, kind: str, width: int | None) -> DataFrame:
     """Program order of a stage (lag 0) and its bandwidth (lag 1 over ``width`` instructions)."""
-    out = _edge(trace.withColumn("_p", F.lag("seq").over(_BY)), F.col("_p"), stage, stage, kind, F.lit(0))
+    out = _edge(trace.withColumn("_p", F.lag("seq").over(_by_seq())), F.col("_p"), stage, stage, kind, F.lit(0))
     return out if width is None else out.unionByName(width_edges(trace, stage, f"{kind}_bw", width))
 
 
 def width_edges(trace: DataFrame, stage: str, kind: str, width: int) -> DataFrame:
-    return _edge(trace.withColumn("_p", F.lag("seq", width).over(_BY)), F.col("_p"), stage, stage, kind, F.lit(1))
+    return _edge(trace.withColumn("_p", F.lag("seq", width).over(_by_seq())), F.col("_p"), stage, stage, kind, F.lit(1))
 
 
 def last_writers(trace: DataFrame) -> DataFrame:
@@ -137,13 +138,13 @@ def queues(trace: DataFrame, m: Machine) -> DataFrame:
     parts = []
     for size, ops in ((m.lsq, ("LOAD", "STORE")), (m.lq, ("LOAD",)), (m.sq, ("STORE",))):
         if size:
-            d = trace.where(F.col("op_class").isin(*ops)).withColumn("_p", F.lag("seq", size).over(_BY))
+            d = trace.where(F.col("op_class").isin(*ops)).withColumn("_p", F.lag("seq", size).over(_by_seq()))
             parts.append(_edge(d, F.col("_p"), "C", to, "queue", F.lit(0)))
     return reduce(DataFrame.unionByName, parts) if parts else _edge(trace.limit(0), F.col("seq"), "C", to, "queue", F.lit(0))
 
 
 def reorder_buffer(trace: DataFrame, m: Machine) -> DataFrame:
-    return _edge(trace.withColumn("_p", F.lag("seq", m.rob).over(_BY)), F.col("_p"), "C", "D", "rob", F.lit(0))
+    return _edge(trace.withColumn("_p", F.lag("seq", m.rob).over(_by_seq())), F.col("_p"), "C", "D", "rob", F.lit(0))
 
 
 def issue_in_order(ranked: DataFrame, m: Machine) -> DataFrame:
@@ -160,7 +161,7 @@ def issue_rank(trace: DataFrame, lengths: DataFrame) -> DataFrame:
 
 def mshr(trace: DataFrame, k: int, miss_above: int = 2, busy: int = 5) -> DataFrame:
     """Miss registers: the request of the k-th previous miss must have left its register."""
-    d = trace.where((F.col("op_class") == "LOAD") & (F.col("dmem_cycles") > miss_above)).withColumn("_p", F.lag("seq", k).over(_BY))
+    d = trace.where((F.col("op_class") == "LOAD") & (F.col("dmem_cycles") > miss_above)).withColumn("_p", F.lag("seq", k).over(_by_seq()))
     return _edge(d, F.col("_p"), "MS", "MS", "mshr", F.lit(busy))
 
 
@@ -209,6 +210,7 @@ def merge_lanes(edges: DataFrame) -> DataFrame:
 
 def validate(edges: DataFrame, verts: DataFrame | None = None) -> DataFrame:
     """(problem, n): negative weights, self-loops, missing end points, edges on or behind a cycle."""
+    edges = materialise(edges.select(*ENDS, "w"), "edges")  # read several times below
     problems = [edges.where("w < 0").select(F.lit("negative").alias("problem")), edges.where("src_seq = dst_seq and src_stage = dst_stage").select(F.lit("self-loop").alias("problem"))]
     if verts is not None:
         v = verts.select("program_id", "seq", "stage")
@@ -276,6 +278,7 @@ def topological(table) -> dict[tuple[int, str], int]:
 
 def relax(edges: DataFrame, rounds: int = 200) -> DataFrame:
     """As longest, by joins alone, for graphs of small depth: each round extends all paths by an edge."""
+    edges = materialise(edges.select(*ENDS, "w"), "edges")  # read in every round
     src = edges.select("program_id", F.col("src_seq").alias("seq"), F.col("src_stage").alias("stage"))
     dst = edges.select("program_id", F.col("dst_seq").alias("seq"), F.col("dst_stage").alias("stage"))
     at = materialise(src.union(dst).distinct().withColumn("cp", F.lit(0).cast("bigint")), "relax")
@@ -349,7 +352,7 @@ def fuse(edges: DataFrame, pairs: DataFrame, cycles: int) -> DataFrame:
 def fusible_pairs(trace: DataFrame) -> DataFrame:
     """(program_id, first, second): adjacent multiply and add, the product read by no other instruction."""
     readers = last_writers(trace).groupBy("program_id", "src_seq").agg(F.count(F.lit(1)).alias("k"), F.min("seq").alias("second"))
-    d = trace.select("program_id", F.col("seq").alias("second"), F.col("op_class").alias("b"), F.lag("op_class").over(_BY).alias("a"), F.lag("seq").over(_BY).alias("first"))
+    d = trace.select("program_id", F.col("seq").alias("second"), F.col("op_class").alias("b"), F.lag("op_class").over(_by_seq()).alias("a"), F.lag("seq").over(_by_seq()).alias("first"))
     adds = ((F.col("a") == "INT_MUL") & (F.col("b") == "INT_ALU")) | ((F.col("a") == "FP_MUL") & (F.col("b") == "FP_ALU"))
     one = readers.where("k = 1").select("program_id", F.col("src_seq").alias("first"), "second")
     return d.where(adds).join(one, ["program_id", "first", "second"]).select("program_id", "first", "second")
@@ -371,7 +374,7 @@ def crack(trace: DataFrame, condition: Column) -> DataFrame:
 def frontend_closed_form(trace: DataFrame) -> DataFrame:
     """(program_id, seq, cp) of fetch without mispredictions and with no width: a running sum, no kernel."""
     f = F.when(F.col("seq") > 0, F.col("imem_cycles")).otherwise(0)
-    return trace.select("program_id", "seq", F.sum(f).over(_BY.rowsBetween(Window.unboundedPreceding, 0)).cast("bigint").alias("cp"))
+    return trace.select("program_id", "seq", F.sum(f).over(_by_seq().rowsBetween(Window.unboundedPreceding, 0)).cast("bigint").alias("cp"))
 
 
 def commit_closed_form(ready: DataFrame, width: int) -> DataFrame:
@@ -380,7 +383,7 @@ def commit_closed_form(ready: DataFrame, width: int) -> DataFrame:
     A run of commits ending at n, started by a ready instruction j, takes (n - j) div b cycles at least. In each residue of
     seq modulo b that is a running maximum of ready - seq div b; in-order commit takes the running maximum first.
     """
-    d = ready.withColumn("_r", F.max("ready").over(_BY.rowsBetween(Window.unboundedPreceding, 0)))
+    d = ready.withColumn("_r", F.max("ready").over(_by_seq().rowsBetween(Window.unboundedPreceding, 0)))
     lane = Window.partitionBy("program_id", F.col("seq") % width).orderBy("seq").rowsBetween(Window.unboundedPreceding, 0)
     turn = F.expr(f"seq div {width}")
     return d.select("program_id", "seq", (F.max(F.col("_r") - turn).over(lane) + turn).cast("bigint").alias("cp"))

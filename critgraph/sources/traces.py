@@ -56,13 +56,13 @@ def from_lineitem(spark: SparkSession, sf_dir: str, distributed: bool = False) -
     """
     d = lineitem_rows(spark, sf_dir)
     if distributed:
-        d = ranked(d, ["program_id", *ORDER], "_at")
-        d = ranked(d.where("not wrong_path"), ["_at"], "_k")
-        first = d.groupBy("program_id").agg(F.min("_k").alias("_k0"), F.min("_at").alias("_a0"))
-        start = ranked(lineitem_rows(spark, sf_dir).select("program_id", *ORDER), ["program_id", *ORDER], "_at").groupBy("program_id").agg(F.min("_at").alias("_start"))
+        d = ranked(d, ["program_id", *ORDER], "_pos")
+        d = ranked(d.where("not wrong_path"), ["_pos"], "_k")
+        first = d.groupBy("program_id").agg(F.min("_k").alias("_k0"), F.min("_pos").alias("_p0"))
+        start = ranked(lineitem_rows(spark, sf_dir).select("program_id", *ORDER), ["program_id", *ORDER], "_pos").groupBy("program_id").agg(F.min("_pos").alias("_start"))
         d = d.join(first, "program_id").join(start, "program_id")
         # rows and correct rows before this one within the program differ by the wrong-path rows before it
-        d = d.withColumns({"seq": F.col("_k") - F.col("_k0"), "_w": (F.col("_at") - F.col("_start")) - (F.col("_k") - F.col("_k0"))})
+        d = d.withColumns({"seq": F.col("_k") - F.col("_k0"), "_w": (F.col("_pos") - F.col("_start")) - (F.col("_k") - F.col("_k0"))})
     else:
         order = Window.partitionBy("program_id").orderBy(*ORDER)
         so_far = order.rowsBetween(Window.unboundedPreceding, Window.currentRow)

@@ -22,7 +22,8 @@ OUT = "program_id int, cycles bigint, instrs bigint, late bigint, last_event big
 def events_stream(spark: SparkSession, sf_dir: str, files_per_trigger: int = 1) -> DataFrame:
     """The events table as a stream (its schema is taken from the batch table, never inferred from data)."""
     schema = spark.read.parquet(f"{sf_dir}/events.parquet").schema
-    return spark.readStream.schema(schema).option("maxFilesPerTrigger", files_per_trigger).parquet(f"{sf_dir}/events.parquet*")
+    stream = spark.readStream.schema(schema).option("maxFilesPerTrigger", files_per_trigger).parquet(f"{sf_dir}/event[s].parquet")
+    return stream.withColumn("ts", F.col("ts").cast("timestamp"))  # watermarks need an instant
 
 
 def sweep_stream(events: DataFrame, m: Machine = P_INO, idle: str = "10 minutes") -> DataFrame:
