@@ -99,6 +99,8 @@ def ranked(df: DataFrame, order: list[str], name: str) -> DataFrame:
 def components(edges: DataFrame, rounds: int = 60) -> DataFrame:
     """Connected components of ``edges`` (a, b): rows (node, component), component = least node of it.
 
+    Least nodes themselves, and nodes without an edge to another, have no row.
+
     Alternates large-star and small-star rewiring until the edges no longer change; each
     round's edges are written to the shared folder. Stars are found with map-side
     minima and joined back, so a node with very many neighbours is split by AQE.
@@ -113,7 +115,7 @@ def components(edges: DataFrame, rounds: int = 60) -> DataFrame:
     for _ in range(rounds):
         if was[0] == 0:
             break
-        both = e.union(e.select(F.col("a").alias("b"), F.col("b").alias("a"))).select("a", "b")
+        both = e.select("a", "b").union(e.select(F.col("b").alias("a"), F.col("a").alias("b")))
         low = both.groupBy("a").agg(F.min("b").alias("m")).select("a", F.least("a", "m").alias("m"))
         large = both.join(low, "a").where("b > a").select(F.col("b").alias("a"), F.col("m").alias("b"))
         large = large.where("a <> b").distinct()
