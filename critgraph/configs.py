@@ -31,6 +31,7 @@ class Machine:
     units: dict[str, int] = field(default_factory=dict)
     unit_of: dict[str, str] = field(default_factory=dict)
     depth: dict[str, int] = field(default_factory=dict)
+    fu_policy: str = "lru"  # lru | earliest: the unit used longest ago, or the one free first
     latency: dict[str, int] = field(default_factory=lambda: dict(LATENCY))
     blocking: frozenset[str] = BLOCKING
     decode: int = 1
@@ -75,7 +76,7 @@ class Machine:
 
     def structure(self) -> tuple:
         """What lanes of one vector run must share."""
-        return (self.core, self.fbw, self.dbw, self.ibw, self.cbw, self.rob, self.iq, self.lq, self.sq, self.lsq, tuple(sorted(self.units.items())), tuple(sorted(self.unit_of.items())), tuple(sorted(self.depth.items())), self.window, self.active)
+        return (self.core, self.fbw, self.dbw, self.ibw, self.cbw, self.rob, self.iq, self.lq, self.sq, self.lsq, tuple(sorted(self.units.items())), tuple(sorted(self.unit_of.items())), tuple(sorted(self.depth.items())), self.fu_policy, self.window, self.active)
 
     def tables(self) -> tuple[list[int], list[bool], list[str | None]]:
         """By operation code: latency, blocking?, unit class."""

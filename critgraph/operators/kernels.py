@@ -90,6 +90,7 @@ def inorder(p: Program) -> tuple[list[int], list[int], list[int]]:
     depth = {u: deque(maxlen=k) for u, k in m.depth.items()}
     p.dep = dep = [-1] * n
     ordered = m.ibw is not None
+    earliest = m.fu_policy == "earliest"
     for i in range(n):
         if i:
             t = (E[i - 1] + x[i - 1] + pen if miss[i - 1] else F[i - 1]) + f[i]
@@ -116,6 +117,8 @@ def inorder(p: Program) -> tuple[list[int], list[int], list[int]]:
         if u is not None:
             r = rings[u]
             if len(r) == r.maxlen:
+                if earliest:
+                    first_free(r, E, occ)
                 fu[i] = w = r[0]
                 if E[w] + occ[w] > t:
                     t = E[w] + occ[w]
@@ -141,6 +144,14 @@ def inorder(p: Program) -> tuple[list[int], list[int], list[int]]:
     return F, E, C
 
 
+def first_free(ring: deque, E: list, occ: list) -> None:
+    """Bring the user whose unit is free first to the ring's old end (among equals, the one used longest ago)."""
+    k = min(range(len(ring)), key=lambda j: E[ring[j]] + occ[ring[j]])
+    w = ring[k]
+    del ring[k]
+    ring.appendleft(w)
+
+
 class _Front:
     """Fetch, dispatch and commit of an out-of-order core, advanced as execution times become known."""
 
@@ -208,9 +219,7 @@ class _Resources:
         self.slots = deque(maxlen=p.m.ibw or 1)
         self.rings = {u: deque(maxlen=k) for u, k in p.m.units.items()}
         self.deep = {u: deque(maxlen=k) for u, k in p.m.depth.items()}
-        self.free = {u: [] for u in p.m.units}
         p.ib, p.fu, p.dep = [-1] * p.n, [-1] * p.n, [-1] * p.n
-        self.rank = 0
 
     def take(self, i: int, t: int, E: list) -> int:
         """The time at which i, ready at t, may execute."""
@@ -224,6 +233,8 @@ class _Resources:
         if u is not None:
             r = self.rings[u]
             if len(r) == r.maxlen:
+                if p.m.fu_policy == "earliest":
+                    first_free(r, E, p.occ)
                 p.fu[i] = w = r[0]
                 t = max(t, E[w] + p.occ[w])
             r.append(i)
@@ -503,6 +514,7 @@ class LaneSweep:
         self.mem0 = np.array([x.memory or 0 for x in lanes], np.int64)
         self.permille = np.array([x.predicted_permille for x in lanes])
         self.predicts = bool(self.permille.any())
+        self.earliest = m.fu_policy == "earliest"
         self.look = max(m.ibw or 1, (m.ibw or 1) * int(self.fw.max(initial=1)))
         self.s = state or {
             "n": 0, "F": deque(maxlen=max(m.fbw or 1, 1)), "E": deque(maxlen=self.look), "C": deque(maxlen=max(m.cbw or 1, 1)),
@@ -548,6 +560,9 @@ class LaneSweep:
             if u is not None:
                 ring = units[u]
                 if len(ring) == ring.maxlen:
+                    if self.earliest:
+                        held = np.sort(np.stack(ring), 0)
+                        ring.extend(held)
                     e = maximum(e, ring[0])
             if m.lsq and (o == LOAD or o == STORE):
                 if len(q) == m.lsq:

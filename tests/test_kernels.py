@@ -36,7 +36,7 @@ def generic(p):
     raise AssertionError("cycle")
 
 
-MACHINES = [P_INO, P_INO.edit(lsq=None, units={}), P_INO.edit(depth={"fpu": 2}), P_OOO, P_OOO.edit(rob=12, window=8, ibw=2, lq=2, sq=2), P_OOO.edit(rob=16, iq=6, window=16), P_OOO.set_units(ialu=1, falu=1)]
+MACHINES = [P_INO, P_INO.edit(lsq=None, units={}), P_INO.edit(depth={"fpu": 2}), P_OOO, P_OOO.edit(rob=12, window=8, ibw=2, lq=2, sq=2), P_OOO.edit(rob=16, iq=6, window=16), P_OOO.set_units(ialu=1, falu=1), P_INO.edit(fu_policy="earliest"), P_OOO.edit(fu_policy="earliest")]
 
 
 @pytest.mark.parametrize("machine", MACHINES)
@@ -73,6 +73,14 @@ def test_vector_lanes_equal_single_runs():
         assert whole.cycles().tolist() == single == parts.cycles().tolist()
 
 
+def test_vector_lanes_with_earliest_units():
+    cols = program(200, 11)
+    lanes = [P_INO.edit(fu_policy="earliest", latency={**P_INO.latency, "INT_DIV": k, "FP_DIV": 2 * k}) for k in (3, 9, 20)]
+    sweep = K.LaneSweep(lanes)
+    sweep.feed(cols)
+    assert sweep.cycles().tolist() == [K.run(K.Program(cols, m)) for m in lanes]
+
+
 def test_monotone_and_bounds():
     for seed in range(5):
         cols = program(150, seed)
