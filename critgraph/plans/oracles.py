@@ -57,7 +57,11 @@ SELECT cast(key AS int) AS program_id, cast({order} AS bigint) AS seq, {_TOKENS}
 FROM (SELECT *, length(tok) AS len FROM ({inner}))"""
 
 
-def inorder(lanes: list[Machine], select: str, ctes: str = TRACE) -> str:
+EMBEDDED_LANES = """SELECT cast(i AS int) AS lane, 1 AS ff, false AS ib, 3 AS pen, 1 AS dec, list(1 + cast(floor(abs(cast(e AS double)) * 40) AS int) ORDER BY v) AS lat, cast(NULL AS int) AS mem
+  FROM (SELECT v, unnest(range({n})) AS i, unnest(embedding[1:{n}]) AS e FROM (SELECT embedding, row_number() OVER (ORDER BY vec_id) AS v FROM embeddings) WHERE v <= 9) GROUP BY i"""
+
+
+def inorder(lanes: list[Machine], select: str, ctes: str = TRACE, lanes_sql: str = "") -> str:
     """The in-order recurrence, one step a seq; ``runs`` has (program_id, lane, cycles, instrs)."""
     low = -(10**12)
     units = ["ialu", "imul", "idiv", "fpu", "lsu"]
@@ -66,7 +70,7 @@ def inorder(lanes: list[Machine], select: str, ctes: str = TRACE) -> str:
     values = ", ".join(f"({k}, {0 if m.ideal_fetch else 1}, {str(m.ideal_branch).lower()}, {m.penalty}, {m.decode}, {[m.latency[x] for x in OPS[:9]]}, {'NULL' if m.memory is None else m.memory})" for k, m in enumerate(lanes))
     return f"""
 WITH RECURSIVE {ctes.strip()},
-lanes(lane, ff, ib, pen, dec, lat, mem) AS (SELECT * FROM (VALUES {values}) AS v),
+lanes(lane, ff, ib, pen, dec, lat, mem) AS ({lanes_sql or f"SELECT * FROM (VALUES {values}) AS v"}),
 t AS MATERIALIZED (SELECT program_id, seq, src1, src2, dst, CASE WHEN op_class IN ('LOAD', 'STORE') THEN addr END AS addr, coalesce(imem_cycles, 0) AS f, coalesce(dmem_cycles, 0) AS dm, mispredicted AS miss, {u} AS u, {o} AS o FROM trace),
 s AS (
  SELECT program_id, lane, seq, cast(0 AS bigint) AS f1, cast({low} AS bigint) AS f2, cast(dec AS bigint) AS e1, cast({low} AS bigint) AS e2, cast(dec + x AS bigint) AS c1, cast({low} AS bigint) AS c2, cast(x AS bigint) AS x1, miss AS m1,

@@ -587,6 +587,8 @@ ORACLE_SQL = {
     "spec_branch": toys.lengths_sql(BRANCH),
     "ino_cycles": oracles.inorder([P_INO], _RUN1),
     "ino_lanes": oracles.inorder(list(FRONT.values()), "SELECT program_id, lane, cycles FROM runs"),
+    "lanes_32": oracles.inorder([], "SELECT program_id, lane, cycles FROM runs", lanes_sql=oracles.EMBEDDED_LANES.format(n=32)),
+    "lanes_sequential": oracles.inorder([], "SELECT program_id, lane, cycles FROM runs", lanes_sql=oracles.EMBEDDED_LANES.format(n=4)),
     "ino_chunked": oracles.inorder([P_INO], "SELECT program_id, cycles, instrs FROM runs"),
     "ino_planned": oracles.inorder([P_INO, P_INO, FRONT["both"]], "SELECT program_id, lane, cycles FROM runs"),
     "breakdown_ino_total": oracles.inorder([P_INO], "SELECT program_id, cycles FROM runs"),
