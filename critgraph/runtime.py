@@ -47,7 +47,7 @@ def shared_dir(spark: SparkSession) -> str:
         return _own
 
 
-def materialise(df: DataFrame, tag: str = "t") -> DataFrame:
+def materialise(df: DataFrame, tag: str = "t", compression: str = "zstd") -> DataFrame:
     """Cut lineage: write ``df`` as Parquet in the shared folder and read it back.
 
     Unlike a cached or locally checkpointed table it survives the loss of executors.
@@ -55,7 +55,7 @@ def materialise(df: DataFrame, tag: str = "t") -> DataFrame:
     """
     spark = df.sparkSession
     path = f"{shared_dir(spark)}/critgraph-{tag}-{uuid.uuid4().hex}"
-    df.write.option("compression", "zstd").parquet(path)
+    df.write.option("compression", compression).parquet(path)
     _scratch.append((spark, path))
     return spark.read.schema(df.schema).parquet(path)
 
