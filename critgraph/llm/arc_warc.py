@@ -29,6 +29,7 @@ from pyspark.sql import functions as F
 from critgraph.runtime import materialise, ship
 
 MIN_DUPLICATE = 100
+SLICE = 256  # pages whose records a worker holds at once
 ARC_FIELDS = {1: ("url", "ip", "date", "type", "length"), 2: ("url", "ip", "date", "type", "code", "checksum", "location", "offset", "file", "length")}
 _EPOCH = "20200101000000"
 
@@ -118,7 +119,7 @@ def convert(pages: DataFrame) -> DataFrame:
     ship(pages.sparkSession)
 
     def run(batches):
-        for b in batches:
+        for b in (whole.slice(at, SLICE) for whole in batches for at in range(0, whole.num_rows, SLICE)):
             ids, members = [], []
             cols = [b.column(k).to_pylist() for k in range(5)]
             for page, url, html, to, multi in zip(*cols):
@@ -150,7 +151,7 @@ def read_back(archives: DataFrame) -> DataFrame:
     schema = "page_id bigint, payload_bytes bigint, payload_digest string, record_type string, refers_to bigint, target_uri string, record_id string"
 
     def run(batches):
-        for b in batches:
+        for b in (whole.slice(at, SLICE) for whole in batches for at in range(0, whole.num_rows, SLICE)):
             rows = []
             for member in b.column(0).to_pylist():
                 for head, block in parse_warc(gzip.decompress(member)):
@@ -170,7 +171,8 @@ def read_back(archives: DataFrame) -> DataFrame:
 
 def round_trip(pages: DataFrame) -> DataFrame:
     """Write all pages as WARC archives and read the archives."""
-    return read_back(materialise(convert(pages), "warc"))
+    # members are compressed already
+    return read_back(materialise(convert(pages), "warc", "uncompressed"))
 
 
 def export(archives: DataFrame, folder: str) -> None:
