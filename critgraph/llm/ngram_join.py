@@ -232,15 +232,23 @@ def joined(docs: DataFrame) -> DataFrame:
     rows = summaries.where("n is not null")
     hot = spark.sparkContext.broadcast(_hot(summaries))
     near = Window.partitionBy("g").orderBy("n", "c")
-    lists = _prefixes(docs, hot).withColumns({"pc": F.lag("c").over(near), "pn": F.lag("n").over(near), "nc": F.lead("c").over(near)})
-    lists = materialise(lists.where("pc <> c or nc <> c").select("g", "c", "n", "pc", "pn"), "lists").where("pc is null or pc <> c")
-    side = lambda x, y: F.when(F.col("c") < F.col("pc"), F.col(x)).otherwise(F.col(y))
+    lists = _prefixes(docs, hot).withColumns({"pc": F.lag("c").over(near), "pn": F.lag("n").over(near), "nc": F.lead("c").over(near), "fc": F.first("c").over(near), "fn": F.first("n").over(near)})
+    lists = materialise(lists.where("pc <> c or nc <> c").select("g", "c", "n", "pc", "pn", "fc", "fn"), "lists").where("pc is null or pc <> c")
     fits = lambda p, q: 100 * F.least(p, q) >= PCT * F.greatest(p, q)
-    chain = lists.where("pc is not null").where(fits("n", "pn")).select(side("c", "pc").alias("a"), side("pc", "c").alias("b"), side("n", "pn").alias("na"), side("pn", "n").alias("nb"))
-    chain = materialise(_bounded(chain.groupBy("a", "b", "na", "nb").count().drop("count"), summaries), "chain")
-    # first each class with its likeliest partner, then what is still apart
-    ends = chain.select(F.col("a").alias("own"), "*").union(chain.select(F.col("b").alias("own"), "*"))
-    best = ends.groupBy("own").agg(F.min(F.struct("far", "a", "b", "na", "nb")).alias("s")).select("s.a", "s.b", "s.na", "s.nb").distinct()
+
+    def paired(c: str, n: str) -> DataFrame:
+        side = lambda x, y: F.when(F.col("c") < F.col(c), F.col(x)).otherwise(F.col(y))
+        p = lists.where(F.col(c) != F.col("c")).where(fits("n", n)).select(side("c", c).alias("a"), side(c, "c").alias("b"), side("n", n).alias("na"), side(n, "n").alias("nb"))
+        return _bounded(p.groupBy("a", "b", "na", "nb").count().drop("count"), summaries)
+
+    def chosen(pairs: DataFrame, *key: str) -> DataFrame:
+        """For each class the pair of least key; ``other`` and ``size`` are the other class's digest and size."""
+        ends = pairs.select(F.col("a").alias("own"), F.col("b").alias("other"), F.col("nb").alias("size"), "*").union(pairs.select(F.col("b").alias("own"), F.col("a").alias("other"), F.col("na").alias("size"), "*"))
+        return ends.groupBy("own").agg(F.min(F.struct(*key, "a", "b", "na", "nb")).alias("s")).select("s.a", "s.b", "s.na", "s.nb")
+
+    # first each class with its likeliest neighbour and with the least class that begins one of its lists (one hub for a
+    # whole group of near copies), then what is still apart
+    best = chosen(paired("pc", "pn"), "far", "other").union(chosen(paired("fc", "fn"), "size", "other")).distinct()
     edges = materialise(_verified(docs, summaries, best, hot), "edges")
     parts = materialise(components(edges), "parts")
     placed = lists.join(parts.withColumnRenamed("node", "c"), "c", "left").select("g", "c", "n", F.coalesce("component", "c").alias("k"))
