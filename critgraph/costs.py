@@ -36,14 +36,12 @@ def recorded(trace: DataFrame, hit_pct: int = 90, hit: int = 2, miss: int = 20,
 
 def calibrated_statistics(trace: DataFrame) -> DataFrame:
     """Lower-fidelity inputs: each program keeps only its overall rates of data hits, line hits and right predictions."""
-    data, line = F.col("dmem_cycles") > 2, F.col("imem_cycles") > 1
     rates = trace.groupBy("program_id").agg(
         F.expr("cast(round(100.0 * sum(case when dmem_cycles > 2 then 1 else 0 end) / greatest(count(dmem_cycles), 1)) as int)").alias("_d"),
         F.expr("cast(round(100.0 * sum(case when imem_cycles > 1 then 1 else 0 end) / greatest(sum(case when imem_cycles > 0 then 1 else 0 end), 1)) as int)").alias("_i"),
         F.expr("cast(round(100.0 * sum(case when mispredicted then 1 else 0 end) / greatest(sum(case when is_branch then 1 else 0 end), 1)) as int)").alias("_b"),
     )
     d = trace.join(F.broadcast(rates), "program_id")  # a row a program
-    del data, line
     return d.withColumns({
         "dmem_cycles": F.when(F.col("dmem_cycles").isNotNull(), F.when(seeded(7919, 13) < F.col("_d"), 20).otherwise(2)).cast("int"),
         "mispredicted": (F.col("op_class") == "BRANCH") & (seeded(6151, 3) < F.col("_b")),

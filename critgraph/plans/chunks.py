@@ -155,12 +155,9 @@ def run_chunked(trace: DataFrame, m: Machine, size: int = 100_000) -> DataFrame:
             whole = a if whole is None else times(a, whole)
         return pa.table({"program_id": pa.array([key[0].as_py()], pa.int32()), "chunk": pa.array([key[1].as_py()], pa.int64()), "instrs": pa.array([sum(t.column("instrs").to_pylist())], pa.int64()), "a": pa.array([whole.tobytes()], pa.binary())})
 
-    def grouped(key, t):
-        return combine(key, t)
-
     while (parts.agg(F.max("chunk")).first()[0] or 0) > 0:
         level = parts.withColumn("_g", F.floor(F.col("chunk") / FAN).cast("bigint"))
-        parts = materialise(level.groupBy("program_id", "_g").applyInArrow(grouped, schema), "chunks")
+        parts = materialise(level.groupBy("program_id", "_g").applyInArrow(combine, schema), "chunks")
     at_c = layout(m).index(("C", max(m.cbw or 1, 1) - 1))
 
     def last(batches):
