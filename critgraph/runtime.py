@@ -18,8 +18,17 @@ _shipped: set[str] = set()
 _scratch: list[tuple[SparkSession, str]] = []
 
 
+#: Bytes of an Arrow batch between Spark and its Python workers (each side holds a few of them).
+BATCH_BYTES = 8 << 20
+
+
 def ship(spark: SparkSession) -> None:
-    """Send this package to the Python workers of every executor, once per application."""
+    """Send this package to the Python workers of every executor, once per application, and keep Arrow batches small.
+
+    The batch size is a runtime setting of the session; rows may be far larger than usual (texts, bitmaps,
+    archives), so the number of rows alone does not bound a worker's memory.
+    """
+    spark.conf.set("spark.sql.execution.arrow.maxBytesPerBatch", str(BATCH_BYTES))
     sc = spark.sparkContext
     if sc.applicationId in _shipped:
         return
