@@ -37,7 +37,7 @@ PCT = 80
 FRAGMENTS = 8
 BUCKETS = 1 << 17  # of the hashed count
 HOT_MOST = 1 << 16  # buckets that may come last
-BITS, BITS_MOST = 512, 1 << 20  # of a parity bitmap
+BITS, BITS_MOST = 512, 1 << 14  # of a parity bitmap
 FILTER_BITS = 1 << 22  # of the filter of documents whose fragments are wanted
 FILTER_TASKS = 64  # that build it
 
