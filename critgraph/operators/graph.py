@@ -1,6 +1,6 @@
 """The explicit event graph as DataFrame rules: vertices, edges, validity, generic paths.
 
-For prefixes, what-if edits and teaching; runs over whole traces use the kernels, which
+For validity, what-if edits and checks, on traces whose programs fit a task; longer runs use the kernels, which
 generate the same edges on the fly and never store them. Every rule is a projection or a window over the
 program's order, so one exchange by program serves them all; last writers are found
 by ``last(..., ignorenulls)`` over (program, register), not by a range join.
@@ -221,20 +221,29 @@ def validate(edges: DataFrame, verts: DataFrame | None = None) -> DataFrame:
     return reduce(DataFrame.unionByName, problems).groupBy("problem").agg(F.count(F.lit(1)).alias("n"))
 
 
-def peel(edges: DataFrame, rounds: int = 10_000) -> DataFrame:
-    """What is left of the edges after removing, again and again, those whose source has no parent: empty iff acyclic."""
-    e = materialise(edges.select(*ENDS), "peel")
-    n = e.count()
-    for _ in range(rounds):
-        if not n:
-            break
-        fed = e.select("program_id", F.col("dst_seq").alias("src_seq"), F.col("dst_stage").alias("src_stage")).distinct()
-        e = materialise(e.join(fed, ["program_id", "src_seq", "src_stage"], "left_semi"), "peel")
-        left = e.count()
-        if left == n:
-            break
-        n = left
-    return e
+def peel(edges: DataFrame) -> DataFrame:
+    """The edges whose source never runs out of parents, those on or behind a cycle: empty iff acyclic. A program fits a task, of any depth."""
+    ship(edges.sparkSession)
+
+    def run(table):
+        import pyarrow as pa
+
+        ends = list(zip(*(table.column(c).to_pylist() for c in ENDS[1:])))
+        out: dict[tuple, list] = {}
+        degree: dict[tuple, int] = {}
+        for a, s, b, t in ends:
+            out.setdefault((a, s), []).append((b, t))
+            degree[b, t] = degree.get((b, t), 0) + 1
+        ready = [v for v in out if v not in degree]
+        while ready:
+            for u in out.pop(ready.pop(), ()):
+                degree[u] -= 1
+                if not degree[u]:
+                    ready.append(u)
+        return table.filter(pa.array([(a, s) in out for a, s, _, _ in ends], pa.bool_()))
+
+    e = edges.select(F.col("program_id").cast("int"), F.col("src_seq").cast("bigint"), "src_stage", F.col("dst_seq").cast("bigint"), "dst_stage")
+    return e.groupBy("program_id").applyInArrow(run, "program_id int, src_seq bigint, src_stage string, dst_seq bigint, dst_stage string")
 
 
 def longest(edges: DataFrame) -> DataFrame:

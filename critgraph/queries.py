@@ -12,6 +12,7 @@ from critgraph.configs import P_INO, P_OOO
 from critgraph.operators import baselines, blocks, graph, runs, toys, valuepred, whatif
 from critgraph.plans import chunks, oracles, planner
 from critgraph.plans.oracles import with_trace
+from critgraph.runtime import materialise
 from critgraph.sources import tables, traces
 from critgraph.streaming import runs as streams
 
@@ -127,23 +128,32 @@ def graph_size(s, d):
 
 
 def graph_valid(s, d):
-    e = graph.base_graph(_prefix(s, d, 8), P_INO)
+    e = graph.base_graph(materialise(_t(s, d), "trace"), P_INO)  # read by every rule
     return graph.validate(e)
 
 
+def _longest(t):
+    return graph.longest(graph.base_graph(t, P_INO)).where("stage = 'C'").groupBy("program_id").agg(F.max("cp").alias("cycles"))
+
+
 def graph_longest(s, d):
-    e = graph.base_graph(_prefix(s, d), P_INO)
-    return graph.longest(e).where("stage = 'C'").groupBy("program_id").agg(F.max("cp").alias("cycles"))
+    """On the prefix that its SQL states; graph_longest_whole takes the whole trace."""
+    return _longest(_prefix(s, d))
+
+
+def graph_longest_whole(s, d):
+    return _longest(materialise(_t(s, d), "trace"))
 
 
 def graph_relaxed(s, d):
+    """On a prefix: a round of joins extends paths by one edge, and a whole trace needs as many rounds as its deepest path has edges."""
     e = graph.base_graph(_prefix(s, d, 6), P_INO)
     return graph.relax(e).where("stage = 'C'").groupBy("program_id").agg(F.max("cp").alias("cycles"))
 
 
 def ooo_explicit(s, d):
     """Two passes on the explicit graph: base lengths, issue order, resource edges, lengths."""
-    t = _prefix(s, d)
+    t = materialise(_t(s, d), "trace")  # read by every rule below
     base = graph.base_graph(t, P_OOO)
     ranked = graph.issue_rank(t, graph.longest(base))
     whole = base.unionByName(graph.resource_graph(ranked, P_OOO))
@@ -270,9 +280,17 @@ def breakdown_cube(s, d):
     return b.cube("region", "term").agg(F.sum("cycles").alias("cycles"))
 
 
+def _path_cycles(t):
+    return runs.paths(t, [P_INO]).groupBy("program_id").agg(F.sum("w").cast("bigint").alias("cycles"))
+
+
 def critical_path_ino(s, d):
-    p = runs.paths(_prefix(s, d), [P_INO])
-    return p.groupBy("program_id").agg(F.sum("w").cast("bigint").alias("cycles"))
+    """On the prefix that its SQL states; critical_path_ino_whole takes the whole trace."""
+    return _path_cycles(_prefix(s, d))
+
+
+def critical_path_ino_whole(s, d):
+    return _path_cycles(_t(s, d))
 
 
 def top_critical_pcs(s, d):
@@ -281,14 +299,14 @@ def top_critical_pcs(s, d):
 
 def path_overlap(s, d):
     """Edges on the critical path of both cores, and those of the in-order core alone."""
-    p = runs.paths(_prefix(s, d), [P_INO, P_OOO.edit(core="ooo")]).select("program_id", "lane", "src_seq", "src_stage", "dst_seq", "dst_stage").distinct()
+    p = runs.paths(_t(s, d), [P_INO, P_OOO.edit(core="ooo")]).select("program_id", "lane", "src_seq", "src_stage", "dst_seq", "dst_stage").distinct()
     a, b = (p.where(F.col("lane") == k).drop("lane") for k in (0, 1))
     n = lambda x, k: x.groupBy("program_id").agg(F.count(F.lit(1)).alias("n")).select("program_id", F.lit(k).alias("kind"), "n")
     return n(a.intersect(b), "both").unionByName(n(a.exceptAll(b), "in order only"))
 
 
 def slack_ino(s, d):
-    x = runs.slack(_prefix(s, d), P_INO)
+    x = runs.slack(_t(s, d), P_INO)
     return x.groupBy("program_id", "kind").agg(F.count(F.lit(1)).alias("n"), F.sum((F.col("slack") == 0).cast("bigint")).alias("critical"), F.min("slack").alias("least"))
 
 
@@ -412,7 +430,7 @@ def vp_summary(s, d):
 
 
 def crack_trace(s, d):
-    t = graph.crack(_prefix(s, d, 1000), (F.col("op_class") == "INT_MUL") & (F.col("pc") % 5 == 0))
+    t = graph.crack(_t(s, d), (F.col("op_class") == "INT_MUL") & (F.col("pc") % 5 == 0))
     return runs.run_each(t, [P_INO]).select("program_id", "cycles", "instrs")
 
 
@@ -421,16 +439,16 @@ def fusible_pairs(s, d):
 
 
 def fuse_trace(s, d):
-    t = _prefix(s, d, 400)
+    t = materialise(_t(s, d), "trace")
     pairs = graph.fusible_pairs(t)
     base = graph.base_graph(t, P_INO)
     return graph.longest(graph.fuse(base, pairs, 4)).where("stage = 'C'").groupBy("program_id").agg(F.max("cp").alias("cycles"))
 
 
 def value_speculation(s, d):
-    """Right and wrong value predictions of all loads of a prefix, as edits of the explicit graph."""
-    t = _prefix(s, d)
-    e = graph.base_graph(t, P_INO)
+    """Right and wrong value predictions of all loads, as edits of the explicit graph."""
+    t = materialise(_t(s, d), "trace")
+    e = materialise(graph.base_graph(t, P_INO), "edges")
     loads = t.where("op_class = 'LOAD'").select("program_id", "seq")
     last = lambda g, n: graph.longest(g).where("stage = 'C'").groupBy("program_id").agg(F.max("cp").alias("cycles")).select("program_id", F.lit(n).alias("scenario"), "cycles")
     return last(e, "base").unionByName(last(graph.predict_values(e, loads), "right")).unionByName(last(graph.mispredict_values(e, loads, 8), "wrong"))
@@ -537,10 +555,10 @@ def bench_simulator_ooo(s, d):
 
 
 NAMES = """trace_lineitem trace_lineitem_distributed trace_events trace_documents trace_conversations op_mix fold_wrong_path slice_instr slice_block sample_regions
-edges_frontend edges_control edges_commit edges_issue edges_pipeline edges_data_reg edges_data_mem edges_fu_inorder edges_queue graph_size graph_valid graph_longest graph_relaxed ooo_explicit
+edges_frontend edges_control edges_commit edges_issue edges_pipeline edges_data_reg edges_data_mem edges_fu_inorder edges_queue graph_size graph_valid graph_longest graph_longest_whole graph_relaxed ooo_explicit
 frontend_chain commit_chain toy_base toy_whatif toy_path toy_without_mul toy_fused toy_sql_path fu_pipelined fu_blocking fu_depth crack_example spec_branch
 ino_cycles ino_lanes lanes_32 lanes_sequential ino_chunked ino_planned frontend_ino frontend_ooo frontend_interaction breakdown_ino breakdown_ino_total breakdown_ooo breakdown_cube
-critical_path_ino top_critical_pcs path_overlap slack_ino secondary_path limits_ino scenario_grid prior_graph_ino ooo_two_pass ooo_cycles ooo_approximate ooo_window ooo_lanes ooo_chunked work_counters
+critical_path_ino critical_path_ino_whole top_critical_pcs path_overlap slack_ino secondary_path limits_ino scenario_grid prior_graph_ino ooo_two_pass ooo_cycles ooo_approximate ooo_window ooo_lanes ooo_chunked work_counters
 ino_accuracy ooo_accuracy ooo_earliest_accuracy ooo_approximate_accuracy ooo_lowfi accuracy_summary cache_model stat_costs iss_counts mechanistic cycle_stack vp_random vp_critical vp_focused vp_summary
 crack_trace fusible_pairs fuse_trace value_speculation block_sizes block_reads block_movs block_nulls block_mix block_decode_delay block_graph block_formats block_formats_conversations block_breakdown block_path_mix
 doc_trace_runs stream_ino stream_windows stream_sessions vector_speedup bench_ino bench_ooo bench_ooo_approx bench_simulator_ino bench_simulator_ooo""".split()

@@ -165,3 +165,36 @@ def test_sql_functions(spark):
     assert abs(spark.sql("SELECT geo_mean(v) AS g FROM VALUES (1.0D), (4.0D) AS t(v)").first()["g"] - 2.0) < 1e-9
     p = spark.sql("SELECT max(cp) AS c FROM critical_path(TABLE({e}) PARTITION BY program_id ORDER BY dst_seq)", e=toys.edges_of(spark, toys.toy()))
     assert p.first()["c"] == 15
+
+
+def test_operators_take_the_whole_trace(spark, monkeypatch):
+    """Queries of the explicit graph's operators on programs longer than any prefix, against the kernels and plain Python."""
+    t = traces.sliced(traces.from_lineitem(spark, "/root/testdata/sf0.01"), 0, 1200).where("program_id in (1, 2)").persist()
+    assert {r["count"] for r in t.groupBy("program_id").count().collect()} == {1200}
+    monkeypatch.setattr(Q, "_t", lambda s, d: t)
+    q = lambda n: Q.QUERIES[n](spark, "").collect()
+    cycles = {r["program_id"]: r["cycles"] for r in q("ino_cycles")}
+    for n in ("critical_path_ino_whole", "graph_longest_whole"):
+        assert {r["program_id"]: r["cycles"] for r in q(n)} == cycles
+    assert {r["program_id"]: r["cycles"] for r in q("value_speculation") if r["scenario"] == "base"} == cycles
+    assert sum(r["n"] for r in q("slack_ino") if r["kind"] == "pipe") == 2 * 2 * 1200
+    assert {r["program_id"]: r["instrs"] for r in q("crack_trace")} == {p: 1200 + t.where(f"program_id = {p} and op_class = 'INT_MUL' and pc % 5 = 0").count() for p in (1, 2)}
+    two = {r["program_id"]: r["cycles"] for r in q("ooo_two_pass")}
+    assert {r["program_id"]: r["cycles"] for r in q("ooo_explicit")} == two
+    fused = {r["program_id"]: r["cycles"] for r in q("fuse_trace")}
+    assert all(cycles[p] - 400 < fused[p] <= cycles[p] + 4 for p in cycles)
+    steps = {(r["program_id"], r["kind"]): r["n"] for r in q("path_overlap")}
+    found = {(r["program_id"], r["src_seq"], r["src_stage"], r["dst_seq"], r["dst_stage"]) for r in runs.paths(t, [Q.P_INO]).collect()}
+    assert all(steps.get((p, "both"), 0) + steps.get((p, "in order only"), 0) == sum(x[0] == p for x in found) for p in cycles)
+    assert q("graph_valid") == []
+    bad = t.withColumn("imem_cycles", F.when(F.col("seq") == 1000, -90).otherwise(F.col("imem_cycles")))
+    monkeypatch.setattr(Q, "_t", lambda s, d: bad)
+    assert {r["problem"]: r["n"] for r in q("graph_valid")} == {"negative": 2}
+
+
+def test_peel_finds_deep_cycles(spark):
+    chain = [(1, k, "F", k + 1, "F", 1) for k in range(5000)]
+    loop = [(1, 4000, "E", 4001, "E", 1), (1, 4001, "E", 4000, "E", 1), (1, 4001, "E", 4002, "E", 1), (1, 4002, "E", 4003, "E", 1)]
+    e = lambda rows: spark.createDataFrame(rows, "program_id int, src_seq bigint, src_stage string, dst_seq bigint, dst_stage string, w int")
+    assert graph.peel(e(chain)).count() == 0
+    assert sorted((r["src_seq"], r["dst_seq"]) for r in graph.peel(e(chain + loop)).collect()) == [(4000, 4001), (4001, 4000), (4001, 4002), (4002, 4003)]
