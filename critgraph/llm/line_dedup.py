@@ -9,7 +9,8 @@ start (the word, a blank, the next word), a choice of places that depends on the
 alone. Lines of nearly the limit's length get both sets, so that no similar pair falls between.
 Signatures: shingles are hashed once and minimised under ``BANDS * ROWS`` xor permutations.
 Banding: each band of ROWS minima is a bucket; in a bucket a line is paired with
-the bucket's least line and with the one before it, so pairs are linear in lines.
+the bucket's least line and with the one before it first, then with every line of the
+bucket that is still in another component.
 Verification: exact Jaccard of the full shingle sets, at least ``THRESHOLD`` percent. Distributed
 union-find joins verified pairs; each component keeps its first occurrence.
 
@@ -76,6 +77,19 @@ def _seeds() -> list[int]:
     return out
 
 
+def _verified(pairs: DataFrame, reps: DataFrame, texts: DataFrame) -> DataFrame:
+    """The pairs (a, b) of class ids whose lines' exact Jaccard reaches the threshold."""
+    at = reps.select("id", "occ", "h1")
+    left = pairs.join(at.withColumnRenamed("id", "b"), "b").join(texts, ["occ", "h1"]).select("a", "b", F.col("line").alias("lb"))
+    both = left.join(at.withColumnRenamed("id", "a"), "a").join(texts, ["occ", "h1"])
+    both = with_words(with_words(both, "line", "wa"), "lb", "wb")
+    sets = both.select("a", "b", shingle_sets(F.col("line"), F.col("wa")).alias("sa"), shingle_sets(F.col("lb"), F.col("wb")).alias("sb"))
+    sets = sets.select("a", "b", F.explode_outer("sa").alias("sa"), "sb").select("a", "b", "sa", F.explode_outer("sb").alias("sb")).where("sa.level = sb.level")
+    sets = sets.select("a", "b", F.array_distinct("sa.h").alias("sa"), F.array_distinct("sb.h").alias("sb"))
+    common = F.size(F.array_intersect("sa", "sb"))
+    return sets.where(100 * common >= THRESHOLD * (F.size("sa") + F.size("sb") - common)).select("a", "b").distinct()
+
+
 def line_classes(docs: DataFrame) -> DataFrame:
     """Per line with a sign: d, x, n, occ, and keeper: the occurrence its class keeps."""
     lines = _lines(docs)
@@ -91,18 +105,17 @@ def line_classes(docs: DataFrame) -> DataFrame:
     mins = h.groupBy("occ", "h1", "level").agg(F.min("id").alias("id"), *(F.min(F.col("h").bitwiseXOR(F.lit(c))).alias(f"m{k}") for k, c in enumerate(_seeds())))
     keys = F.array(*(F.xxhash64("level", F.lit(b), *(f"m{b * ROWS + r}" for r in range(ROWS))) for b in range(BANDS)))
     order = Window.partitionBy("key").orderBy("id")
-    bands = mins.select("id", F.explode_outer(keys).alias("key")).select("id", F.first("id").over(order).alias("low"), F.lag("id").over(order).alias("prev"))
+    bands = mins.select("id", F.explode_outer(keys).alias("key"))
+    bands = bands.select("id", "key", F.first("id").over(order).alias("low"), F.lag("id").over(order).alias("prev"), F.lead("id").over(order).alias("next"))
+    bands = materialise(bands.where("prev is not null or next is not null").select("id", "key", "low", "prev"), "buckets")
     pairs = bands.where("prev is not null").select(F.col("id").alias("a"), F.explode(F.array("low", "prev")).alias("b")).where("a <> b").distinct()
-    at = reps.select("id", "occ", "h1")
-    left = pairs.join(at.withColumnRenamed("id", "b"), "b").join(texts, ["occ", "h1"]).select("a", "b", F.col("line").alias("lb"))
-    both = left.join(at.withColumnRenamed("id", "a"), "a").join(texts, ["occ", "h1"])
-    both = with_words(with_words(both, "line", "wa"), "lb", "wb")
-    sets = both.select("a", "b", shingle_sets(F.col("line"), F.col("wa")).alias("sa"), shingle_sets(F.col("lb"), F.col("wb")).alias("sb"))
-    sets = sets.select("a", "b", F.explode_outer("sa").alias("sa"), "sb").select("a", "b", "sa", F.explode_outer("sb").alias("sb")).where("sa.level = sb.level")
-    sets = sets.select("a", "b", F.array_distinct("sa.h").alias("sa"), F.array_distinct("sb.h").alias("sb"))
-    common = F.size(F.array_intersect("sa", "sb"))
-    verified = sets.where(100 * common >= THRESHOLD * (F.size("sa") + F.size("sb") - common)).select("a", "b").distinct()
-    joined = components(verified).select(F.col("node").alias("id"), "component")
+    edges = materialise(_verified(pairs, reps, texts), "edges")
+    # then all that share a bucket, are still apart and have not been compared in it
+    parts = materialise(components(edges).withColumnRenamed("node", "id"), "parts")
+    placed = bands.join(parts, "id", "left").select("id", "key", "low", "prev", F.coalesce("component", "id").alias("k"))
+    other = placed.select("key", F.col("id").alias("b"), F.col("k").alias("kb"))
+    across = placed.join(other, "key").where("b < id and k <> kb and b <> low and b <> prev").select(F.col("id").alias("a"), "b").distinct()
+    joined = components(edges.union(materialise(_verified(across, reps, texts), "edges"))).select(F.col("node").alias("id"), "component")
     known = reps.join(joined, "id", "left").select("h1", "h2", "occ", F.coalesce("component", "id").alias("k"))
     least = known.groupBy("k").agg(F.min("occ").alias("keeper"))
     kept = known.join(least, "k").select("h1", "h2", "keeper")

@@ -117,6 +117,20 @@ def test_line_dedup_against_brute_force(spark):
     assert all(kept == (k == c) for k, (kept, c) in got.items())
 
 
+def test_line_dedup_compares_all_of_a_hot_bucket(spark, monkeypatch):
+    """Lines of a template share buckets; each has a near copy far from it in order."""
+    monkeypatch.setattr(line_dedup, "BANDS", 40)
+    monkeypatch.setattr(line_dedup, "ROWS", 1)
+    r = random.Random(4)
+    own = ["".join(r.choice("abcdefghijklmnopqrstuvwxyz") for _ in range(40)) for _ in range(60)]
+    line = lambda x: f"posted by {x} for all readers of the monthly paper"
+    order = list(range(60))
+    r.shuffle(order)
+    lines = [line(x) for x in own] + [line(own[k][:20] + "#" + own[k][21:]) for k in order]
+    got = {x["doc_id"]: x["class_doc_id"] for x in line_dedup.deduplicated(docs(spark, list(enumerate(lines)))).collect()}
+    assert got == {**{k: k for k in range(60)}, **{60 + i: k for i, k in enumerate(order)}}
+
+
 def test_dedup_lines_rewrites_texts(spark):
     line = "the quick brown fox jumps over the lazy dog near the river bank today"
     rows = [(1, f"{line}\nfirst own line here\n\nx"), (2, f"second own line, quite another one\n{line}"), (3, line), (4, None), (5, ""), (1, f"{line}\nfirst own line here\n\nx"), (None, f"{line}\nnobody's line of text without an id")]
