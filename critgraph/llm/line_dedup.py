@@ -3,10 +3,7 @@
 Lines are compared without the blanks around them. Equal lines form one class first, with
 map-side minima, and go on as one occurrence.
 
-Character shingles: a line of under ``SHORT`` code points (or with hardly any blank) has all
-runs of ``RUN`` code points; a longer one the first ``START`` code points at each word's
-start (the word, a blank, the next word), a choice of places that depends on the text
-alone. Lines of nearly the limit's length get both sets, so that no similar pair falls between.
+Character shingles: the distinct runs of ``RUN`` code points at all positions of the line, whatever its length.
 Signatures: shingles are hashed once and minimised under ``BANDS * ROWS`` xor permutations.
 Banding: each band of ROWS minima is a bucket; in a bucket a line is paired with
 the bucket's least line and with the one before it first, then with every line of the
@@ -29,11 +26,12 @@ from pyspark.sql import Window
 
 from critgraph.runtime import components, materialise
 
-RUN, START = 5, 10
-SHORT = 125
+RUN = 5
+#: Lengths of an earlier choice of shingles, which a test still reads.
+START, SHORT = 10, 125
 BANDS, ROWS = 10, 4
 THRESHOLD = 80
-#: Lines with this many shingles or more minimise over the half of them whose hash is even. Even hashes come first in every
+#: Lines with this many distinct shingles or more, one of them even, minimise over the half of them whose hash is even. Even hashes come first in every
 #: permutation, so the minimum is the same as over all of them.
 THIN = 24
 BLANKS = " \t\r\x0b\x0c"
@@ -50,21 +48,10 @@ def _lines(docs: DataFrame) -> DataFrame:
     return d.select("d", "x", "n", (big * F.lit(2**31).cast("decimal(10,0)") + F.col("n")).cast("decimal(32,0)").alias("occ"), "line", F.xxhash64("line").alias("h1"))
 
 
-def with_words(d: DataFrame, line: str, words: str) -> DataFrame:
-    """The words of a line as a column of their own: what several expressions use is split once."""
-    return d.withColumn(words, F.split(line, " ", -1))
-
-
-def shingle_sets(line: Column, words: Column) -> Column:
-    """array of (level, hashes): level 0 all runs of characters, level 1 runs at word starts."""
-    long = F.length(line)
-    # the two arrays are arguments, not part of the function, so they are made once a line
-    after = F.slice(words, F.lit(2), F.size(words))
-    starts = F.zip_with(words, after, lambda w, v: F.xxhash64(F.substring(F.concat(w, F.lit(" "), F.coalesce(v, F.lit(""))), 1, START)))
-    runs = F.transform(F.when(long < RUN, F.array(line)).otherwise(F.regexp_extract_all(line, F.lit(r"(?s)(?=(.{%d}))" % RUN), F.lit(1))), lambda s: F.xxhash64(s))
-    unbroken = long > 16 * F.size(words)
-    level = lambda k, h: F.struct(F.lit(k).alias("level"), h.alias("h"))
-    return F.array_compact(F.array(F.when((long < SHORT) | unbroken, level(0, runs)), F.when((long >= SHORT * THRESHOLD // 100) & ~unbroken, level(1, starts))))
+def shingle_set(line: Column) -> Column:
+    """Distinct hashes of all runs of RUN code points; a shorter line is one run."""
+    runs = F.when(F.length(line) < RUN, F.array(line)).otherwise(F.regexp_extract_all(line, F.lit(r"(?s)(?=(.{%d}))" % RUN), F.lit(1)))
+    return F.array_distinct(F.transform(runs, lambda s: F.xxhash64(s)))
 
 
 def _seeds() -> list[int]:
@@ -82,10 +69,7 @@ def _verified(pairs: DataFrame, reps: DataFrame, texts: DataFrame) -> DataFrame:
     at = reps.select("id", "occ", "h1")
     left = pairs.join(at.withColumnRenamed("id", "b"), "b").join(texts, ["occ", "h1"]).select("a", "b", F.col("line").alias("lb"))
     both = left.join(at.withColumnRenamed("id", "a"), "a").join(texts, ["occ", "h1"])
-    both = with_words(with_words(both, "line", "wa"), "lb", "wb")
-    sets = both.select("a", "b", shingle_sets(F.col("line"), F.col("wa")).alias("sa"), shingle_sets(F.col("lb"), F.col("wb")).alias("sb"))
-    sets = sets.select("a", "b", F.explode_outer("sa").alias("sa"), "sb").select("a", "b", "sa", F.explode_outer("sb").alias("sb")).where("sa.level = sb.level")
-    sets = sets.select("a", "b", F.array_distinct("sa.h").alias("sa"), F.array_distinct("sb.h").alias("sb"))
+    sets = both.select("a", "b", shingle_set(F.col("line")).alias("sa"), shingle_set(F.col("lb")).alias("sb"))
     common = F.size(F.array_intersect("sa", "sb"))
     return sets.where(100 * common >= THRESHOLD * (F.size("sa") + F.size("sb") - common)).select("a", "b").distinct()
 
@@ -97,13 +81,15 @@ def line_classes(docs: DataFrame) -> DataFrame:
     reps = ids.groupBy("h1", "h2").agg(F.min("occ").alias("occ"), F.min("id").alias("id"))
     texts = lines.select("occ", "h1", "line")
     first = texts.join(reps.select("occ", "h1", "id"), ["occ", "h1"])
-    # explode_outer: no array is empty, and Spark infers no filter that would compute the arrays below the joins as well
-    a = with_words(first, "line", "w").select("occ", "h1", "id", F.explode_outer(shingle_sets(F.col("line"), F.col("w"))).alias("s"))
-    a = a.select("occ", "h1", "id", "s.level", (F.size("s.h") < THIN).alias("few"), F.explode_outer("s.h").alias("h")).where("few or h % 2 = 0")
+    # explode_outer: no array is empty, and Spark infers no filter that would compute the arrays below the joins as well;
+    # the array of one array makes the set once a line
+    a = first.select("occ", "h1", "id", F.explode_outer(F.array(shingle_set(F.col("line")))).alias("s"))
+    few = (F.size("s") < THIN) | ~F.exists("s", lambda x: x % 2 == 0)
+    a = a.select("occ", "h1", "id", few.alias("few"), F.explode_outer("s").alias("h")).where("few or h % 2 = 0")
     # even hashes get the sign bit, which the seeds leave alone: they come first
     h = a.withColumn("h", F.when(F.col("h") % 2 == 0, F.col("h").bitwiseOR(F.lit(-(2**63)))).otherwise(F.col("h").bitwiseAND(F.lit(2**63 - 1))))
-    mins = h.groupBy("occ", "h1", "level").agg(F.min("id").alias("id"), *(F.min(F.col("h").bitwiseXOR(F.lit(c))).alias(f"m{k}") for k, c in enumerate(_seeds())))
-    keys = F.array(*(F.xxhash64("level", F.lit(b), *(f"m{b * ROWS + r}" for r in range(ROWS))) for b in range(BANDS)))
+    mins = h.groupBy("occ", "h1").agg(F.min("id").alias("id"), *(F.min(F.col("h").bitwiseXOR(F.lit(c))).alias(f"m{k}") for k, c in enumerate(_seeds())))
+    keys = F.array(*(F.xxhash64(F.lit(b), *(f"m{b * ROWS + r}" for r in range(ROWS))) for b in range(BANDS)))
     order = Window.partitionBy("key").orderBy("id")
     bands = mins.select("id", F.explode_outer(keys).alias("key"))
     bands = bands.select("id", "key", F.first("id").over(order).alias("low"), F.lag("id").over(order).alias("prev"), F.lead("id").over(order).alias("next"))

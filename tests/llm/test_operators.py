@@ -131,6 +131,33 @@ def test_line_dedup_compares_all_of_a_hot_bucket(spark, monkeypatch):
     assert got == {**{k: k for k in range(60)}, **{60 + i: k for i, k in enumerate(order)}}
 
 
+def test_line_dedup_of_long_words_and_lines(spark):
+    """Exact Jaccard over all runs of five characters, whatever the words and lengths."""
+    r = random.Random(11)
+    some = lambda n, of="abcdefghijklmnopqrstuvwxyz": "".join(r.choice(of) for _ in range(n))
+    lines = [" ".join(f"item 0123456789{some(10, '0123456789')} sold" for _ in range(7)) for _ in range(6)]
+    wide = " ".join(some(17) for _ in range(10))
+    lines += [wide, wide + " a b", "ab" * 200, "ab" * 201 + "a"]
+    for n in (100, 124, 125, 126, 300):
+        x = some(n, "abcdefg hi")
+        lines += [x.strip(), x[: n // 2].strip() + x[n // 2 + 1 :].rstrip()]
+    sets = [{x[i : i + 5] for i in range(max(1, len(x) - 4))} for x in lines]
+    parent = list(range(len(lines)))
+
+    def root(v):
+        while parent[v] != v:
+            v = parent[v]
+        return v
+
+    for i, a in enumerate(sets):
+        for k, b in enumerate(sets[:i]):
+            if 100 * len(a & b) >= 80 * len(a | b):
+                x, y = sorted((root(i), root(k)))
+                parent[y] = x
+    got = {x["doc_id"]: x["class_doc_id"] for x in line_dedup.deduplicated(docs(spark, list(enumerate(lines)))).collect()}
+    assert got == {i: root(i) for i in range(len(lines))} and len(set(got.values())) < len(lines) - 5
+
+
 def test_dedup_lines_rewrites_texts(spark):
     line = "the quick brown fox jumps over the lazy dog near the river bank today"
     rows = [(1, f"{line}\nfirst own line here\n\nx"), (2, f"second own line, quite another one\n{line}"), (3, line), (4, None), (5, ""), (1, f"{line}\nfirst own line here\n\nx"), (None, f"{line}\nnobody's line of text without an id")]
