@@ -224,6 +224,16 @@ def _verified(docs: DataFrame, summaries: DataFrame, pairs: DataFrame, hot) -> D
     return partial.groupBy("a", "b", "na", "nb").agg(F.sum("k").alias("k")).where(100 * F.col("k") >= PCT * (F.col("na") + F.col("nb") - F.col("k"))).select("a", "b")
 
 
+def _neighbours(prefixes: DataFrame) -> DataFrame:
+    """The lists of n-grams, (g, c, n) a class each, with the class before it and the first one; lists of one row go.
+
+    A class has a row from each task that holds a copy of it; the first of them stays, also where it begins the list.
+    """
+    near = Window.partitionBy("g").orderBy("n", "c")
+    d = prefixes.withColumns({"pc": F.lag("c").over(near), "pn": F.lag("n").over(near), "nc": F.lead("c").over(near), "fc": F.first("c").over(near), "fn": F.first("n").over(near)})
+    return d.where(F.coalesce(F.col("pc") != F.col("c"), F.col("nc").isNotNull())).select("g", "c", "n", "pc", "pn", "fc", "fn")
+
+
 def joined(docs: DataFrame) -> DataFrame:
     """Per document: doc_id, n_shingles, component_id."""
     spark = docs.sparkSession
@@ -231,9 +241,7 @@ def joined(docs: DataFrame) -> DataFrame:
     summaries = materialise(_summaries(docs), "sets")
     rows = summaries.where("n is not null")
     hot = spark.sparkContext.broadcast(_hot(summaries))
-    near = Window.partitionBy("g").orderBy("n", "c")
-    lists = _prefixes(docs, hot).withColumns({"pc": F.lag("c").over(near), "pn": F.lag("n").over(near), "nc": F.lead("c").over(near), "fc": F.first("c").over(near), "fn": F.first("n").over(near)})
-    lists = materialise(lists.where("pc <> c or nc <> c").select("g", "c", "n", "pc", "pn", "fc", "fn"), "lists").where("pc is null or pc <> c")
+    lists = materialise(_neighbours(_prefixes(docs, hot)), "lists")
     fits = lambda p, q: 100 * F.least(p, q) >= PCT * F.greatest(p, q)
 
     def paired(c: str, n: str) -> DataFrame:

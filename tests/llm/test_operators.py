@@ -215,6 +215,12 @@ def test_ngram_join_of_many_near_copies(spark):
     assert ngram_join.joined(docs(spark, rows).where("false")).count() == 0
 
 
+def test_lists_keep_a_first_class_with_copies(spark):
+    rows = [(7, 1, 9)] * 2 + [(7, 2, 9), (7, 3, 9), (8, 4, 9), (9, 5, 9), (9, 6, 8), (9, 6, 8), (9, 6, 8)]
+    got = ngram_join._neighbours(spark.createDataFrame(rows, "g bigint, c bigint, n int")).collect()
+    assert sorted((r["g"], r["c"], r["pc"] or 0, r["fc"]) for r in got) == [(7, 1, 0, 1), (7, 2, 1, 1), (7, 3, 2, 1), (9, 5, 6, 6), (9, 6, 0, 6)]
+
+
 def test_parity_is_a_lower_bound():
     r = np.random.default_rng(3)
     for n, m, same in ((10, 12, 8), (300, 350, 280), (5000, 4200, 4000)):
