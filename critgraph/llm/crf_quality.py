@@ -25,7 +25,8 @@ FIT_DOCS = 3000
 FIT_LINES = 200
 MIN_SHARE = 0.5
 MIN_WORDS, WINDOW, REPEAT_PCT = 20, 8, 30
-#: Words of a line whose variety is measured: the share of distinct words falls with length, so lines are compared alike.
+#: Words of a block whose variety is measured: the share of distinct words falls with length, so a line's variety is the
+#: mean share over its blocks of so many words (the last may be shorter and weighs by its words).
 DISTINCT_OF = 64
 SYMBOLS = b"#*$%&|<>"
 SPACES = b" \t\n\x0b\x0c\r"
@@ -68,7 +69,7 @@ def line_features(lines: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
         w = x.split()
         n, size = len(w), len(x)
         rows.append((
-            1.0, (size - len(x.translate(None, SYMBOLS))) / size, (size - len(x.translate(None, b"0123456789"))) / size, len(set(w[:DISTINCT_OF])) / min(n, DISTINCT_OF),
+            1.0, (size - len(x.translate(None, SYMBOLS))) / size, (size - len(x.translate(None, b"0123456789"))) / size, sum(len(set(w[i : i + DISTINCT_OF])) for i in range(0, n, DISTINCT_OF)) / n,
             min(size / n, 20) / 10, float(n < 4), float(x.rstrip(SPACES)[-1:] in b'.!?"'), float(x in seen),
         ))
         counts.append(n)

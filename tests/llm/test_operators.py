@@ -248,6 +248,14 @@ def test_quality_base_counts_against_brute_force(spark, corpus):
         assert r["base_failed"] == (len(w) < 20 or 100 * r["n_repeat_words"] > 30 * len(w)) and not (r["base_failed"] and r["kept"])
 
 
+def test_variety_is_of_the_whole_line():
+    line = lambda w: " ".join(w).encode()
+    at = crf_quality.FEATURES.index("distinct")
+    varied = [f"w{k}" for k in range(64)]
+    rows, _ = crf_quality.line_features([line(varied), line(varied + ["a", "b"] * 992), line(varied * 31), line(varied[:10]), line(varied + ["x"])])
+    assert rows[:, at].tolist() == [1.0, (64 + 31 * 2) / 2048, 1.0, 1.0, 1.0]
+
+
 def test_viterbi_is_the_best_of_all_labellings():
     from itertools import product
 
