@@ -39,7 +39,7 @@ _encoders: dict[str, Encoder] = {}
 
 
 class Encoder(dict):
-    """Text -> packed ids of a byte-level BPE file, equal to the file's own tokenizer.
+    """Text -> packed ids of a byte-level BPE file, equal to the file's own tokenizer (``encode``; ``pack`` takes added tokens for plain text).
 
     A space followed by a non-space always starts a new piece, so texts without other runs
     of white space after a space are split there and the parts' ids are remembered
@@ -55,7 +55,10 @@ class Encoder(dict):
         visible = [*range(33, 127), *range(161, 173), *range(174, 256)]
         hidden = [b for b in range(256) if b not in set(visible)]
         byte_of = {chr(b): b for b in visible} | {chr(256 + i): b for i, b in enumerate(hidden)}
-        special = {x["content"] for x in spec.get("added_tokens", ())}
+        self.added = {x["content"]: array("I", [x["id"]]).tobytes() for x in spec.get("added_tokens", ())}
+        special = set(self.added)
+        #: The longest of the added tokens that begin at a place is the one taken.
+        self.cut = re.compile("|".join(map(re.escape, sorted(special, key=len, reverse=True))) or r"(?!)")
         ranks = {bytes(byte_of[c] for c in k): v for k, v in spec["model"]["vocab"].items() if k not in special}
         self.inner = tiktoken.Encoding("pieces", pat_str=public_tokenizers.PATTERN, mergeable_ranks=ranks, special_tokens={})
 
@@ -75,6 +78,15 @@ class Encoder(dict):
         return (array("I", self.ids(first)).tobytes() if first else b"") + b"".join(map(self.__getitem__, parts))
 
 
+    def encode(self, text: str) -> bytes:
+        """The ids of a text in which the file's added tokens stand for themselves; what lies between them is encoded apart."""
+        out, done = [], 0
+        for m in self.cut.finditer(text):
+            out += [self.pack(text[done : m.start()]), self.added[m[0]]]
+            done = m.end()
+        return b"".join(out) + self.pack(text[done:]) if done else self.pack(text)
+
+
 def encoder(path: str) -> Encoder:
     if path not in _encoders:
         _encoders[path] = Encoder(path)
@@ -92,7 +104,7 @@ def pieces(docs: DataFrame, tokenizer: str, window: int = WINDOW) -> DataFrame:
         for b in batches:
             rows = []
             for doc, text in zip(b.column(0).to_pylist(), b.column(1).to_pylist()):
-                ids = (own.pack(text) if text else b"") + close
+                ids = (own.encode(text) if text else b"") + close
                 n = len(ids) // 4
                 for s, e in pairwise([*range(0, n, window), n]):
                     rows.append((doc, s, e - s, zlib.crc32(ids[4 * s : 4 * e]), n))

@@ -417,6 +417,27 @@ def test_encoder_equals_the_tokenizer():
         assert np.frombuffer(own.pack(x), "<u4").tolist() == t.encode(x, add_special_tokens=False).ids, repr(x)
 
 
+def test_encoder_equals_the_tokenizer_with_its_defaults():
+    from tokenizers import Tokenizer
+
+    path = queries.tokenizer_path()
+    t, own = Tokenizer.from_file(path), nnls_packing.encoder(path)
+    r = random.Random(7)
+    texts = ["a <|endoftext|> b", "<|endoftext|>", "x<|endoftext|><|endoftext|>  y ", " <|endoftext|>\n", "<|endoftext|", "<|endoftext|>a"]
+    texts += ["".join(r.choice(["<|endoftext|>", "ab", " ", "  ", "\n", "é", "<|", "'s", "12"]) for _ in range(20)) for _ in range(200)]
+    for x in texts:
+        assert np.frombuffer(own.encode(x), "<u4").tolist() == t.encode(x, add_special_tokens=False).ids, repr(x)
+
+
+def test_pieces_take_added_tokens(spark):
+    from tokenizers import Tokenizer
+
+    path, text = queries.tokenizer_path(), "a <|endoftext|> b"
+    ids = [*Tokenizer.from_file(path).encode(text, add_special_tokens=False).ids, nnls_packing.CLOSE]
+    r = nnls_packing.pieces(docs(spark, [(1, text)]), path).first()
+    assert (r["doc_tokens"], r["ids_crc32"]) == (len(ids), zlib.crc32(np.array(ids, "<u4").tobytes()))
+
+
 def test_packing_places_every_id_once(spark, corpus):
     path = queries.tokenizer_path()
     d = docs(spark, corpus)
