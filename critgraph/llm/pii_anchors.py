@@ -3,8 +3,8 @@
 An Aho-Corasick automaton finds anchors (at-signs, plus-signs, digits, schemes, cues of
 accounts and street names) in one pass over the text; a deterministic local parser expands
 each anchor to its boundaries and validates it. Base kinds: email, ip, card, phone. The
-method adds url (scheme or www anchor), account (cue, separator, code with digits, or a
-valid IBAN) and address (house number beside a street word).
+method adds url (scheme or www anchor), account (cue, separator, code with digits; a
+valid IBAN, with a cue or by its country code) and address (house number beside a street word).
 
 Defined results: null texts are empty and have no spans; offsets are code points of the
 whole text, end exclusive; repeated rows are judged alike; other columns are not read.
@@ -33,6 +33,7 @@ _PHONE = re.compile(r"\+[0-9][\x20().0-9-]+[0-9]")
 _URL = re.compile(r"[^\s<>\"'(){}\[\]]+")
 _CODE = re.compile(r"[\s]{0,3}(?:(?:no|nr|number|id)\b\.?)?[\s]{0,3}[:=#]?[\s]{0,3}[\"']?([A-Za-z0-9][A-Za-z0-9_-]{5,63})", re.I)
 _IBAN = re.compile(r"[A-Z]{2}[0-9]{2}(?: ?[A-Z0-9]){11,30}")
+NEAR, IBAN_MOST = 50, 64  # characters from a cue to a code's start; of a code with all its blanks
 _AFTER = re.compile(r"[.,]?\s{1,2}([0-9]{1,5}[a-z]?)\b")
 _BEFORE = re.compile(r"([0-9]{1,5}),?\s{1,2}(?:\w{1,30}\s){0,3}$")
 #: Cues of accounts and of street names.
@@ -69,6 +70,15 @@ def iban(code: str) -> bool:
     return 15 <= len(s) <= 34 and int("".join(str(int(c, 36)) for c in s[4:] + s[:4])) % 97 == 1
 
 
+def iban_end(text: str, start: int, stop: int) -> int | None:
+    """Where a valid code that begins at ``start`` ends: at ``stop`` or before a blank within, the farthest that has its checksum."""
+    while stop - start >= 15:
+        if iban(text[start:stop]):
+            return stop
+        stop = text.rfind(" ", start, stop)
+    return None
+
+
 def spans(text: str, anchors: ahocorasick.Automaton) -> list[tuple[int, int, int]]:
     """(start, kind's number, end), sorted."""
     out = []
@@ -78,6 +88,9 @@ def spans(text: str, anchors: ahocorasick.Automaton) -> list[tuple[int, int, int
         if kind == "d":
             if at and text[at - 1] in _DIGITS:
                 continue
+            if at - 2 >= end[5] and text[at - 2 : at].isupper() and not (at > 2 and text[at - 3].isalnum()) and (m := _IBAN.match(text, at - 2)) and (stop := iban_end(text, at - 2, m.end())):
+                out.append((at - 2, 5, stop))
+                end[5] = stop
             if at >= end[1] and (m := _IP.match(text, at)):
                 end[1] = m.end()
                 if all(len(p.lstrip("0")) <= 3 and int(p.lstrip("0") or 0) <= 255 for p in m[0].split(".")):
@@ -109,10 +122,10 @@ def spans(text: str, anchors: ahocorasick.Automaton) -> list[tuple[int, int, int
             if (at and text[at - 1].isalnum()) or at < end[5]:
                 continue
             m = _CODE.match(text, last + 1)
-            near = _IBAN.search(text, last + 1, last + 50)
-            if near and iban(near[0]):
-                out.append((near.start(), 5, near.end()))
-                end[5] = near.end()
+            near = _IBAN.search(text, last + 1, last + NEAR + IBAN_MOST)  # the cue bounds where a code starts, not where it ends
+            if near and near.start() < last + NEAR and (stop := iban_end(text, near.start(), near.end())):
+                out.append((near.start(), 5, stop))
+                end[5] = stop
             elif m and sum(c in _DIGITS for c in m[1]) >= 3 and not (m.start(1) == last + 1):
                 out.append((m.start(1), 5, m.end(1)))
                 end[5] = m.end(1)

@@ -552,6 +552,16 @@ def test_pii_method_kinds(spark):
     assert [r["text"] for r in sorted(d, key=lambda r: r["doc_id"])] == ["mail <email> now", None]
 
 
+def test_pii_ibans_end_where_they_end():
+    a = pii_anchors.automaton()
+    say = lambda t: [t[s:e] for s, k, e in pii_anchors.spans(t, a) if pii_anchors.KINDS[k] == "account"]
+    code = "DE89 3704 0044 0532 0130 00"
+    assert say(f"IBAN for bank transfers to us: {code}") == [code]
+    assert say(f"pay to {code} today") == [code] and say(f"pay to {code} TODAY OR 2 LATER") == [code] and say("x GB82WEST12345698765432.") == ["GB82WEST12345698765432"]
+    assert say(f"iban {code}, konto {code}") == [code, code]
+    assert say("pay to DE88 3704 0044 0532 0130 00 today") == [] and say("XDE89370400440532013000") == []
+
+
 # -- queries and pipeline --------------------------------------------------------------------------------------
 
 
