@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import atexit
+import gc
 import io
 import os
 import tempfile
@@ -47,6 +48,8 @@ def shared_dir(spark: SparkSession) -> str:
     at = spark.sparkContext.getConf().get("spark.checkpoint.dir", None)
     if at:
         return at.rstrip("/")
+    if not spark.sparkContext.master.startswith("local") or spark.sparkContext.master.startswith("local-cluster"):
+        raise RuntimeError("spark.checkpoint.dir is not set: executors need a shared folder")
     global _own
     try:
         return _own
@@ -60,22 +63,41 @@ def materialise(df: DataFrame, tag: str = "t", compression: str = "zstd") -> Dat
     """Cut lineage: write ``df`` as Parquet in the shared folder and read it back.
 
     Unlike a cached or locally checkpointed table it survives the loss of executors.
-    The table is removed when the driver's process ends.
+    The table is removed by ``release``, or when the driver's process ends.
     """
     spark = df.sparkSession
     path = f"{shared_dir(spark)}/critgraph-{tag}-{uuid.uuid4().hex}"
     df.write.option("compression", compression).parquet(path)
     _scratch.append((spark, path))
-    return spark.read.schema(df.schema).parquet(path)
+    out = spark.read.schema(df.schema).parquet(path)
+    out._critgraph_path = path
+    return out
+
+
+def release(*tables: DataFrame) -> None:
+    """Delete tables that ``materialise`` returned and nothing reads any more, and the shuffle files of finished jobs.
+
+    Shuffle files go when the driver's JVM finds their jobs unreachable, so it is asked to look.
+    """
+    for t in tables:
+        entry = (t.sparkSession, t._critgraph_path)
+        _delete(*entry)
+        _scratch.remove(entry)
+    gc.collect()
+    if tables:
+        tables[0].sparkSession.sparkContext._jvm.System.gc()
+
+
+def _delete(spark: SparkSession, path: str) -> None:
+    p = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(path)
+    p.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(p, True)
 
 
 @atexit.register
 def _clean() -> None:
-    for spark, path in _scratch:
+    for entry in _scratch:
         try:
-            jvm = spark.sparkContext._jvm
-            p = jvm.org.apache.hadoop.fs.Path(path)
-            p.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(p, True)
+            _delete(*entry)
         except Exception:  # the session has ended; the folder is scratch
             return
 
@@ -110,31 +132,28 @@ def components(edges: DataFrame, rounds: int = 60) -> DataFrame:
 
     Least nodes themselves, and nodes without an edge to another, have no row.
 
-    Alternates large-star and small-star rewiring until the edges no longer change; each
-    round's edges are written to the shared folder. Stars are found with map-side
-    minima and joined back, so a node with very many neighbours is split by AQE.
+    Alternates large-star and small-star rewiring until every edge leads from a node straight to a
+    node that has no edge to a lesser one; each round's edges are written to the shared folder and
+    the round before is deleted. Stars are found with map-side minima and joined back, so a node
+    with very many neighbours is split by AQE.
     """
     e = materialise(edges.where("a <> b").select(F.least("a", "b").alias("b"), F.greatest("a", "b").alias("a")).distinct(), "cc")
 
-    def stamp(d: DataFrame) -> tuple:
-        r = d.agg(F.count(F.lit(1)), F.sum(F.xxhash64("a", "b").cast("decimal(38,0)"))).first()
-        return r[0], r[1]
+    def settled(d: DataFrame) -> bool:
+        """No node has two parents and no parent is a child: the edges are the answer."""
+        ends = d.select(F.col("a").alias("v"), F.lit(1).alias("up"), F.lit(0).alias("down")).union(d.select("b", F.lit(0), F.lit(1)))
+        seen = ends.groupBy("v").agg(F.sum("up").alias("up"), F.max("down").alias("down"))
+        return not seen.where("up > 1 or (up > 0 and down > 0)").limit(1).count()
 
-    was = stamp(e)
     for _ in range(rounds):
-        if was[0] == 0:
-            break
+        if settled(e):
+            return e.select(F.col("a").alias("node"), F.col("b").alias("component"))
         both = e.select("a", "b").union(e.select(F.col("b").alias("a"), F.col("a").alias("b")))
         low = both.groupBy("a").agg(F.min("b").alias("m")).select("a", F.least("a", "m").alias("m"))
         large = both.join(low, "a").where("b > a").select(F.col("b").alias("a"), F.col("m").alias("b"))
         large = large.where("a <> b").distinct()
         least = large.groupBy("a").agg(F.min("b").alias("m"))
         small = large.join(least, "a").select(F.col("b").alias("a"), F.col("m").alias("b")).union(least.select("a", F.col("m").alias("b")))
-        e = materialise(small.where("a <> b").distinct(), "cc")
-        now = stamp(e)
-        if now == was:
-            break
-        was = now
-    else:
-        raise RuntimeError("components did not settle")
-    return e.groupBy("a").agg(F.min("b").alias("c")).select(F.col("a").alias("node"), F.col("c").alias("component"))
+        was, e = e, materialise(small.where("a <> b").distinct(), "cc")
+        release(was)
+    raise RuntimeError("components did not settle")
