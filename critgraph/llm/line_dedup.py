@@ -7,7 +7,8 @@ Character shingles: the distinct runs of ``RUN`` code points at all positions of
 Signatures: shingles are hashed once and minimised under ``BANDS * ROWS`` xor permutations.
 Banding: each band of ROWS minima is a bucket; in a bucket a line is paired with
 the bucket's least line and with the one before it first, then with every line of the
-bucket that is still in another component.
+bucket that is still in another component. Pairs are taken on whose signatures agree in ``AGREE`` of
+``DIGEST`` minima at least, each known by four bits (lines of Jaccard 0.8 agree in 13 of 16 on average, and 1 in 500 of them in fewer than 9).
 Verification: exact Jaccard of the full shingle sets, at least ``THRESHOLD`` percent. Distributed
 union-find joins verified pairs; each component keeps its first occurrence.
 
@@ -24,16 +25,16 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import Window
 
-from critgraph.runtime import components, materialise
+from critgraph.runtime import components, materialise, release
 
 RUN = 5
-#: Lengths of an earlier choice of shingles, which a test still reads.
-START, SHORT = 10, 125
-BANDS, ROWS = 10, 4
+BANDS, ROWS = 8, 4
 THRESHOLD = 80
-#: Lines with this many distinct shingles or more, one of them even, minimise over the half of them whose hash is even. Even hashes come first in every
-#: permutation, so the minimum is the same as over all of them.
-THIN = 24
+DIGEST, AGREE = 16, 9
+#: Runs are taken from blocks of so many positions of a line: reaching into a long string costs its length.
+BLOCK = 64
+#: Up to so many pairs, the ids of their lines are sent to all tasks (16 MB); beyond, texts and ids are shuffled.
+SENT_PAIRS = 1 << 20
 BLANKS = " \t\r\x0b\x0c"
 
 
@@ -45,7 +46,7 @@ def _lines(docs: DataFrame) -> DataFrame:
     d = docs.select(F.col("doc_id").cast("bigint").alias("d"), F.xxhash64("text").alias("x"), F.posexplode(F.split("text", "\n", -1)).alias("n", "l"))
     d = d.select("d", "x", "n", F.btrim("l", F.lit(BLANKS)).alias("line")).where("line <> ''")
     big = F.coalesce(F.col("d").cast("decimal(20,0)"), F.expr("18446744073709551616BD") + F.col("x").cast("decimal(20,0)"))
-    return d.select("d", "x", "n", (big * F.lit(2**31).cast("decimal(10,0)") + F.col("n")).cast("decimal(32,0)").alias("occ"), "line", F.xxhash64("line").alias("h1"))
+    return d.select("d", "x", "n", (big * F.lit(2**31).cast("decimal(10,0)") + F.col("n")).cast("decimal(32,0)").alias("occ"), "line", F.xxhash64("line").alias("h1"), F.xxhash64(F.lit(17), "line").alias("h2"))
 
 
 def shingle_set(line: Column) -> Column:
@@ -54,6 +55,11 @@ def shingle_set(line: Column) -> Column:
     return F.array_distinct(F.transform(runs, lambda s: F.xxhash64(s)))
 
 
+def blocks(line: Column) -> Column:
+    """Pieces that hold each run of RUN code points once; a shorter line is one piece."""
+    return F.regexp_extract_all(line, F.lit(r"(?s)(?=(.{%d,%d}|^.{1,%d}\z)).{1,%d}" % (RUN, BLOCK + RUN - 1, RUN - 1, BLOCK)), F.lit(1))
+
+
 def _seeds() -> list[int]:
     x, out = 88172645463325252, []
     for _ in range(BANDS * ROWS):
@@ -64,48 +70,75 @@ def _seeds() -> list[int]:
     return out
 
 
-def _verified(pairs: DataFrame, reps: DataFrame, texts: DataFrame) -> DataFrame:
+def agreement(g: Column, other: Column) -> Column:
+    """How many of the DIGEST minima (four bits each) are equal in both digests."""
+    x = g.bitwiseXOR(other)
+    x = x.bitwiseOR(F.shiftrightunsigned(x, 1))
+    x = x.bitwiseOR(F.shiftrightunsigned(x, 2))
+    return DIGEST - F.bit_count(x.bitwiseAND(F.lit(0x1111111111111111)))
+
+
+def signatures(lines: DataFrame) -> DataFrame:
+    """A row for each distinct line: id, h1, h2, occ (its first), k (how many), line, keys (one a band), g (digest).
+
+    The texts are shuffled once: the minima are gathered by the same keys, and meet the texts by them.
+    """
+    reps = lines.groupBy("h1", "h2").agg(F.min("occ").alias("occ"), F.count(F.lit(1)).alias("k"), F.first("line").alias("line"))
+    # explode_outer: no array is empty, and Spark infers no filter that would compute the arrays twice; all columns of
+    # reps are asked for (the condition holds), so that the join below reads the same exchange
+    whole = F.when(F.col("occ").isNotNull() & (F.col("k") > 0), F.col("line"))
+    b = reps.select("h1", "h2", F.explode_outer(blocks(whole)).alias("b"))
+    runs = b.select("h1", "h2", "b", F.explode_outer(F.sequence(F.lit(1), F.greatest(F.length("b") - RUN + 1, F.lit(1)))).alias("i"))
+    hashed = runs.select("h1", "h2", F.xxhash64(F.substring("b", F.col("i"), F.lit(RUN))).alias("h"))
+    mins = hashed.groupBy("h1", "h2").agg(*(F.min(F.col("h").bitwiseXOR(F.lit(c))).alias(f"m{k}") for k, c in enumerate(_seeds())))
+    keys = F.array(*(F.xxhash64(F.lit(b), *(f"m{b * ROWS + r}" for r in range(ROWS))) for b in range(BANDS)))
+    g, every = F.lit(0).cast("bigint"), BANDS * ROWS // DIGEST
+    for j in range(DIGEST):
+        g = g.bitwiseOR(F.shiftleft(F.col(f"m{j * every}").bitwiseAND(F.lit(15)), 4 * j))
+    return reps.join(mins.select("h1", "h2", keys.alias("keys"), g.alias("g")), ["h1", "h2"]).withColumn("id", F.monotonically_increasing_id())
+
+
+def _verified(pairs: DataFrame, reps: DataFrame) -> DataFrame:
     """The pairs (a, b) of class ids whose lines' exact Jaccard reaches the threshold."""
-    at = reps.select("id", "occ", "h1")
-    left = pairs.join(at.withColumnRenamed("id", "b"), "b").join(texts, ["occ", "h1"]).select("a", "b", F.col("line").alias("lb"))
-    both = left.join(at.withColumnRenamed("id", "a"), "a").join(texts, ["occ", "h1"])
-    sets = both.select("a", "b", shingle_set(F.col("line")).alias("sa"), shingle_set(F.col("lb")).alias("sb"))
-    common = F.size(F.array_intersect("sa", "sb"))
-    return sets.where(100 * common >= THRESHOLD * (F.size("sa") + F.size("sb") - common)).select("a", "b").distinct()
+    pairs = materialise(pairs, "pairs")
+    ids = pairs.select(F.explode(F.array("a", "b")).alias("id")).distinct()
+    texts = reps.select("id", "line").join(F.broadcast(ids) if pairs.count() <= SENT_PAIRS else ids, "id", "left_semi")
+    both = pairs.join(texts.select(F.col("id").alias("b"), F.col("line").alias("lb")), "b").join(texts.withColumnRenamed("id", "a"), "a")
+    sets = both.select("a", "b", F.explode_outer(F.array(F.struct(shingle_set(F.col("line")).alias("a"), shingle_set(F.col("lb")).alias("b")))).alias("s"))
+    common = sets.select("a", "b", F.size("s.a").alias("na"), F.size("s.b").alias("nb"), F.size(F.array_intersect("s.a", "s.b")).alias("k"))
+    out = materialise(common.where(100 * F.col("k") >= THRESHOLD * (F.col("na") + F.col("nb") - F.col("k"))).select("a", "b"), "edges")
+    release(pairs)
+    return out
 
 
 def line_classes(docs: DataFrame) -> DataFrame:
     """Per line with a sign: d, x, n, occ, and keeper: the occurrence its class keeps."""
     lines = _lines(docs)
-    ids = materialise(lines.select("d", "x", "n", "occ", "h1", F.xxhash64(F.lit(17), "line").alias("h2"), F.monotonically_increasing_id().alias("id")), "lines")
-    reps = ids.groupBy("h1", "h2").agg(F.min("occ").alias("occ"), F.min("id").alias("id"))
-    texts = lines.select("occ", "h1", "line")
-    first = texts.join(reps.select("occ", "h1", "id"), ["occ", "h1"])
-    # explode_outer: no array is empty, and Spark infers no filter that would compute the arrays below the joins as well;
-    # the array of one array makes the set once a line
-    a = first.select("occ", "h1", "id", F.explode_outer(F.array(shingle_set(F.col("line")))).alias("s"))
-    few = (F.size("s") < THIN) | ~F.exists("s", lambda x: x % 2 == 0)
-    a = a.select("occ", "h1", "id", few.alias("few"), F.explode_outer("s").alias("h")).where("few or h % 2 = 0")
-    # even hashes get the sign bit, which the seeds leave alone: they come first
-    h = a.withColumn("h", F.when(F.col("h") % 2 == 0, F.col("h").bitwiseOR(F.lit(-(2**63)))).otherwise(F.col("h").bitwiseAND(F.lit(2**63 - 1))))
-    mins = h.groupBy("occ", "h1").agg(F.min("id").alias("id"), *(F.min(F.col("h").bitwiseXOR(F.lit(c))).alias(f"m{k}") for k, c in enumerate(_seeds())))
-    keys = F.array(*(F.xxhash64(F.lit(b), *(f"m{b * ROWS + r}" for r in range(ROWS))) for b in range(BANDS)))
+    reps = materialise(signatures(lines), "lines")
     order = Window.partitionBy("key").orderBy("id")
-    bands = mins.select("id", F.explode_outer(keys).alias("key"))
-    bands = bands.select("id", "key", F.first("id").over(order).alias("low"), F.lag("id").over(order).alias("prev"), F.lead("id").over(order).alias("next"))
-    bands = materialise(bands.where("prev is not null or next is not null").select("id", "key", "low", "prev"), "buckets")
-    pairs = bands.where("prev is not null").select(F.col("id").alias("a"), F.explode(F.array("low", "prev")).alias("b")).where("a <> b").distinct()
-    edges = materialise(_verified(pairs, reps, texts), "edges")
+    bands = reps.select("id", "g", F.explode_outer("keys").alias("key"))
+    own = F.struct("id", "g")
+    bands = bands.select("id", "g", "key", F.first(own).over(order).alias("low"), F.lag(own).over(order).alias("prev"), F.lead("id").over(order).alias("next"))
+    bands = materialise(bands.where("prev is not null or next is not null").drop("next"), "buckets")
+    near = bands.where("prev is not null").select("id", "g", F.explode(F.array("low", "prev")).alias("o"))
+    pairs = near.where(agreement(F.col("g"), F.col("o.g")) >= AGREE).select(F.col("id").alias("a"), F.col("o.id").alias("b")).distinct()
+    edges = _verified(pairs, reps)
     # then all that share a bucket, are still apart and have not been compared in it
     parts = materialise(components(edges).withColumnRenamed("node", "id"), "parts")
-    placed = bands.join(parts, "id", "left").select("id", "key", "low", "prev", F.coalesce("component", "id").alias("k"))
-    other = placed.select("key", F.col("id").alias("b"), F.col("k").alias("kb"))
-    across = placed.join(other, "key").where("b < id and k <> kb and b <> low and b <> prev").select(F.col("id").alias("a"), "b").distinct()
-    joined = components(edges.union(materialise(_verified(across, reps, texts), "edges"))).select(F.col("node").alias("id"), "component")
-    known = reps.join(joined, "id", "left").select("h1", "h2", "occ", F.coalesce("component", "id").alias("k"))
-    least = known.groupBy("k").agg(F.min("occ").alias("keeper"))
-    kept = known.join(least, "k").select("h1", "h2", "keeper")
-    return ids.select("d", "x", "n", "occ", "h1", "h2").join(kept, ["h1", "h2"]).select("d", "x", "n", "occ", "keeper")
+    placed = bands.join(parts, "id", "left").select("id", "g", "key", F.col("low.id").alias("low"), F.col("prev.id").alias("prev"), F.coalesce("component", "id").alias("c"))
+    other = placed.select("key", F.col("id").alias("b"), F.col("g").alias("gb"), F.col("c").alias("cb"))
+    across = placed.join(other, "key").where("b < id and c <> cb and b <> low and b <> prev").where(agreement(F.col("g"), F.col("gb")) >= AGREE)
+    more = _verified(across.select(F.col("id").alias("a"), "b").distinct(), reps)
+    joined = components(edges.union(more))
+    member = materialise(joined.select(F.col("node").alias("id"), "component").union(joined.select("component", "component").distinct()), "parts")
+    release(bands, parts, edges, more)
+    # classes of one occurrence, which keep themselves, go no further
+    known = reps.select("id", "h1", "h2", "occ", "k").join(member, "id", "left").where("k > 1 or component is not null").select("h1", "h2", "occ", F.coalesce("component", "id").alias("c"))
+    known = materialise(known, "classes")
+    release(reps, member)
+    kept = known.join(known.groupBy("c").agg(F.min("occ").alias("keeper")), "c").select("h1", "h2", "keeper")
+    out = lines.select("d", "x", "n", "occ", "h1", "h2").join(kept, ["h1", "h2"], "left")
+    return out.select("d", "x", "n", "occ", F.coalesce("keeper", "occ").alias("keeper"))
 
 
 def deduplicated(docs: DataFrame) -> DataFrame:
@@ -126,10 +159,11 @@ def dedup_lines(docs: DataFrame) -> DataFrame:
     gone = line_classes(docs).where("occ <> keeper").groupBy(F.coalesce("d", F.lit(0)).alias("_cg_d"), F.col("d").isNull().alias("_cg_z"), F.col("x").alias("_cg_x")).agg(F.collect_set("n").alias("_cg_gone"))
     on = (F.coalesce(docs["doc_id"].cast("bigint"), F.lit(0)) == gone["_cg_d"]) & (docs["doc_id"].isNull() == gone["_cg_z"]) & (F.xxhash64(docs["text"]) == gone["_cg_x"])
     d = docs.join(gone, on, "left")
-    parts = F.split("text", "\n", -1)
-    left = F.array_except(F.sequence(F.lit(0), F.size(parts) - 1), F.col("_cg_gone"))
+    # exploded, so that a text is split once and not for each of its lines
+    d = d.withColumn("_cg_parts", F.explode_outer(F.array(F.when(F.col("_cg_gone").isNotNull(), F.split("text", "\n", -1)))))
+    left = F.array_except(F.sequence(F.lit(0), F.size("_cg_parts") - 1), F.col("_cg_gone"))
     text = F.array_join(F.transform(left, lambda i: F.get(F.col("_cg_parts"), i)), "\n")
-    d = d.withColumn("_cg_parts", parts).withColumn("_cg_text", F.when(F.col("_cg_gone").isNull(), F.col("text")).otherwise(text))
+    d = d.withColumn("_cg_text", F.when(F.col("_cg_gone").isNull(), F.col("text")).otherwise(text))
     d = d.where(F.col("_cg_gone").isNull() | (F.btrim("_cg_text", F.lit(BLANKS + "\n")) != ""))
     cols = [F.col("_cg_text").alias("text") if c == "text" else (F.when(F.col("_cg_gone").isNull(), F.col("n_chars")).otherwise(F.length("_cg_text")).cast(docs.schema["n_chars"].dataType).alias("n_chars") if c == "n_chars" else docs[c]) for c in docs.columns]
     return d.select(*cols)

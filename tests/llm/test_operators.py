@@ -9,6 +9,7 @@ import duckdb
 import numpy as np
 import pandas as pd
 import pytest
+from pyspark.sql import functions as F
 
 from critgraph.llm import arc_warc, chat_format, crf_quality, line_dedup, ngram_join, nnls_packing, pii_anchors, queries, sharding, url_lm, words, wu_manber
 from critgraph.runtime import components, ranked
@@ -70,20 +71,22 @@ def test_ranked_and_components(spark):
 # -- 1: line dedup -------------------------------------------------------------------------
 
 
-def line_sets(line):
-    out = {}
-    w = line.split(" ")
-    loose = len(line) > 16 * len(w)
-    if len(line) < line_dedup.SHORT or loose:
-        out[0] = {line[i : i + 5] for i in range(max(1, len(line) - 4))}
-    if len(line) >= line_dedup.SHORT * 80 // 100 and not loose:
-        out[1] = {(a + " " + b)[: line_dedup.START] for a, b in zip(w, w[1:] + [""])}
-    return out
+def line_set(line):
+    return {line[i : i + 5] for i in range(max(1, len(line) - 4))}
 
 
 def similar(a, b):
-    x, y = line_sets(a), line_sets(b)
-    return any(100 * len(x[k] & y[k]) >= 80 * len(x[k] | y[k]) for k in x.keys() & y.keys())
+    x, y = line_set(a), line_set(b)
+    return 100 * len(x & y) >= 80 * len(x | y)
+
+
+def test_blocks_hold_each_run_once(spark):
+    """Lines about a block's length, of signs beyond the basic plane too."""
+    lines = ["".join(chr(0x1F600 + k % 7) if k % 3 else "a" for k in range(n)) for n in (1, 4, 5, 63, 64, 65, 66, 67, 68, 69, 128, 132, 133, 300)]
+    d = spark.createDataFrame([(x,) for x in lines], "line string").select("line", line_dedup.blocks(F.col("line")).alias("b"))
+    for r in d.collect():
+        got = [b[i : i + 5] for b in r["b"] for i in range(max(1, len(b) - 4))]
+        assert got == [r["line"][i : i + 5] for i in range(max(1, len(r["line"]) - 4))]
 
 
 def test_line_dedup_against_brute_force(spark):
