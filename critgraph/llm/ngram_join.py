@@ -5,11 +5,13 @@ sequence). Documents with equal sets form a class; classes are the join's record
 
 Global order: n-grams that fall in unusually full buckets of a hashed count over all
 documents come last, all others in the order of their hash. Any order gives right results;
-this one keeps frequent passages out of prefixes. Two sets that reach the threshold share
+this one keeps frequent passages out of prefixes, and in a large group of near copies puts the n-grams
+that an edit made first. Two sets that reach the threshold share
 an n-gram of their prefixes, so prefixes are dealt by n-gram. In an n-gram's list each class
-is paired with its neighbour in size first; only classes that are still in different
-components are then compared across a list. Pairs pass the length bound and a parity-bitmap
-bound on the overlap (both lossless).
+is paired with its neighbour and with the class of fewest n-grams outside full buckets (of a group of
+near copies the least edited one, to which most others link); only classes that are still in different
+components are then compared across a list. Pairs pass the positional bound (what is left of both sets
+from the shared n-gram on holds the overlap needed) and a parity-bitmap bound on the overlap (both lossless).
 
 Vertical partitioning: the order is cut into ``FRAGMENTS`` fragments; each pair's overlap is
 counted fragment by fragment, and the partial counts are summed and held against the threshold.
@@ -30,7 +32,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from critgraph.llm.words import distinct, rolling, word_hashes
-from critgraph.runtime import components, materialise, ship
+from critgraph.runtime import components, materialise, release, ship
 
 WORDS = 5
 PCT = 80
@@ -83,7 +85,7 @@ def _texts(docs: DataFrame) -> DataFrame:
 
 
 def _summaries(docs: DataFrame) -> DataFrame:
-    """A row per document (n, class, parity bitmap) and a row of n-gram counts per task."""
+    """A row per document (x: the text's hash, n, class, parity bitmap) and a row of n-gram counts per task."""
 
     def run(batches):
         counts = np.zeros(BUCKETS, np.int64)
@@ -95,10 +97,10 @@ def _summaries(docs: DataFrame) -> DataFrame:
                 c.append(digest(s))
                 p.append(parity(s) if len(s) else None)
                 np.add.at(counts, (s & np.uint64(BUCKETS - 1)).astype(np.int64), 1)
-            yield pa.record_batch([b.column(0), pa.array(n, pa.int64()), pa.array(c, pa.int64()), pa.array(p, pa.binary()), pa.nulls(len(n), pa.binary())], names=["doc_id", "n", "c", "p", "counts"])
-        yield pa.record_batch([pa.nulls(1, pa.int64()), pa.nulls(1, pa.int64()), pa.nulls(1, pa.int64()), pa.nulls(1, pa.binary()), pa.array([counts.tobytes()], pa.binary())], names=["doc_id", "n", "c", "p", "counts"])
+            yield pa.record_batch([b.column(0), b.column(2), pa.array(n, pa.int64()), pa.array(c, pa.int64()), pa.array(p, pa.binary()), pa.nulls(len(n), pa.binary())], names=["doc_id", "x", "n", "c", "p", "counts"])
+        yield pa.record_batch([*[pa.nulls(1, pa.int64())] * 4, pa.nulls(1, pa.binary()), pa.array([counts.tobytes()], pa.binary())], names=["doc_id", "x", "n", "c", "p", "counts"])
 
-    return _texts(docs).mapInArrow(run, "doc_id bigint, n bigint, c bigint, p binary, counts binary")
+    return _texts(docs).withColumn("x", F.xxhash64("text")).mapInArrow(run, "doc_id bigint, x bigint, n bigint, c bigint, p binary, counts binary")
 
 
 def _hot(summaries: DataFrame) -> np.ndarray:
@@ -121,24 +123,28 @@ def _hot(summaries: DataFrame) -> np.ndarray:
 
 
 def _prefixes(docs: DataFrame, hot) -> DataFrame:
-    """(g, c, n): the n-grams of each class's prefix, once a task."""
+    """(g, c, n, p, e): the n-grams of each class's prefix with their places p, once a task; e counts the set's n-grams that are not hot."""
 
     def run(batches):
         seen: set[int] = set()
         for b in batches:
-            g, c, n = [], [], []
+            g, c, n, e = [], [], [], []
             for t in b.column(1).to_pylist():
                 s = shingle_set(t)
                 if not len(s) or (own := digest(s)) in seen:
                     continue
                 seen.add(own)
-                g.append(ordered(s, hot.value)[0][: prefix_length(len(s))])
+                s, cold = ordered(s, hot.value)
+                g.append(s[: prefix_length(len(s))])
                 c.append(own)
                 n.append(len(s))
+                e.append(cold)
             k = [len(x) for x in g]
-            yield pa.record_batch([pa.array(np.concatenate(g).view(np.int64) if g else [], pa.int64()), pa.array(np.repeat(np.array(c, np.int64), k)), pa.array(np.repeat(np.array(n, np.int32), k), pa.int32())], names=["g", "c", "n"])
+            places = [np.arange(x, dtype=np.int32) for x in k]
+            flat = (np.concatenate(g).view(np.int64), np.repeat(np.array(c, np.int64), k), np.repeat(np.array(n, np.int32), k), np.concatenate(places), np.repeat(np.array(e, np.int32), k)) if g else ((),) * 5
+            yield pa.record_batch([pa.array(x, kind) for x, kind in zip(flat, (pa.int64(), pa.int64(), pa.int32(), pa.int32(), pa.int32()))], names=["g", "c", "n", "p", "e"])
 
-    return _texts(docs).mapInArrow(run, "g bigint, c bigint, n int")
+    return _texts(docs).mapInArrow(run, "g bigint, c bigint, n int, p int, e int")
 
 
 def _filter(ids: DataFrame) -> np.ndarray:
@@ -191,7 +197,7 @@ def _fragments(docs: DataFrame, ids: DataFrame, hot) -> DataFrame:
 
 
 def _bounded(pairs: DataFrame, summaries: DataFrame) -> DataFrame:
-    """The pairs (a, b, na, nb) that the parity bitmaps don't rule out, with ``far``, a bound of their distance."""
+    """The pairs (a, b, na, nb) that the parity bitmaps don't rule out."""
     maps = summaries.where("p is not null").groupBy("c").agg(F.first("p").alias("p"))
     p = pairs.join(maps.select(F.col("c").alias("a"), F.col("p").alias("pa")), "a").join(maps.select(F.col("c").alias("b"), F.col("p").alias("pb")), "b")
 
@@ -199,10 +205,10 @@ def _bounded(pairs: DataFrame, summaries: DataFrame) -> DataFrame:
         for t in batches:
             differ = np.array([apart(x, y) for x, y in zip(t.column(4).to_pylist(), t.column(5).to_pylist())], np.int64)
             both = t.column(2).to_numpy().astype(np.int64) + t.column(3).to_numpy()
-            out = pa.record_batch([*(t.column(i) for i in range(4)), pa.array(differ / np.maximum(both, 1))], names=["a", "b", "na", "nb", "far"])
+            out = pa.record_batch([t.column(i) for i in range(4)], names=["a", "b", "na", "nb"])
             yield out.filter(pa.array((100 + PCT) * (both - differ) >= 2 * PCT * both))
 
-    return p.select("a", "b", "na", "nb", "pa", "pb").mapInArrow(run, "a bigint, b bigint, na int, nb int, far double")
+    return p.select("a", "b", "na", "nb", "pa", "pb").mapInArrow(run, "a bigint, b bigint, na int, nb int")
 
 
 def _verified(docs: DataFrame, summaries: DataFrame, pairs: DataFrame, hot) -> DataFrame:
@@ -221,61 +227,78 @@ def _verified(docs: DataFrame, summaries: DataFrame, pairs: DataFrame, hot) -> D
     partial = sides.select("a", "b", "na", "nb", "ga", "gb", "f").mapInArrow(run, "a bigint, b bigint, na int, nb int, f int, k bigint")
     # copies of a text give the same partial count more than once
     partial = partial.groupBy("a", "b", "na", "nb", "f").agg(F.max("k").alias("k"))
-    return partial.groupBy("a", "b", "na", "nb").agg(F.sum("k").alias("k")).where(100 * F.col("k") >= PCT * (F.col("na") + F.col("nb") - F.col("k"))).select("a", "b")
+    out = partial.groupBy("a", "b", "na", "nb").agg(F.sum("k").alias("k")).where(100 * F.col("k") >= PCT * (F.col("na") + F.col("nb") - F.col("k"))).select("a", "b")
+    out = materialise(out, "edges")
+    release(pairs, one)
+    return out
 
 
 def _neighbours(prefixes: DataFrame) -> DataFrame:
-    """The lists of n-grams, (g, c, n) a class each, with the class before it and the first one; lists of one row go.
+    """The lists of n-grams, (g, c, n, p) a class each, with the class before it and the first one; lists of one row go.
 
     A class has a row from each task that holds a copy of it; the first of them stays, also where it begins the list.
     """
-    near = Window.partitionBy("g").orderBy("n", "c")
-    d = prefixes.withColumns({"pc": F.lag("c").over(near), "pn": F.lag("n").over(near), "nc": F.lead("c").over(near), "fc": F.first("c").over(near), "fn": F.first("n").over(near)})
-    return d.where(F.coalesce(F.col("pc") != F.col("c"), F.col("nc").isNotNull())).select("g", "c", "n", "pc", "pn", "fc", "fn")
+    near = Window.partitionBy("g").orderBy("e", "n", "c")
+    own = F.struct("c", "n", "p")
+    d = prefixes.select("g", "c", "n", "p", F.lag(own).over(near).alias("before"), F.first(own).over(near).alias("first"), F.lead("c").over(near).alias("nc"))
+    return d.where(F.coalesce(F.col("before.c") != F.col("c"), F.col("nc").isNotNull())).drop("nc")
 
 
-def joined(docs: DataFrame) -> DataFrame:
-    """Per document: doc_id, n_shingles, component_id."""
+def _fits(n, p, m, q):
+    """Whether sets of n and m n-grams that first meet at places p and q can reach the threshold."""
+    return (100 + PCT) * F.least(n - p, m - q).cast("bigint") >= PCT * (n.cast("bigint") + m)
+
+
+def _linked(docs: DataFrame) -> tuple[DataFrame, DataFrame]:
+    """(rows: doc_id, x, n, c of each row of docs; classes: c with its component k, for classes in a component of several)."""
     spark = docs.sparkSession
     ship(spark)
     summaries = materialise(_summaries(docs), "sets")
-    rows = summaries.where("n is not null")
     hot = spark.sparkContext.broadcast(_hot(summaries))
     lists = materialise(_neighbours(_prefixes(docs, hot)), "lists")
-    fits = lambda p, q: 100 * F.least(p, q) >= PCT * F.greatest(p, q)
-
-    def paired(c: str, n: str) -> DataFrame:
-        side = lambda x, y: F.when(F.col("c") < F.col(c), F.col(x)).otherwise(F.col(y))
-        p = lists.where(F.col(c) != F.col("c")).where(fits("n", n)).select(side("c", c).alias("a"), side(c, "c").alias("b"), side("n", n).alias("na"), side(n, "n").alias("nb"))
-        return _bounded(p.groupBy("a", "b", "na", "nb").count().drop("count"), summaries)
-
-    def chosen(pairs: DataFrame, *key: str) -> DataFrame:
-        """For each class the pair of least key; ``other`` and ``size`` are the other class's digest and size."""
-        ends = pairs.select(F.col("a").alias("own"), F.col("b").alias("other"), F.col("nb").alias("size"), "*").union(pairs.select(F.col("b").alias("own"), F.col("a").alias("other"), F.col("na").alias("size"), "*"))
-        return ends.groupBy("own").agg(F.min(F.struct(*key, "a", "b", "na", "nb")).alias("s")).select("s.a", "s.b", "s.na", "s.nb")
-
-    # first each class with its likeliest neighbour and with the least class that begins one of its lists (one hub for a
-    # whole group of near copies), then what is still apart
-    best = chosen(paired("pc", "pn"), "far", "other").union(chosen(paired("fc", "fn"), "size", "other")).distinct()
-    edges = materialise(_verified(docs, summaries, best, hot), "edges")
+
+    def paired(of: str) -> DataFrame:
+        c, n, p = (F.col(f"{of}.{x}") for x in "cnp")
+        d = lists.where((c != F.col("c")) & _fits(F.col("n"), F.col("p"), n, p))
+        side = lambda x, y: F.when(F.col("c") < c, x).otherwise(y)
+        return d.select(side(F.col("c"), c).alias("a"), side(c, F.col("c")).alias("b"), side(F.col("n"), n).alias("na"), side(n, F.col("n")).alias("nb"))
+
+    # first each class with its neighbours and with the hubs of its lists, then what is still apart
+    near = materialise(paired("before").union(paired("first")).distinct(), "near")
+    edges = _verified(docs, summaries, _bounded(near, summaries), hot)
     parts = materialise(components(edges), "parts")
-    placed = lists.join(parts.withColumnRenamed("node", "c"), "c", "left").select("g", "c", "n", F.coalesce("component", "c").alias("k"))
-    other = placed.select("g", F.col("c").alias("b"), F.col("n").alias("nb"), F.col("k").alias("kb"))
-    across = placed.join(other, "g").where("c < b and k <> kb").where(fits("n", "nb")).select(F.col("c").alias("a"), "b", F.col("n").alias("na"), "nb").distinct()
-    more = materialise(_verified(docs, summaries, _bounded(across, summaries).drop("far"), hot), "edges")
-    every = components(edges.union(more))
+    placed = lists.join(parts.withColumnRenamed("node", "c"), "c", "left").select("g", "c", "n", "p", F.coalesce("component", "c").alias("k"))
+    other = placed.select("g", F.col("c").alias("b"), F.col("n").alias("nb"), F.col("p").alias("q"), F.col("k").alias("kb"))
+    across = placed.join(other, "g").where((F.col("c") < F.col("b")) & (F.col("k") != F.col("kb")) & _fits(F.col("n"), F.col("p"), F.col("nb"), F.col("q")))
+    across = across.select(F.col("c").alias("a"), "b", F.col("n").alias("na"), "nb").distinct().join(near.select("a", "b"), ["a", "b"], "left_anti")
+    across = materialise(across, "across")
+    release(lists, near, parts)
+    more = _verified(docs, summaries, _bounded(across, summaries), hot)
+    every = materialise(components(edges.union(more)), "parts")
+    release(across, edges, more)
+    classes = every.select(F.col("node").alias("c"), F.col("component").alias("k")).union(every.select("component", "component").distinct())
+    return summaries.where("n is not null").select("doc_id", "x", "n", "c"), classes
+
+
+def joined(docs: DataFrame) -> DataFrame:
+    """Per document: doc_id, n_shingles, component_id."""
+    rows, classes = _linked(docs)
     named = rows.where("n > 0 and doc_id is not null").groupBy("c").agg(F.min("doc_id").alias("least"))
-    named = named.join(every.withColumnRenamed("node", "c"), "c", "left").withColumn("k", F.coalesce("component", "c"))
+    named = named.join(classes, "c", "left").withColumn("k", F.coalesce("k", "c"))
     named = named.select("c", F.col("k")).join(named.groupBy("k").agg(F.min("least").alias("component_id")), "k").select("c", "component_id")
     out = rows.where("n > 0 and doc_id is not null").join(named, "c").select("doc_id", F.col("n").alias("n_shingles"), "component_id")
     return out.union(rows.where("n = 0 or doc_id is null").select("doc_id", F.col("n").alias("n_shingles"), F.col("doc_id").alias("component_id")))
 
 
 def one_of_each(docs: DataFrame) -> DataFrame:
-    """The rows of ``docs`` without those linked to a document of lesser id; of rows with one doc_id one stays.
+    """The rows of ``docs`` without those linked to a document of lesser id.
 
-    Rows without an id stay.
+    Rows that share a doc_id are judged by their own texts: of linked ones the text of least hash stays, others all
+    stay; of rows equal in id and text one stays. Rows without an id stay.
     """
-    keep = joined(docs).where("doc_id = component_id").select(F.col("doc_id").alias("_cg_id")).distinct()
-    named = docs.join(keep, docs["doc_id"] == keep["_cg_id"], "left_semi").dropDuplicates(["doc_id"])
+    rows, classes = _linked(docs)
+    own = rows.where("n > 0 and doc_id is not null").join(classes, "c", "left").groupBy(F.coalesce("k", "c").alias("k")).agg(F.min(F.struct("doc_id", "x")).alias("s"))
+    keep = own.select("s.doc_id", "s.x").union(rows.where("n = 0 and doc_id is not null").select("doc_id", "x").distinct()).toDF("_cg_id", "_cg_x")
+    named = docs.withColumn("_cg_own", F.xxhash64(F.col("text").cast("binary")))
+    named = named.join(keep, (F.col("doc_id").cast("bigint") == F.col("_cg_id")) & (F.col("_cg_own") == F.col("_cg_x")), "left_semi").dropDuplicates(["doc_id", "_cg_own"]).drop("_cg_own")
     return named.unionByName(docs.where("doc_id is null"))

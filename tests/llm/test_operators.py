@@ -219,9 +219,44 @@ def test_ngram_join_of_many_near_copies(spark):
 
 
 def test_lists_keep_a_first_class_with_copies(spark):
-    rows = [(7, 1, 9)] * 2 + [(7, 2, 9), (7, 3, 9), (8, 4, 9), (9, 5, 9), (9, 6, 8), (9, 6, 8), (9, 6, 8)]
-    got = ngram_join._neighbours(spark.createDataFrame(rows, "g bigint, c bigint, n int")).collect()
-    assert sorted((r["g"], r["c"], r["pc"] or 0, r["fc"]) for r in got) == [(7, 1, 0, 1), (7, 2, 1, 1), (7, 3, 2, 1), (9, 5, 6, 6), (9, 6, 0, 6)]
+    rows = [(7, 1, 9, 0, 9)] * 2 + [(7, 2, 9, 1, 9), (7, 3, 9, 0, 9), (8, 4, 9, 0, 9), (9, 5, 9, 0, 9), *[(9, 6, 8, 0, 8)] * 3]
+    got = ngram_join._neighbours(spark.createDataFrame(rows, "g bigint, c bigint, n int, p int, e int")).collect()
+    assert sorted((r["g"], r["c"], r["before"]["c"] if r["before"] else 0, r["first"]["c"]) for r in got) == [(7, 1, 0, 1), (7, 2, 1, 1), (7, 3, 2, 1), (9, 5, 6, 6), (9, 6, 0, 6)]
+
+
+def test_ngram_join_of_a_group_with_loose_members(spark):
+    """Near copies of up to nine edits, of which the most edited ones link with few or none."""
+    r = random.Random(21)
+    base = prose(r, 150, 5000).split(" ")
+    rows = []
+    for k in range(150):
+        t = list(base)
+        for _ in range(r.randrange(10)):
+            t[r.randrange(150)] = f"k{r.randrange(40)}"
+        rows.append((k, " ".join(t)))
+    sets = [{tuple(w[i : i + 5]) for i in range(len(w) - 4)} for w in (t.split(" ") for _, t in rows)]
+    parent = list(range(len(rows)))
+
+    def root(v):
+        while parent[v] != v:
+            v = parent[v]
+        return v
+
+    for i, a in enumerate(sets):
+        for k, b in enumerate(sets[:i]):
+            if 100 * len(a & b) >= 80 * len(a | b):
+                x, y = sorted((root(i), root(k)))
+                parent[y] = x
+    got = {x["doc_id"]: x["component_id"] for x in ngram_join.joined(docs(spark, rows)).collect()}
+    assert got == {k: root(k) for k in range(150)} and 5 < len(set(got.values())) < 140
+
+
+def test_one_of_each_keeps_unlinked_texts_of_one_id(spark):
+    r = random.Random(8)
+    a, b = prose(r, 60), prose(r, 60)
+    rows = [(1, a), (1, b), (1, a), (2, a), (3, b), (4, ""), (4, a), (None, a), (None, a)]
+    got = sorted(((x["doc_id"], x["text"]) for x in ngram_join.one_of_each(docs(spark, rows)).collect()), key=str)
+    assert got == sorted([(1, a), (1, b), (4, ""), (None, a), (None, a)], key=str)
 
 
 def test_parity_is_a_lower_bound():
@@ -269,6 +304,24 @@ def test_viterbi_is_the_best_of_all_labellings():
         assert abs(value(crf_quality.viterbi(s, t)) - max(value(y) for y in product((0, 1), repeat=6))) < 1e-9
 
 
+def test_field_parts_mixed_documents(spark):
+    """Documents with boilerplate between content: the share lies between 0 and 1 and follows what was planted."""
+    sf = "/root/testdata/sf0.01"
+    d, labels = spark.read.parquet(f"{sf}/documents.parquet"), spark.read.parquet(f"{sf}/labels.parquet")
+    w = crf_quality.train(d, labels)
+    r = random.Random(3)
+    good = lambda: " ".join("".join(r.choice("abcdeghilmnorstu") for _ in range(r.randrange(2, 9))) for _ in range(12)).capitalize() + "."
+    bad = lambda: " ".join("### $$$ *** %%% 12 | 7 |".split()[r.randrange(7)] for _ in range(12))
+    texts = [(k, "\n".join([*(good() for _ in range(10 - k)), *(bad() for _ in range(2 * k)), *(good() for _ in range(10 - k))])) for k in range(11)]
+    got = {x["doc_id"]: (x["content_share"], x["kept"]) for x in crf_quality.quality(docs(spark, texts), w).collect()}
+    assert all(abs(got[k][0] - (1 - k / 10)) < 0.11 for k in range(11)), got
+    assert [got[k][1] for k in (0, 2, 8, 10)] == [True, True, False, False]
+    # a labelled null text, and documents of any length, take part without harm
+    extra = spark.createDataFrame([(10**6, None), (10**6 + 1, "\n".join(good() for _ in range(700)))], "doc_id bigint, text string")
+    more = spark.createDataFrame([(10**6, 1), (10**6 + 1, 1)], "doc_id bigint, quality int")
+    assert len(crf_quality.train(extra, more.withColumn("quality", F.col("doc_id") % 2), fit_segments=5)[0]) == len(crf_quality.FEATURES)
+
+
 def test_quality_model_on_held_out_labels(spark):
     sf = "/root/testdata/sf0.01"
     d, labels = spark.read.parquet(f"{sf}/documents.parquet"), spark.read.parquet(f"{sf}/labels.parquet")
