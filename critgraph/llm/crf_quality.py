@@ -2,8 +2,11 @@
 
 Each line with a word is labelled content (1) or boilerplate (0); a document is kept if it
 passes the base rules and content lines hold at least ``MIN_SHARE`` of its words. The field
-is fitted here, on the lines of at most ``FIT_DOCS`` labelled documents (those of least
-hash of doc_id), a line taking its document's quality as its label.
+is fitted here, on at most ``FIT_DOCS`` labelled documents (those of least hash of doc_id), cut into
+segments of ``SEGMENT`` lines, of which at most ``FIT_SEGMENTS`` (of least hash) are used. Labels hold for
+documents; line labels are made from them: lines of documents of quality 0 are boilerplate, lines of the others are
+content unless they repeat an earlier line of their document; and into every segment of content a run
+of lines of a segment of boilerplate is planted, and the other way round, so that labels change within a sequence.
 
 Defined results: null texts have no words, fail the base rules and are dropped; very long
 texts are decoded whole; repeated rows are judged alike; without usable labels the fixed
@@ -20,9 +23,7 @@ from pyspark.sql import functions as F
 from critgraph.llm.words import rolling, word_hashes
 from critgraph.runtime import ship
 
-FIT_DOCS = 3000
-#: Labelled documents with more lines than this are left out of the fit (never out of the judgement).
-FIT_LINES = 200
+FIT_DOCS, FIT_SEGMENTS, SEGMENT = 3000, 6000, 40
 MIN_SHARE = 0.5
 MIN_WORDS, WINDOW, REPEAT_PCT = 20, 8, 30
 #: Words of a block whose variety is measured: the share of distinct words falls with length, so a line's variety is the
@@ -96,16 +97,33 @@ def viterbi(score: np.ndarray, step: np.ndarray) -> list[int]:
     return out[::-1]
 
 
-def fit(docs: list[tuple[np.ndarray, int]], rounds: int = 150, rate: float = 0.3, l2: float = 1e-3) -> tuple[list, list]:
-    """Conditional likelihood ascent (forward-backward over all documents of a length at once)."""
+def planted(x: np.ndarray, y: np.ndarray, into: np.ndarray, labels: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """The sequence ``into`` with the lines ``x`` (a third of its own length at most) put in after half of it."""
+    at, n = len(into) // 2, max(1, min(len(x), len(into) // 3))
+    return np.concatenate([into[:at], x[:n], into[at:]]), np.concatenate([labels[:at], y[:n], labels[at:]])
+
+
+def mixed(segments: list[tuple[np.ndarray, np.ndarray]]) -> list[tuple[np.ndarray, np.ndarray]]:
+    """The segments, and each of them with lines planted from one of the other kind."""
+    good, bad = ([s for s in segments if (s[1].mean() >= 0.5) == kind] for kind in (True, False))
+    if not good or not bad:
+        return segments
+    out = list(segments)
+    for these, others in ((good, bad), (bad, good)):
+        out += [planted(*others[k % len(others)], *s) for k, s in enumerate(these)]
+    return out
+
+
+def fit(segments: list[tuple[np.ndarray, np.ndarray]], rounds: int = 120, rate: float = 0.3, l2: float = 1e-3) -> tuple[list, list]:
+    """Conditional likelihood ascent on (features, label of each line) sequences (forward-backward over all of a length at once)."""
     w, t = np.array(PRIOR[0]), np.array(PRIOR[1])
     by: dict[int, list] = {}
-    for x, y in docs:
+    for x, y in segments:
         by.setdefault(len(x), []).append((x, y))
-    groups = [(np.stack([x for x, _ in v]), np.array([y for _, y in v])) for v in by.values()]
-    total = sum(len(x) for x, _ in docs)
+    groups = [(np.stack([x for x, _ in v]), np.stack([y for _, y in v])) for v in by.values()]
+    total = sum(len(x) for x, _ in segments)
     #: both classes weigh the same
-    share = sum(len(x) * y for x, y in docs) / max(total, 1)
+    share = sum(int(y.sum()) for _, y in segments) / max(total, 1)
     if not 0 < share < 1:
         return PRIOR
     mean_w, mean_t = np.zeros_like(w), np.zeros_like(t)
@@ -114,7 +132,8 @@ def fit(docs: list[tuple[np.ndarray, int]], rounds: int = 150, rate: float = 0.3
         gw, gt = -l2 * w, -l2 * t
         for x, y in groups:
             d, n, _ = x.shape
-            weight = np.where(y == 1, 0.5 / share, 0.5 / (1 - share)) / total
+            # a sequence weighs as its lines do on average
+            weight = np.where(y == 1, 0.5 / share, 0.5 / (1 - share)).mean(1) / total
             e = np.stack([np.zeros((d, n)), x @ w], -1)
             f, g = np.empty_like(e), np.zeros_like(e)
             f[:, 0] = e[:, 0]
@@ -125,11 +144,11 @@ def fit(docs: list[tuple[np.ndarray, int]], rounds: int = 150, rate: float = 0.3
                 g[:, i] = np.logaddexp(t[:, 0] + z[:, 0, None], t[:, 1] + z[:, 1, None])
             logz = np.logaddexp(f[:, -1, 0], f[:, -1, 1])
             p1 = np.exp(f[:, :, 1] + g[:, :, 1] - logz[:, None])
-            gw = gw + ((y[:, None] - p1) * weight[:, None]) .ravel() @ x.reshape(-1, x.shape[-1])
+            gw = gw + ((y - p1) * weight[:, None]).ravel() @ x.reshape(-1, x.shape[-1])
             for a in (0, 1):
                 for b in (0, 1):
                     expect = np.exp(f[:, :-1, a] + t[a, b] + e[:, 1:, b] + g[:, 1:, b] - logz[:, None]).sum(1)
-                    gt[a, b] += (weight * (((y == a) & (y == b)) * (n - 1) - expect)).sum()
+                    gt[a, b] += (weight * (((y[:, :-1] == a) & (y[:, 1:] == b)).sum(1) - expect)).sum()
         mean_w, var_w = 0.9 * mean_w + 0.1 * gw, 0.99 * var_w + 0.01 * gw * gw
         mean_t, var_t = 0.9 * mean_t + 0.1 * gt, 0.99 * var_t + 0.01 * gt * gt
         c1, c2 = 1 - 0.9**k, 1 - 0.99**k
@@ -138,30 +157,33 @@ def fit(docs: list[tuple[np.ndarray, int]], rounds: int = 150, rate: float = 0.3
     return w.tolist(), t.tolist()
 
 
-def train(docs: DataFrame, labels: DataFrame, fit_docs: int = FIT_DOCS) -> tuple[list, list]:
-    """Weights fitted on at most ``fit_docs`` labelled documents; their features, not their texts, reach the driver."""
+def train(docs: DataFrame, labels: DataFrame, fit_docs: int = FIT_DOCS, fit_segments: int = FIT_SEGMENTS) -> tuple[list, list]:
+    """Weights fitted on at most ``fit_segments`` segments of ``fit_docs`` labelled documents; their features, not their texts, reach the driver."""
     ship(docs.sparkSession)
     chosen = (
         labels.select(F.col("doc_id").alias("_id"), F.col("quality").cast("int").alias("_y")).where("_id is not null and _y in (0, 1)")
         .groupBy("_id").agg(F.max("_y").alias("_y")).orderBy(F.xxhash64("_id"), "_id").limit(fit_docs)
     )
-    lines = F.size(F.split("text", "\n"))
-    sample = docs.select("doc_id", F.col("text").cast("binary").alias("_t"), lines.alias("_n")).join(F.broadcast(chosen), F.col("doc_id") == F.col("_id")).where(F.col("_n") <= FIT_LINES)
+    sample = docs.select("doc_id", F.col("text").cast("binary").alias("_t")).join(F.broadcast(chosen), F.col("doc_id") == F.col("_id"))
 
     def features(batches):
+        repeated = FEATURES.index("repeated")
         for b in batches:
-            ids, xs, ys = [], [], []
-            for i, t, y in zip(b.column(0).to_pylist(), b.column(1).to_pylist(), b.column(2).to_pylist()):
-                _, _, _, _, _, own = base_counts(t)
-                if own:
+            ids, parts, xs, ys = [], [], [], []
+            for i, text, y in zip(b.column(0).to_pylist(), b.column(1).to_pylist(), b.column(2).to_pylist()):
+                x, _ = line_features(base_counts(text or b"")[5])
+                for k in range(0, len(x), SEGMENT):
+                    own = x[k : k + SEGMENT]
                     ids.append(i)
-                    xs.append(line_features(own)[0].ravel().tolist())
-                    ys.append(y)
-            yield pa.record_batch([pa.array(ids, pa.int64()), pa.array(xs, pa.list_(pa.float64())), pa.array(ys, pa.int32())], names=["i", "x", "y"])
-
-    rows = sample.select(F.col("doc_id").cast("bigint"), "_t", "_y").mapInArrow(features, "i bigint, x array<double>, y int").collect()
-    rows.sort(key=lambda r: (r["i"], r["x"]))
-    return fit([(np.array(r["x"]).reshape(-1, len(FEATURES)), r["y"]) for r in rows]) if rows else PRIOR
+                    parts.append(k)
+                    xs.append(own.ravel().tolist())
+                    ys.append([int(y and not r) for r in own[:, repeated]])
+            yield pa.record_batch([pa.array(ids, pa.int64()), pa.array(parts, pa.int64()), pa.array(xs, pa.list_(pa.float64())), pa.array(ys, pa.list_(pa.int32()))], names=["i", "k", "x", "y"])
+
+    made = sample.select(F.col("doc_id").cast("bigint"), "_t", "_y").mapInArrow(features, "i bigint, k bigint, x array<double>, y array<int>")
+    rows = made.orderBy(F.xxhash64("i", "k"), "i", "k", "x").limit(fit_segments).collect()
+    segments = [(np.array(r["x"]).reshape(-1, len(FEATURES)), np.array(r["y"])) for r in rows]
+    return fit(mixed(segments)) if segments else PRIOR
 
 
 def judge(text: bytes, w: np.ndarray, t: np.ndarray) -> tuple:
