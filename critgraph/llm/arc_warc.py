@@ -1,15 +1,15 @@
 """WARC: converter of legacy ARC archives.
 
-Pages are laid down as ARC records (version 1 and version 2 header lines), the records are
-parsed by their declared lengths, and equivalent WARC records are synthesised: identifier,
-date, type, target URI, media type and digests. Equal payloads of at least 100 bytes are
-kept once, by the record of least page_id; the others become revisits of it. Archives are
-tables of gzip members ordered by place: the members of an archive joined in order are a
-.warc.gz file, which ``export`` writes out.
+``lay_down`` writes pages as ARC archives of many records, of version 1 and of version 2; an archive is a row that
+holds a whole ``.arc.gz`` file (a gzip member a record). ``convert`` parses each archive's records by their declared
+lengths and synthesises an equivalent WARC archive: identifier, date, type, target URI, media type and digests. Equal
+payloads of at least 100 bytes are kept once, by the record of least page_id; the others become revisits that name it.
+Only the digests and places of records are grouped and joined; payloads travel with their archive. ``export`` writes
+archives out as files.
 
 Defined results: a null html is an empty payload; a null url is "about:blank", and blanks or
-control characters in a URL are percent-encoded; repeated rows give a record each, all with
-the same page_id, of the same type; a null page_id counts as the least id; an empty table
+control characters in a URL are percent-encoded; header lines that are not UTF-8 are read byte by byte; repeated rows
+give a record each with an identifier of its own, all of the same type; a null page_id counts as the least id; very long pages fill an archive alone; an empty table
 gives no record. Extra columns are not read.
 """
 
@@ -19,17 +19,18 @@ import base64
 import gzip
 import hashlib
 import uuid
-import zlib
 from collections.abc import Iterator
 
 import pyarrow as pa
+from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from critgraph.runtime import materialise, ship
+from critgraph.runtime import materialise, release, ship
 
 MIN_DUPLICATE = 100
-SLICE = 256  # pages whose records a worker holds at once
+ARC_BYTES = 4 << 20  # an archive is closed when its records have so many
+PAGE_FIELD = "X-Page-Id"  # of a record's HTTP message: carries the page's id through both formats
 ARC_FIELDS = {1: ("url", "ip", "date", "type", "length"), 2: ("url", "ip", "date", "type", "code", "checksum", "location", "offset", "file", "length")}
 _EPOCH = "20200101000000"
 
@@ -47,19 +48,37 @@ def arc_head(version: int) -> bytes:
     return line + (b"" if version == 1 else b"200 - - 0 pages.arc ") + b"%d\n" % len(body) + body + b"\n"
 
 
-def arc_record(version: int, url: str, payload: bytes, checksum: str = "-") -> bytes:
+def arc_record(version: int, url: str, payload: bytes, checksum: str = "-", page: int | None = None) -> bytes:
     """Header line, HTTP message, newline."""
-    body = b"HTTP/1.1 200 OK\r\nContent-Type: text/html; charset=utf-8\r\nContent-Length: %d\r\n\r\n" % len(payload) + payload
+    own = b"" if page is None else b"%s: %d\r\n" % (PAGE_FIELD.encode(), page)
+    body = b"HTTP/1.1 200 OK\r\nContent-Type: text/html; charset=utf-8\r\nContent-Length: %d\r\n%s\r\n" % (len(payload), own) + payload
     line = f"{safe_url(url)} 0.0.0.0 {_EPOCH} text/html " + ("" if version == 1 else f"200 {checksum} - 0 pages.arc ") + f"{len(body)}\n"
     return line.encode() + body + b"\n"
 
 
+def header_text(raw: bytes) -> str:
+    """A header line of a legacy archive; one that is not UTF-8 is taken byte by byte."""
+    try:
+        return raw.decode()
+    except UnicodeDecodeError:
+        return raw.decode("latin-1")
+
+
+def http_fields(body: bytes) -> dict[str, str]:
+    return dict(x.split(": ", 1) for x in header_text(body.partition(b"\r\n\r\n")[0]).split("\r\n")[1:] if ": " in x)
+
+
+def page_of(body: bytes) -> int | None:
+    own = http_fields(body).get(PAGE_FIELD)
+    return None if own is None else int(own)
+
+
 def parse_arc(data: bytes) -> Iterator[dict]:
     """The records after the version block: a field each, ``body`` and ``payload``. Bad lengths raise ValueError."""
     at, version = 0, None
     while at < len(data):
         stop = data.index(b"\n", at)
-        line = data[at:stop].decode().split(" ")
+        line = header_text(data[at:stop]).split(" ")
         size = int(line[-1])
         body = data[stop + 1 : stop + 1 + size]
         if size < 0 or len(body) != size or data[stop + 1 + size : stop + 2 + size] != b"\n":
@@ -99,89 +118,143 @@ def parse_warc(data: bytes) -> Iterator[tuple[dict[str, str], bytes]]:
         at = stop + 8 + size
 
 
-def record_urn(page_id: int | None, crc: int) -> str:
-    return "urn:uuid:" + str(uuid.uuid5(uuid.NAMESPACE_URL, f"page:{page_id}:{crc}"))
+def record_urn(archive: str, place: int) -> str:
+    return "urn:uuid:" + str(uuid.uuid5(uuid.NAMESPACE_URL, f"{archive}#{place}"))
 
 
-def decisions(pages: DataFrame) -> DataFrame:
-    """Per row: page_id, url, html, payload digest and size, and the id of the record to revisit (its own: response).
-
-    Only digests are grouped, with map-side minima; a digest that occurs once is not joined at all.
-    """
-    raw = F.coalesce(F.col("html"), F.lit("")).cast("binary")
-    rows = pages.select("page_id", "url", "html", F.sha2(raw, 256).alias("_d"), F.octet_length(raw).alias("_n"))
-    again = rows.where(F.col("_n") >= MIN_DUPLICATE).groupBy("_d").agg(F.min(F.struct("page_id")).alias("_first"), F.count(F.lit(1)).alias("_k"))
-    return rows.join(again.where("_k > 1").select("_d", F.col("_first.page_id").alias("_to"), F.lit(True).alias("_multi")), "_d", "left")
+def warc_info(archive: str) -> bytes:
+    body = f"software: critgraph\r\nformat: WARC File Format 1.1\r\nconverted-from: {archive}\r\n".encode()
+    e = _EPOCH
+    head = f"WARC/1.1\r\nWARC-Type: warcinfo\r\nWARC-Record-ID: <{record_urn(archive, -1)}>\r\nWARC-Date: {e[:4]}-{e[4:6]}-{e[6:8]}T00:00:00Z\r\nContent-Type: application/warc-fields\r\nContent-Length: {len(body)}\r\n\r\n"
+    return head.encode() + body + b"\r\n\r\n"
 
 
-def convert(pages: DataFrame) -> DataFrame:
-    """Archives in shared storage: archive, place, page_id, member (a gzip member holding one WARC record)."""
+def lay_down(pages: DataFrame, arc_bytes: int = ARC_BYTES) -> DataFrame:
+    """Legacy archives of the pages: archive (name), data (a .arc.gz file)."""
     ship(pages.sparkSession)
 
     def run(batches):
-        for b in (whole.slice(at, SLICE) for whole in batches for at in range(0, whole.num_rows, SLICE)):
-            ids, members = [], []
-            cols = [b.column(k).to_pylist() for k in range(5)]
-            for page, url, html, to, multi in zip(*cols):
-                version = 1 + ((page or 0) & 1)
+        task, made, size, members = TaskContext.get().partitionId(), 0, 0, []
+
+        def closed():
+            head = gzip.compress(arc_head(made % 2 + 1), 1, mtime=0)
+            return pa.record_batch([pa.array([f"pages-{task:06d}-{made:06d}.arc.gz"]), pa.array([head + b"".join(members)], pa.binary())], names=["archive", "data"])
+
+        for b in batches:
+            for k in range(b.num_rows):
+                page, url, html = (b.column(i)[k].as_py() for i in range(3))
                 payload = (html or "").encode()
-                sha = hashlib.sha256(payload).hexdigest()
-                (arc,) = parse_arc(arc_head(version) + arc_record(version, url, payload, sha))
-                payload = arc["payload"]
-                crc = zlib.crc32(arc["url"].encode() + payload)
-                fields = {"WARC-Payload-Digest": f"sha256:{hashlib.sha256(payload).hexdigest()}", "X-Page-Id": "" if page is None else str(page), "X-Payload-Length": str(len(payload))}
-                kind = "response" if not multi or to == page else "revisit"
-                if kind == "revisit":
-                    fields |= {"WARC-Profile": "http://netpreserve.org/warc/1.1/revisit/identical-payload-digest", "X-Refers-To-Page": "" if to is None else str(to)}
-                ids.append(page)
-                members.append(gzip.compress(warc_record(kind, record_urn(page, crc), arc, fields), 1, mtime=0))
-            yield pa.record_batch([pa.array(ids, pa.int64()), pa.array(members, pa.binary())], names=["page_id", "member"])
-
-    made = decisions(pages).select(F.col("page_id").cast("bigint"), "url", "html", F.col("_to").cast("bigint"), "_multi").mapInArrow(run, "page_id bigint, member binary")
-    at = F.monotonically_increasing_id()
-    return made.select(F.format_string("pages-%06d.warc.gz", F.shiftright(at, 33)).alias("archive"), at.bitwiseAND(F.lit((1 << 33) - 1)).alias("place"), "page_id", "member")
+                record = arc_record(made % 2 + 1, url, payload, hashlib.sha1(payload).hexdigest(), page)
+                members.append(gzip.compress(record, 1, mtime=0))
+                size += len(record)
+                if size >= arc_bytes:
+                    yield closed()
+                    made, size, members = made + 1, 0, []
+        if members:
+            yield closed()
+
+    return pages.select(F.col("page_id").cast("bigint"), F.col("url").cast("string"), F.col("html").cast("string")).mapInArrow(run, "archive string, data binary")
+
+
+def index(legacy: DataFrame) -> DataFrame:
+    """Per record of the archives: archive, place, page_id, payload_digest, payload_bytes, target_uri."""
+    ship(legacy.sparkSession)
+    schema = "archive string, place bigint, page_id bigint, payload_digest string, payload_bytes bigint, target_uri string"
+
+    def run(batches):
+        for b in batches:
+            for k in range(b.num_rows):
+                name = b.column(0)[k].as_py()
+                rows = [(name, i, page_of(x["body"]), hashlib.sha256(x["payload"]).hexdigest(), len(x["payload"]), x["url"]) for i, x in enumerate(parse_arc(gzip.decompress(b.column(1)[k].as_py())))]
+                kinds = [pa.string(), pa.int64(), pa.int64(), pa.string(), pa.int64(), pa.string()]
+                yield pa.record_batch([pa.array(c, kind) for c, kind in zip(list(zip(*rows)) or [[]] * 6, kinds)], names=[x.split()[0] for x in schema.split(", ")])
+
+    return legacy.mapInArrow(run, schema)
+
+
+def revisits(found: DataFrame) -> DataFrame:
+    """Per archive that has revisits: archive, them (place, and archive, place and URI of the record that each refers to).
+
+    Digests that occur once go no further; the first record of a digest is found with map-side minima. An archive's
+    list is bounded by the records it holds.
+    """
+    first = F.min(F.struct("page_id", "archive", "place", "target_uri")).alias("first")
+    again = found.where(F.col("payload_bytes") >= MIN_DUPLICATE).groupBy("payload_digest").agg(first, F.count(F.lit(1)).alias("n")).where("n > 1").drop("n")
+    # records of the first's own page repeat it: responses too
+    to = found.where(F.col("payload_bytes") >= MIN_DUPLICATE).join(again, "payload_digest").where(~F.col("page_id").eqNullSafe(F.col("first.page_id")))
+    return to.groupBy("archive").agg(F.collect_list(F.struct("place", F.col("first.archive").alias("archive"), F.col("first.place").alias("at"), F.col("first.target_uri").alias("uri"))).alias("them"))
+
+
+def convert(legacy: DataFrame) -> DataFrame:
+    """WARC archives of legacy ones: archive (name), data (a .warc.gz file)."""
+    ship(legacy.sparkSession)
+
+    def run(batches):
+        for b in batches:
+            for k in range(b.num_rows):
+                name, data = b.column(0)[k].as_py(), b.column(1)[k].as_py()
+                to = {x["place"]: x for x in b.column(2)[k].as_py() or ()}
+                members = [gzip.compress(warc_info(name), 1, mtime=0)]
+                for i, arc in enumerate(parse_arc(gzip.decompress(data))):
+                    fields = {"WARC-Payload-Digest": f"sha256:{hashlib.sha256(arc['payload']).hexdigest()}"}
+                    if x := to.get(i):
+                        fields |= {
+                            "WARC-Profile": "http://netpreserve.org/warc/1.1/revisit/identical-payload-digest",
+                            "WARC-Refers-To": f"<{record_urn(x['archive'], x['at'])}>", "WARC-Refers-To-Target-URI": x["uri"],
+                        }
+                    members.append(gzip.compress(warc_record("revisit" if x else "response", record_urn(name, i), arc, fields), 1, mtime=0))
+                yield pa.record_batch([pa.array([name.replace(".arc.gz", ".warc.gz")]), pa.array([b"".join(members)], pa.binary())], names=["archive", "data"])
+
+    them = revisits(materialise(index(legacy), "index"))
+    return legacy.join(them, "archive", "left").select("archive", "data", "them").mapInArrow(run, "archive string, data binary")
 
 
 def read_back(archives: DataFrame) -> DataFrame:
     """Per record: page_id, payload_bytes, payload_digest, record_type, refers_to, target_uri, record_id.
 
-    A response's size and digest are taken from its block; a revisit's from its header fields.
+    A response's size and digest are taken from its block, a revisit's from its header fields and HTTP message; the page
+    that a revisit refers to is that of the record it names.
     """
     ship(archives.sparkSession)
-    schema = "page_id bigint, payload_bytes bigint, payload_digest string, record_type string, refers_to bigint, target_uri string, record_id string"
+    schema = "page_id bigint, payload_bytes bigint, payload_digest string, record_type string, refers_to_id string, target_uri string, record_id string"
 
     def run(batches):
-        for b in (whole.slice(at, SLICE) for whole in batches for at in range(0, whole.num_rows, SLICE)):
-            rows = []
-            for member in b.column(0).to_pylist():
-                for head, block in parse_warc(gzip.decompress(member)):
-                    kind, payload = head["WARC-Type"], block.partition(b"\r\n\r\n")[2]
-                    page, to = head["X-Page-Id"], head.get("X-Refers-To-Page", "")
-                    declared = head["WARC-Payload-Digest"].partition(":")[2]
-                    digest, size = (hashlib.sha256(payload).hexdigest(), len(payload)) if kind == "response" else (declared, int(head["X-Payload-Length"]))
+        for b in batches:
+            for k in range(b.num_rows):
+                rows = []
+                for head, block in parse_warc(gzip.decompress(b.column(0)[k].as_py())):
+                    if (kind := head["WARC-Type"]) not in ("response", "revisit"):
+                        continue
+                    payload, declared = block.partition(b"\r\n\r\n")[2], head["WARC-Payload-Digest"].partition(":")[2]
+                    digest, size = (hashlib.sha256(payload).hexdigest(), len(payload)) if kind == "response" else (declared, int(http_fields(block)["Content-Length"]))
                     if digest != declared:
                         raise ValueError(f"digest of {head['WARC-Record-ID']} differs")
-                    rows.append((int(page) if page else None, size, digest, kind, int(to) if to else None, head["WARC-Target-URI"], head["WARC-Record-ID"]))
-            cols = list(zip(*rows)) or [[]] * 7
-            kinds = [pa.int64(), pa.int64(), pa.string(), pa.string(), pa.int64(), pa.string(), pa.string()]
-            yield pa.record_batch([pa.array(c, k) for c, k in zip(cols, kinds)], names=[x.split()[0] for x in schema.split(", ")])
+                    rows.append((page_of(block), size, digest, kind, head.get("WARC-Refers-To"), head["WARC-Target-URI"], head["WARC-Record-ID"]))
+                kinds = [pa.int64(), pa.int64(), *[pa.string()] * 5]
+                yield pa.record_batch([pa.array(c, kind) for c, kind in zip(list(zip(*rows)) or [[]] * 7, kinds)], names=[x.split()[0] for x in schema.split(", ")])
 
-    return archives.select("member").mapInArrow(run, schema)
+    found = materialise(archives.select("data").mapInArrow(run, schema), "records")
+    named = found.select(F.col("record_id").alias("refers_to_id"), F.col("page_id").alias("refers_to")).join(found.select("refers_to_id").where("refers_to_id is not null").distinct(), "refers_to_id", "left_semi")
+    return found.join(named, "refers_to_id", "left").select("page_id", "payload_bytes", "payload_digest", "record_type", "refers_to", "target_uri", "record_id")
 
 
 def round_trip(pages: DataFrame) -> DataFrame:
-    """Write all pages as WARC archives and read the archives."""
+    """Lay all pages down as ARC archives, convert these to WARC archives and read the archives."""
     # members are compressed already
-    return read_back(materialise(convert(pages), "warc", "uncompressed"))
+    legacy = materialise(lay_down(pages), "arc", "uncompressed")
+    archives = materialise(convert(legacy), "warc", "uncompressed")
+    release(legacy)
+    return read_back(archives)
 
 
 def export(archives: DataFrame, folder: str) -> None:
     """Write each archive as a file (on storage that the workers mount)."""
 
-    def write(key, batch):
-        rows = sorted(zip(batch.column("place").to_pylist(), batch.column("member").to_pylist()))
-        with open(f"{folder}/{key[0].as_py()}", "wb") as f:
-            f.writelines(m for _, m in rows)
-        return pa.table({"archive": [key[0].as_py()], "records": pa.array([len(rows)], pa.int64())})
+    def write(batches):
+        for b in batches:
+            for name, data in zip(b.column(0).to_pylist(), b.column(1).to_pylist()):
+                with open(f"{folder}/{name}", "wb") as f:
+                    f.write(data)
+            yield b.select([0])
 
-    archives.groupBy("archive").applyInArrow(write, "archive string, records bigint").count()
+    archives.select("archive", "data").mapInArrow(write, "archive string").count()

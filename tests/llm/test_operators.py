@@ -561,11 +561,27 @@ def test_arc_versions_and_warc_round_trip(spark, tmp_path):
     got = sorted((r["page_id"], r["payload_bytes"], r["payload_digest"], r["record_type"], r["refers_to"]) for r in arc_warc.round_trip(p).collect())
     want = sorted((i, len((h or "").encode()), hashlib.sha256((h or "").encode()).hexdigest(), "revisit" if h == big and i != 3 else "response", 3 if h == big and i != 3 else None) for i, _, h in rows)
     assert got == want
-    arc_warc.export(arc_warc.convert(p), str(tmp_path))
     import gzip
 
-    found = [h for f in tmp_path.iterdir() for h, _ in arc_warc.parse_warc(gzip.decompress(f.read_bytes()))]
-    assert len(found) == len(rows) and all(h["WARC-Date"] == "2020-01-01T00:00:00Z" for h in found)
+    legacy = arc_warc.lay_down(p.repartition(2), 200)
+    (tmp_path / "arc").mkdir()
+    (tmp_path / "warc").mkdir()
+    arc_warc.export(legacy, str(tmp_path / "arc"))
+    old = {f.name: list(arc_warc.parse_arc(gzip.decompress(f.read_bytes()))) for f in (tmp_path / "arc").iterdir()}
+    assert sum(map(len, old.values())) == len(rows) and len(old) > 2 and max(map(len, old.values())) > 1
+    assert {len(x) for records in old.values() for x in records} == {7, 12}  # both versions, with body and payload
+    arc_warc.export(arc_warc.convert(arc_warc.materialise(legacy)), str(tmp_path / "warc"))
+    every = [h for f in (tmp_path / "warc").iterdir() for h, _ in arc_warc.parse_warc(gzip.decompress(f.read_bytes()))]
+    found = [h for h in every if h["WARC-Type"] != "warcinfo"]
+    assert len(found) == len(rows) and len(every) == len(rows) + len(old) and all(h["WARC-Date"] == "2020-01-01T00:00:00Z" for h in every)
+    ids = {h["WARC-Record-ID"]: h for h in every}
+    assert len(ids) == len(every)  # repeated rows too have identifiers of their own
+    assert all((h["WARC-Type"] == "revisit") == ("WARC-Refers-To" in h) for h in found)
+    assert all(ids[h["WARC-Refers-To"]]["WARC-Payload-Digest"] == h["WARC-Payload-Digest"] for h in found if "WARC-Refers-To" in h)
+    odd = b"http://a/\xff 0.0.0.0 20200101000000 text/html 2\nhi\n"
+    assert [(x["url"], x["payload"], x["body"]) for x in arc_warc.parse_arc(odd)] == [("http://a/\xff", b"", b"hi")]
+    huge = spark.createDataFrame([(1, "u", "x" * 5_000_000), (2, "v", "x" * 5_000_000), (None, None, None)], "page_id bigint, url string, html string")
+    assert sorted((r["page_id"] or 0, r["payload_bytes"], r["refers_to"]) for r in arc_warc.round_trip(huge).collect()) == [(0, 0, None), (1, 5_000_000, None), (2, 5_000_000, 1)]
     assert arc_warc.round_trip(p.where("false")).count() == 0
 
 
