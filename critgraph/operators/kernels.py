@@ -334,57 +334,212 @@ def sliding_active(p: Program, window: int) -> list[int]:
     return order
 
 
+class _Estimates:
+    """F, D, E, C lengths of a window's instructions, from what is known or so far estimated of their parents."""
+
+    def __init__(self, p: Program):
+        self.p, n = p, p.n
+        self.F, self.D, self.E, self.C = [0] * n, [0] * n, [0] * n, [0] * n
+        self.res = _Resources(p)
+
+    def front(self, i: int) -> tuple[int, int]:
+        p, F, D, E, C = self.p, self.F, self.D, self.E, self.C
+        m = p.m
+        if not i:
+            t, d = 0, m.decode
+        else:
+            t = (E[i - 1] + p.x[i - 1] + m.penalty if p.miss[i - 1] else F[i - 1]) + p.f[i]
+            if m.fbw and i >= m.fbw and F[i - m.fbw] >= t:
+                t = F[i - m.fbw] + 1
+            d = max(t + m.decode, D[i - 1])
+            if m.dbw and i >= m.dbw and D[i - m.dbw] >= d:
+                d = D[i - m.dbw] + 1
+        if m.rob and i >= m.rob and C[i - m.rob] > d:
+            d = C[i - m.rob]
+        if p.q[i] >= 0 and C[p.q[i]] > d:
+            d = C[p.q[i]]
+        if m.iq and i >= m.iq and E[i - m.iq] > d:
+            d = E[i - m.iq]
+        return t, d
+
+    def committed(self, i: int) -> int:
+        C, cbw = self.C, self.p.m.cbw
+        c = self.E[i] + self.p.x[i]
+        if i and C[i - 1] > c:
+            c = C[i - 1]
+        if cbw and i >= cbw and C[i - cbw] >= c:
+            c = C[i - cbw] + 1
+        return c
+
+    def enter(self, i: int) -> int:
+        self.F[i], self.D[i] = self.front(i)
+        self.E[i] = _ready(self.p, i, self.D, self.E)
+        self.C[i] = self.committed(i)
+        return self.E[i]
+
+    def keep(self) -> None:
+        p = self.p
+        p.F, p.D, p.E, p.C = self.F, self.D, self.E, self.C
+
+
+def sliding_updated(p: Program, window: int) -> list[int]:
+    """Sliding window whose list is updated: a length that scheduling raises is passed on to all descendants in the window.
+
+    All instructions of the window are listed by the lengths known so far; p.moves counts the list entries that an
+    update moved, p.live the most vertices held at once. ``sliding_active`` reaches the same order without moving entries.
+    """
+    n, m, s = p.n, p.m, _Estimates(p)
+    F, D, E, C = s.F, s.D, s.E, s.C
+    readers: list[list[int]] = [[] for _ in range(n)]  # entered instructions that take i's value, or i's place in a queue
+    look = max(m.rob or 1, m.cbw or 1, m.dbw or 1, m.fbw or 1, m.iq or 1)
+    done = [False] * n
+    heap, order = [], []
+    oldest = front = 0
+    p.moves = p.live = 0
+
+    def pass_on(i: int) -> None:
+        """Recompute what i's new length reaches, in program order."""
+        again: list[int] = []
+        seen: set[int] = set()
+
+        def reach(*them: int) -> None:
+            for j in them:
+                if j < front and j not in seen:
+                    seen.add(j)
+                    heapq.heappush(again, j)
+
+        def spread(j: int, fd: bool, e: bool, c: bool) -> None:
+            if fd:
+                reach(j + 1, *(j + k for k in (m.fbw, m.dbw) if k))
+            if e:
+                reach(*(k for k in readers[j]), *((j + 1,) if p.miss[j] else ()), *((j + m.iq,) if m.iq else ()))
+            if c:
+                reach(j + 1, *(j + k for k in (m.cbw, m.rob) if k), *(k for k in readers[j]))
+
+        c, C[i] = C[i], s.committed(i)
+        spread(i, False, True, C[i] != c)
+        while again:
+            j = heapq.heappop(again)
+            seen.discard(j)
+            f, d = s.front(j)
+            fd = f != F[j] or d != D[j]
+            F[j], D[j] = f, d
+            e = E[j]
+            if not done[j]:
+                E[j] = _ready(p, j, D, E)
+                if E[j] != e:
+                    p.moves += 1
+                    heapq.heappush(heap, (E[j], j))
+            c, C[j] = C[j], s.committed(j)
+            spread(j, fd, E[j] != e, C[j] != c)
+
+    while len(order) < n:
+        while front < min(n, oldest + window):
+            i = front
+            for w in {p.w1[i], p.w2[i], p.st[i], p.q[i]}:
+                if w >= 0:
+                    readers[w].append(i)
+            heapq.heappush(heap, (s.enter(i), i))
+            front += 1
+        p.live = max(p.live, 4 * (front - max(0, oldest - look)))
+        t, i = heapq.heappop(heap)
+        if done[i] or t != E[i]:  # an update has moved it
+            continue
+        done[i] = True
+        order.append(i)
+        E[i] = s.res.take(i, t, E)
+        if E[i] != t:
+            pass_on(i)
+        while oldest < n and done[oldest]:
+            readers[oldest] = []
+            oldest += 1
+    s.keep()
+    return order
+
+
 def sliding_fixed(p: Program, window: int) -> list[int]:
-    """Sliding window without re-prioritisation: an entry keeps the length it had when it entered."""
+    """Sliding window without updates: an entry keeps its place, and only its own execution is renewed when it is taken.
+
+    What a parent's delay does to instructions that are listed already is seen as far as the parent was taken before
+    them; fetch and dispatch keep the lengths of entering. One pass: the lengths are those at which entries were taken.
+    """
     n, m = p.n, p.m
     F, D, E, C = [0] * n, [0] * n, [0] * n, [0] * n
-    shadow = Program.__new__(Program)
-    shadow.__dict__ |= p.__dict__
-    res = _Resources(shadow)
+    f, x, miss, q, w1, w2, st, cut = p.f, p.x, p.miss, p.q, p.w1, p.w2, p.st, p.cut
+    fbw, dbw, cbw, rob, iq = m.fbw or n + 1, m.dbw or n + 1, m.cbw or n + 1, m.rob or n + 1, m.iq or n + 1
+    decode, pen, fw = m.decode, m.penalty, m.forward
+    take = _Resources(p).take
+    push, pop = heapq.heappush, heapq.heappop
     heap, order = [], []
     gone = [False] * n
     oldest = front = 0
     while len(order) < n:
-        while front < min(n, oldest + window):
+        while front < n and front < oldest + window:
             i = front
-            t = 0
             if i:
-                t = (E[i - 1] + p.x[i - 1] + m.penalty if p.miss[i - 1] else F[i - 1]) + p.f[i]
-                if m.fbw and i >= m.fbw:
-                    t = max(t, F[i - m.fbw] + 1)
-            d = t + m.decode
-            if i:
-                d = max(d, D[i - 1])
-                if m.dbw and i >= m.dbw:
-                    d = max(d, D[i - m.dbw] + 1)
-            for w in (i - m.rob if m.rob else -1, p.q[i]):
-                if w >= 0:
-                    d = max(d, C[w])
-            if m.iq and i >= m.iq:
-                d = max(d, E[i - m.iq])
+                t = (E[i - 1] + x[i - 1] + pen if miss[i - 1] else F[i - 1]) + f[i]
+                if i >= fbw and F[i - fbw] >= t:
+                    t = F[i - fbw] + 1
+                d = t + decode
+                if D[i - 1] > d:
+                    d = D[i - 1]
+                if i >= dbw and D[i - dbw] >= d:
+                    d = D[i - dbw] + 1
+                if i >= rob and C[i - rob] > d:
+                    d = C[i - rob]
+                if q[i] >= 0 and C[q[i]] > d:
+                    d = C[q[i]]
+                if i >= iq and E[i - iq] > d:
+                    d = E[i - iq]
+            else:
+                t, d = 0, decode
             F[i], D[i] = t, d
-            E[i] = _ready(p, i, D, E)
-            c = E[i] + p.x[i]
+            e = d + 1
+            for w in (w1[i], w2[i]):
+                if w >= 0:
+                    v = E[w] + (p.reg(w) if cut[w] else x[w])
+                    if v > e:
+                        e = v
+            if st[i] >= 0 and E[st[i]] + fw > e:
+                e = E[st[i]] + fw
+            E[i] = e
+            c = e + x[i]
             if i:
-                c = max(c, C[i - 1])
-                if m.cbw and i >= m.cbw:
-                    c = max(c, C[i - m.cbw] + 1)
+                if C[i - 1] > c:
+                    c = C[i - 1]
+                if i >= cbw and C[i - cbw] >= c:
+                    c = C[i - cbw] + 1
             C[i] = c
-            heapq.heappush(heap, (E[i], i))
+            push(heap, (e, i))
             front += 1
-        _, i = heapq.heappop(heap)
-        E[i] = res.take(i, E[i], E)
-        C[i] = max(C[i], E[i] + p.x[i])
+        e, i = pop(heap)
+        for w in (w1[i], w2[i]):
+            if w >= 0:
+                v = E[w] + (p.reg(w) if cut[w] else x[w])
+                if v > e:
+                    e = v
+        if st[i] >= 0 and E[st[i]] + fw > e:
+            e = E[st[i]] + fw
+        E[i] = e = take(i, e, E)
+        if e + x[i] > C[i]:
+            C[i] = e + x[i]
         gone[i] = True
         order.append(i)
         while oldest < n and gone[oldest]:
+            c = E[oldest] + x[oldest]
+            if oldest:
+                if C[oldest - 1] > c:
+                    c = C[oldest - 1]
+                if oldest >= cbw and C[oldest - cbw] >= c:
+                    c = C[oldest - cbw] + 1
+            C[oldest] = c
             oldest += 1
-    ranked_sweep(p, order)
+    p.F, p.D, p.E, p.C = F, D, E, C
     return order
 
 
 def run(p: Program, method: str = "") -> int:
-    """Cycles of a program; p keeps the lengths. Methods of an out-of-order core: two_pass, active, fixed, base."""
+    """Cycles of a program; p keeps the lengths. Methods of an out-of-order core: two_pass, active, updated, fixed, base."""
     if not p.n:
         return 0
     if p.m.core == "inorder":
@@ -396,7 +551,7 @@ def run(p: Program, method: str = "") -> int:
         elif method == "base":
             base_lengths(p)
         else:
-            (sliding_active if method == "active" else sliding_fixed)(p, p.m.window)
+            {"active": sliding_active, "updated": sliding_updated, "fixed": sliding_fixed}[method](p, p.m.window)
     return p.C[-1]
 
 
@@ -603,4 +758,4 @@ def columns(batch) -> dict[str, list]:
     return {k: batch.column(k).to_pylist() for k in ("op", "seq", "src1", "src2", "dst", "addr", "imem", "dmem", "miss", "pc")}
 
 
-__all__ = ["BRANCH", "KINDS", "LaneSweep", "NEG", "Program", "base_lengths", "columns", "critical_path", "inorder", "parents", "ranked_sweep", "run", "sliding_active", "sliding_fixed", "two_pass"]
+__all__ = ["BRANCH", "KINDS", "LaneSweep", "NEG", "Program", "base_lengths", "columns", "critical_path", "inorder", "parents", "ranked_sweep", "run", "sliding_active", "sliding_fixed", "sliding_updated", "two_pass"]

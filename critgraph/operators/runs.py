@@ -205,21 +205,12 @@ def program_edges(trace: DataFrame, m: Machine, method: str = "") -> DataFrame:
 
 
 def work_counters(trace: DataFrame, m: Machine) -> DataFrame:
-    """Live state and scheduling work: (program_id, instrs, live_vertices, list_entries)."""
+    """What the updated list costs: (program_id, instrs, live_vertices, list_entries), the last counting insertions and moves."""
 
     def fn(program, cols):
         p = kernels.Program(cols, m)
-        order = kernels.sliding_active(p, m.window) if m.core == "ooo" else list(range(p.n))
-        place = {i: k for k, i in enumerate(order)}
-        low, spread = 0, 0
-        done = set()
-        for k, i in enumerate(order):
-            done.add(i)
-            while low in done:
-                done.discard(low)
-                low += 1
-            spread = max(spread, len(done))
-        yield program, p.n, 4 * (spread + (m.rob or m.fbw or 1)), len(place)
+        kernels.sliding_updated(p, m.window)
+        yield program, p.n, p.live, p.n + p.moves
 
     return _grouped(trace, fn, "program_id int, instrs bigint, live_vertices bigint, list_entries bigint")
 
