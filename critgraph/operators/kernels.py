@@ -671,6 +671,8 @@ class LaneSweep:
         self.predicts = bool(self.permille.any())
         self.earliest = m.fu_policy == "earliest"
         self.look = max(m.ibw or 1, (m.ibw or 1) * int(self.fw.max(initial=1)))
+        #: whether weights are known before the sweep, so that whole pieces can be prepared as matrices
+        self.plain = not self.predicts and not self.earliest and bool(m.ibw) and (self.all_ideal or self.no_ideal)
         self.s = state or {
             "n": 0, "F": deque(maxlen=max(m.fbw or 1, 1)), "E": deque(maxlen=self.look), "C": deque(maxlen=max(m.cbw or 1, 1)),
             "reg": np.full((REGISTERS + 1, k), NEG, np.int64), "store": {}, "units": {u: deque(maxlen=c) for u, c in m.units.items()},
@@ -678,6 +680,143 @@ class LaneSweep:
         }
 
     def feed(self, cols: dict[str, list]) -> None:
+        """The next instructions of the program."""
+        if self.plain:
+            if cols["op"]:
+                self._feed_matrix(cols)
+        else:
+            self._feed_rows(cols)
+
+    def _offsets(self, f: list[int], before: int) -> list[list[int]]:
+        """Fetch without mispredictions: what each of ``before`` earlier fetches adds up to at each later one, in (max, +).
+
+        With none before, the first of ``f`` is fetched at 0 itself.
+        """
+        width, out = self.m.fbw, []
+        for k in range(max(before, 1)):
+            past = [NEG] * before
+            if before:
+                past[k] = 0
+            for x in f:
+                t = past[-1] + x if past else 0
+                if width and len(past) >= width and past[-width] + 1 > t:
+                    t = past[-width] + 1
+                past.append(t)
+            out.append(past[before:])
+        return out
+
+    def _fetched(self, F: np.ndarray, at: int, to: int, f: list[int], starts: list[np.ndarray], before: int) -> None:
+        """Fill F[at:to] from the fetches ``starts``: a row a start, by lanes that fetch ideally and others."""
+        kinds = {}
+        for own in set(self.fetch.tolist()):
+            kinds[own] = np.array(self._offsets([own * x for x in f[at:to]], before), np.int64)
+        for k, start in enumerate(starts):
+            r = next(iter(kinds.values()))[k][:, None] if len(kinds) == 1 else np.where(self.fetch == 1, kinds[1][k][:, None], kinds[0][k][:, None])
+            if k:
+                np.maximum(F[at:to], start + r, out=F[at:to])
+            else:
+                np.add(start, r, out=F[at:to])
+
+    def _feed_matrix(self, cols: dict[str, list]) -> None:
+        """As _feed_rows. Between mispredictions fetch is closed in form, commit is caught up where a queue asks for it."""
+        s, m = self.s, self.m
+        N, k = len(cols["op"]), len(self.lanes)
+        ops, f, miss = np.array(cols["op"]), [x or 0 for x in cols["imem"]], cols["miss"]
+        X = self.lat[ops]
+        if len(load := np.flatnonzero(ops == LOAD)):
+            dm = np.array([cols["dmem"][i] or 0 for i in load.tolist()], np.int64)
+            X[load] += self.mem * dm[:, None] + self.mem0
+        free = np.where(self.block[ops], X, 1)  # to become the times at which units are free
+        ends = np.flatnonzero(np.array([bool(x) for x in miss])).tolist() if self.no_ideal else []
+        F = np.empty((N, k), np.int64)
+        h, b = self.look, max(m.cbw or 1, 1)
+        E, C = np.full((h + N, k), NEG, np.int64), np.full((b + N, k), NEG, np.int64)
+        for matrix, rows, held in ((E, h, s["E"]), (C, b, s["C"])):
+            for j, row in enumerate(held):
+                matrix[rows - len(held) + j] = row
+        Y = np.empty((N, k), np.int64)
+        Er, Xr, Yr, Ur, Cr = list(E), list(X), list(Y), list(free), list(C)
+        regs, store, units, q = list(s["reg"]), s["store"], s["units"], s["q"]
+        unit, ibw, lsq, decode = self.unit, m.ibw, m.lsq, self.decode
+        maximum, add = np.maximum, np.add
+        tmp = np.empty(k, np.int64)
+        caught = 0  # commits known
+
+        def fetch(at: int, late: np.ndarray | None) -> None:
+            to = next((x + 1 for x in ends if x >= at), N)
+            if late is not None:
+                self._fetched(F, at, to, f, [late + self.fetch * f[at]], 0)
+            elif s["n"]:
+                self._fetched(F, at, to, f, list(s["F"]), len(s["F"]))
+            else:
+                self._fetched(F, at, to, f, [np.zeros(k, np.int64)], 0)
+            add(F[at:to], decode, out=F[at:to])
+
+        def commit(to: int) -> None:
+            nonlocal caught
+            rows = Y[caught:to]
+            maximum(rows[0], Cr[b + caught - 1], out=Cr[b + caught])
+            if to - caught > 1:
+                C[b + caught + 1 : b + to] = rows[1:]
+                maximum.accumulate(C[b + caught : b + to], axis=0, out=C[b + caught : b + to])
+            if m.cbw:
+                for j in range(b + caught, b + to, b):
+                    stop = min(j + b, b + to)
+                    maximum(C[j:stop], C[j - b : stop - b] + 1, out=C[j:stop])
+            caught = to
+
+        ends_at = set(ends)
+        fetch(0, s["E"][-1] + s["x"] + self.pen if s["miss"] and s["n"] and self.no_ideal else None)
+        Fr = list(F)
+        for i, (o, a1, a2, d, addr) in enumerate(zip(cols["op"], cols["src1"], cols["src2"], cols["dst"], cols["addr"])):
+            e = Er[h + i]
+            maximum(Fr[i], Er[h + i - 1], out=e)
+            add(Er[h + i - ibw], 1, out=tmp)
+            maximum(e, tmp, out=e)
+            if a1 is not None:
+                maximum(e, regs[a1], out=e)
+            if a2 is not None:
+                maximum(e, regs[a2], out=e)
+            u = unit[o]
+            if u is not None:
+                ring = units[u]
+                if len(ring) == ring.maxlen:
+                    maximum(e, ring[0], out=e)
+            if o == LOAD or o == STORE:
+                if o == LOAD and addr is not None and (w := store.get(addr)) is not None:
+                    maximum(e, w[1] + self.fw, out=e)
+                if lsq and len(q) == lsq:
+                    w = q[0]
+                    if w.__class__ is int:
+                        if w >= caught:
+                            commit(w + 1)
+                        w = Cr[b + w]
+                    maximum(e, w, out=e)
+            if u is not None:
+                ring.append(add(e, Ur[i], out=Ur[i]))
+            y = add(e, Xr[i], out=Yr[i])
+            if d is not None:
+                regs[d] = y
+            if o == LOAD or o == STORE:
+                if lsq:
+                    q.append(i)
+                if o == STORE and addr is not None:
+                    store[addr] = (s["n"] + i, e)
+            if i in ends_at and i + 1 < N:
+                fetch(i + 1, y + self.pen)
+        if caught < N:
+            commit(N)
+        n = s["n"] = s["n"] + N
+        s["q"] = type(q)(((Cr[b + w] if w.__class__ is int else w).copy() for w in q), maxlen=q.maxlen)
+        s["reg"] = np.stack(regs)
+        s["store"] = {x: (at, w.copy()) for x, (at, w) in store.items() if n - at <= self.look + 1}
+        s["units"] = {u: type(r)((x.copy() for x in r), maxlen=r.maxlen) for u, r in units.items()}
+        s["F"].extend((F[-s["F"].maxlen :] - decode).copy())
+        s["E"].extend(E[h:][-s["E"].maxlen :].copy())
+        s["C"].extend(C[b:][-s["C"].maxlen :].copy())
+        s["miss"], s["x"] = bool(miss[-1]), X[-1].copy()
+
+    def _feed_rows(self, cols: dict[str, list]) -> None:
         s, m = self.s, self.m
         F, E, C, reg, store, units, q = s["F"], s["E"], s["C"], s["reg"], s["store"], s["units"], s["q"]
         fbw, ibw, cbw, look = m.fbw, m.ibw, m.cbw, self.look

@@ -59,40 +59,80 @@ FROM (SELECT *, length(tok) AS len FROM ({inner}))"""
 
 EMBEDDED_LANES = """SELECT cast(i AS int) AS lane, 1 AS ff, false AS ib, 3 AS pen, 1 AS dec, list(1 + cast(floor(abs(cast(e AS double)) * 40) AS int) ORDER BY v) AS lat, cast(NULL AS int) AS mem
   FROM (SELECT v, unnest(range({n})) AS i, unnest(embedding[1:{n}]) AS e FROM (SELECT embedding, row_number() OVER (ORDER BY vec_id) AS v FROM embeddings) WHERE v <= 9) GROUP BY i"""
+_STRUCTURE = "2 AS fbw, 2 AS ibw, 2 AS cbw, 1 AS fw, cast(NULL AS int) AS vp"
+
+
+def _null(x) -> str:
+    return "NULL" if x is None else str(x)
 
 
 def inorder(lanes: list[Machine], select: str, ctes: str = TRACE, lanes_sql: str = "") -> str:
-    """The in-order recurrence, one step a seq; ``runs`` has (program_id, lane, cycles, instrs)."""
+    """The in-order recurrence, one step a seq; ``runs`` has (program_id, lane, cycles, instrs).
+
+    Fetch, issue and commit widths may differ by lane (up to 4). Loads of a lane with ``predicted_permille`` 1000 are all
+    predicted: rightly, or with a penalty.
+    """
     low = -(10**12)
     units = ["ialu", "imul", "idiv", "fpu", "lsu"]
     u = "CASE " + " ".join(f"WHEN op_class = '{op}' THEN {units.index(c)}" for op, c in P_INO.unit_of.items()) + " END"
     o = "CASE " + " ".join(f"WHEN op_class = '{op}' THEN {OPS.index(op)}" for op in OPS[:9]) + " END"
-    values = ", ".join(f"({k}, {0 if m.ideal_fetch else 1}, {str(m.ideal_branch).lower()}, {m.penalty}, {m.decode}, {[m.latency[x] for x in OPS[:9]]}, {'NULL' if m.memory is None else m.memory})" for k, m in enumerate(lanes))
+    vp = lambda m: None if not m.predicted_permille else -1 if m.predict_penalty is None else m.predict_penalty
+    values = ", ".join(
+        f"({k}, {0 if m.ideal_fetch else 1}, {str(m.ideal_branch).lower()}, {m.penalty}, {m.decode}, {[m.latency[x] for x in OPS[:9]]}, {_null(m.memory)}, {m.fbw}, {m.ibw}, {m.cbw}, {m.forward}, {_null(vp(m))})" for k, m in enumerate(lanes)
+    )
+    whole = f"SELECT *, {_STRUCTURE} FROM ({lanes_sql})" if lanes_sql else f"SELECT * FROM (VALUES {values}) AS v"
+    held = f"CASE WHEN o = 6 AND vp IS NOT NULL THEN CASE WHEN vp < 0 THEN cast({low} AS bigint) ELSE ne + x + vp END ELSE ne + x END"
+    past = lambda head: f"[{head}, {low}, {low}, {low}]::bigint[]"
     return f"""
 WITH RECURSIVE {ctes.strip()},
-lanes(lane, ff, ib, pen, dec, lat, mem) AS ({lanes_sql or f"SELECT * FROM (VALUES {values}) AS v"}),
+lanes(lane, ff, ib, pen, dec, lat, mem, fbw, ibw, cbw, fw, vp) AS ({whole}),
 t AS MATERIALIZED (SELECT program_id, seq, src1, src2, dst, CASE WHEN op_class IN ('LOAD', 'STORE') THEN addr END AS addr, coalesce(imem_cycles, 0) AS f, coalesce(dmem_cycles, 0) AS dm, mispredicted AS miss, {u} AS u, {o} AS o FROM trace),
 s AS (
- SELECT program_id, lane, seq, cast(0 AS bigint) AS f1, cast({low} AS bigint) AS f2, cast(dec AS bigint) AS e1, cast({low} AS bigint) AS e2, cast(dec + x AS bigint) AS c1, cast({low} AS bigint) AS c2, cast(x AS bigint) AS x1, miss AS m1,
-  CASE WHEN o = 7 THEN addr END AS a1, list_transform(range(32), lambda i: CASE WHEN i = dst THEN cast(dec + x AS bigint) ELSE cast({low} AS bigint) END) AS regs,
-  list_transform(range(10), lambda i: CASE WHEN i = u * 2 + 1 THEN cast(dec + CASE WHEN o IN (2, 5) THEN x ELSE 1 END AS bigint) ELSE cast({low} AS bigint) END) AS us,
-  cast({low} AS bigint) AS q2, CASE WHEN o IN (6, 7) THEN cast(dec + x AS bigint) ELSE cast({low} AS bigint) END AS q1
- FROM (SELECT *, lat[o + 1] + CASE WHEN o = 6 THEN coalesce(mem, dm) ELSE 0 END AS x FROM t, lanes WHERE seq = 0)
+ SELECT program_id, lane, seq, {past('0')} AS fh, {past('ne')} AS eh, {past('ne + x')} AS ch, cast(x AS bigint) AS x1, miss AS m1,
+  CASE WHEN o = 7 THEN addr END AS a1, list_transform(range(32), lambda i: CASE WHEN i = dst THEN cast({held} AS bigint) ELSE cast({low} AS bigint) END) AS regs,
+  list_transform(range(10), lambda i: CASE WHEN i = u * 2 + 1 THEN cast(ne + CASE WHEN o IN (2, 5) THEN x ELSE 1 END AS bigint) ELSE cast({low} AS bigint) END) AS us,
+  cast({low} AS bigint) AS q2, CASE WHEN o IN (6, 7) THEN cast(ne + x AS bigint) ELSE cast({low} AS bigint) END AS q1
+ FROM (SELECT *, dec AS ne, lat[o + 1] + CASE WHEN o = 6 THEN coalesce(mem, dm) ELSE 0 END AS x FROM t, lanes WHERE seq = 0)
  UNION ALL
- SELECT program_id, lane, seq, nf, f1, ne, e1, nc, c1, x, miss, CASE WHEN o = 7 THEN addr END,
-  CASE WHEN dst IS NULL THEN regs ELSE regs[1:dst] || [ne + x] || regs[dst + 2:32] END,
+ SELECT program_id, lane, seq, [nf] || fh[1:3], [ne] || eh[1:3], [nc] || ch[1:3], x, miss, CASE WHEN o = 7 THEN addr END,
+  CASE WHEN dst IS NULL THEN regs ELSE regs[1:dst] || [{held}] || regs[dst + 2:32] END,
   us[1:u * 2] || [us[u * 2 + 2], ne + CASE WHEN o IN (2, 5) THEN x ELSE 1 END] || us[u * 2 + 3:10],
   CASE WHEN o IN (6, 7) THEN q1 ELSE q2 END, CASE WHEN o IN (6, 7) THEN nc ELSE q1 END
- FROM (SELECT *, greatest(ne + x, c1, c2 + 1) AS nc
-  FROM (SELECT *, greatest(nf + dec, e1, e2 + 1, coalesce(regs[src1 + 1], {low}), coalesce(regs[src2 + 1], {low}), CASE WHEN o = 6 AND a1 = addr THEN e1 + 1 ELSE {low} END, us[u * 2 + 1], CASE WHEN o IN (6, 7) THEN q2 ELSE {low} END) AS ne
-   FROM (SELECT s.program_id, s.lane, t.seq, f1, f2, e1, e2, c1, c2, a1, regs, us, q1, q2, t.src1, t.src2, t.dst, t.addr, t.miss, t.u, t.o, l.dec,
+ FROM (SELECT *, greatest(ne + x, ch[1], ch[cbw] + 1) AS nc
+  FROM (SELECT *, greatest(nf + dec, eh[1], eh[ibw] + 1, coalesce(regs[src1 + 1], {low}), coalesce(regs[src2 + 1], {low}), CASE WHEN o = 6 AND a1 = addr THEN eh[1] + fw ELSE {low} END, us[u * 2 + 1], CASE WHEN o IN (6, 7) THEN q2 ELSE {low} END) AS ne
+   FROM (SELECT s.program_id, s.lane, t.seq, fh, eh, ch, a1, regs, us, q1, q2, t.src1, t.src2, t.dst, t.addr, t.miss, t.u, t.o, l.dec, l.fbw, l.ibw, l.cbw, l.fw, l.vp,
      cast(l.lat[t.o + 1] + CASE WHEN t.o = 6 THEN coalesce(l.mem, t.dm) ELSE 0 END AS bigint) AS x,
-     greatest(CASE WHEN m1 AND NOT l.ib THEN e1 + x1 + l.pen ELSE f1 END + l.ff * t.f, f2 + 1) AS nf
+     greatest(CASE WHEN m1 AND NOT l.ib THEN eh[1] + x1 + l.pen ELSE fh[1] END + l.ff * t.f, fh[l.fbw] + 1) AS nf
     FROM s JOIN t ON t.program_id = s.program_id AND t.seq = s.seq + 1 JOIN lanes l ON l.lane = s.lane)))),
-runs AS (SELECT program_id, cast(lane AS int) AS lane, cast(max(c1) AS bigint) AS cycles, cast(max(seq) + 1 AS bigint) AS instrs FROM s GROUP BY program_id, lane)
+runs AS (SELECT program_id, cast(lane AS int) AS lane, cast(max(ch[1]) AS bigint) AS cycles, cast(max(seq) + 1 AS bigint) AS instrs FROM s GROUP BY program_id, lane)
 {select}"""
 
 
+def renamed(more: str, ctes: str = TRACE) -> str:
+    """CTEs in which ``trace`` is made by ``more`` from the main trace, there called ``whole``."""
+    return ctes.replace("trace AS (SELECT program_id", "whole AS (SELECT program_id") + f", trace AS ({more})"
+
+
+def named(machines: dict[str, Machine], select: str = "SELECT program_id, scenario, cycles FROM n") -> str:
+    """Runs of named machines: ``n`` has (program_id, scenario, cycles)."""
+    return inorder(list(machines.values()), f", n AS (SELECT program_id, {list(machines)}[lane + 1] AS scenario, cycles FROM runs) {select}")
+
+
+CRACKED = renamed("""SELECT program_id, row_number() OVER (PARTITION BY program_id ORDER BY seq, part) - 1 AS seq, op_class, src1, src2, dst, addr, imem_cycles, dmem_cycles, mispredicted FROM (
+  SELECT program_id, seq, 0 AS part, CASE WHEN c THEN 'LOAD' ELSE op_class END AS op_class, CASE WHEN NOT c THEN src1 END AS src1, CASE WHEN NOT c THEN src2 END AS src2, CASE WHEN c THEN 31 ELSE dst END AS dst, addr, imem_cycles, dmem_cycles, mispredicted
+  FROM (SELECT *, op_class = 'INT_MUL' AND pc % 5 = 0 AS c FROM whole)
+  UNION ALL SELECT program_id, seq, 1, op_class, src1, 31, dst, NULL, imem_cycles, dmem_cycles, mispredicted FROM whole WHERE op_class = 'INT_MUL' AND pc % 5 = 0)""")
+
+
+def recorded(kind: str) -> str:
+    """CTEs that end in ``trace``: a token trace with statistical costs."""
+    return f"""tokens AS ({token_trace(kind)}),
+trace AS (SELECT program_id, seq, op_class, src1, src2, dst, addr,
+  CASE WHEN seq % 16 = 0 THEN CASE WHEN (104729 * seq + 7 + 31 * program_id) % 100 < 98 THEN 1 ELSE 20 END ELSE 0 END AS imem_cycles,
+  CASE WHEN op_class IN ('LOAD', 'STORE') THEN CASE WHEN (7919 * seq + 13 + 31 * program_id) % 100 < 90 THEN 2 ELSE 20 END END AS dmem_cycles,
+  op_class = 'BRANCH' AND CASE WHEN toxic IS NOT NULL THEN toxic = 1 AND seq % 4 = 0 ELSE (6151 * seq + 3 + 31 * program_id) % 100 >= 95 END AS mispredicted FROM tokens LEFT JOIN labels ON doc_id = program_id)"""
+
+
 _LAT = "CASE op_class " + " ".join(f"WHEN '{k}' THEN {v}" for k, v in LATENCY.items()) + " END + CASE WHEN op_class = 'LOAD' THEN dmem_cycles ELSE 0 END"
 X = f"x AS (SELECT *, {_LAT} AS x FROM trace)"
 _E = "program_id, cast({src} AS bigint) AS src_seq, '{a}' AS src_stage, cast(seq AS bigint) AS dst_seq, '{b}' AS dst_stage, '{kind}' AS kind, cast({w} AS int) AS w"

@@ -18,7 +18,6 @@ from critgraph.streaming import runs as streams
 
 #: Instructions of each program that the tick-by-tick simulator runs (as the paper runs a slice of each benchmark).
 SLICE = 2000
-PREFIX = 200
 TRACE_COLUMNS = ("program_id", "seq", "op_class", "src1", "src2", "dst", "addr")
 FRONT = whatif.front_end(P_INO)
 
@@ -27,10 +26,6 @@ def _t(spark: SparkSession, sf_dir: str) -> DataFrame:
     return traces.from_lineitem(spark, sf_dir)
 
 
-def _prefix(spark: SparkSession, sf_dir: str, n: int = PREFIX) -> DataFrame:
-    return traces.sliced(_t(spark, sf_dir), 0, n)
-
-
 def _named(d: DataFrame, names: list[str]) -> DataFrame:
     return d.select("program_id", F.element_at(F.array(*map(F.lit, names)), F.col("lane") + 1).alias("scenario"), "cycles")
 
@@ -137,20 +132,9 @@ def _longest(t):
 
 
 def graph_longest(s, d):
-    """On the prefix that its SQL states; graph_longest_whole takes the whole trace."""
-    return _longest(_prefix(s, d))
-
-
-def graph_longest_whole(s, d):
     return _longest(materialise(_t(s, d), "trace"))
 
 
-def graph_relaxed(s, d):
-    """On a prefix: a round of joins extends paths by one edge, and a whole trace needs as many rounds as its deepest path has edges."""
-    e = graph.base_graph(_prefix(s, d, 6), P_INO)
-    return graph.relax(e).where("stage = 'C'").groupBy("program_id").agg(F.max("cp").alias("cycles"))
-
-
 def ooo_explicit(s, d):
     """Two passes on the explicit graph: base lengths, issue order, resource edges, lengths."""
     t = materialise(_t(s, d), "trace")  # read by every rule below
@@ -240,7 +224,7 @@ def lanes_32(s, d):
 
 
 def lanes_sequential(s, d):
-    return runs.run_each(_t(s, d), _lane_machines(s, d)[:4]).select("program_id", "lane", "cycles")
+    return runs.run_each(_t(s, d), _lane_machines(s, d)).select("program_id", "lane", "cycles")
 
 
 def ino_chunked(s, d):
@@ -285,12 +269,7 @@ def _path_cycles(t):
 
 
 def critical_path_ino(s, d):
-    """On the prefix that its SQL states; critical_path_ino_whole takes the whole trace."""
-    return _path_cycles(_prefix(s, d))
-
-
-def critical_path_ino_whole(s, d):
-    return _path_cycles(_t(s, d))
+    return _path_cycles(materialise(_t(s, d), "trace"))
 
 
 def top_critical_pcs(s, d):
@@ -315,7 +294,7 @@ def secondary_path(s, d):
 
 
 def limits_ino(s, d):
-    return whatif.compare(_t(s, d), whatif.limits(P_INO)).drop("speedup")
+    return whatif.compare(_t(s, d), whatif.limits(P_INO))
 
 
 def scenario_grid(s, d):
@@ -555,10 +534,10 @@ def bench_simulator_ooo(s, d):
 
 
 NAMES = """trace_lineitem trace_lineitem_distributed trace_events trace_documents trace_conversations op_mix fold_wrong_path slice_instr slice_block sample_regions
-edges_frontend edges_control edges_commit edges_issue edges_pipeline edges_data_reg edges_data_mem edges_fu_inorder edges_queue graph_size graph_valid graph_longest graph_longest_whole graph_relaxed ooo_explicit
+edges_frontend edges_control edges_commit edges_issue edges_pipeline edges_data_reg edges_data_mem edges_fu_inorder edges_queue graph_size graph_valid graph_longest ooo_explicit
 frontend_chain commit_chain toy_base toy_whatif toy_path toy_without_mul toy_fused toy_sql_path fu_pipelined fu_blocking fu_depth crack_example spec_branch
 ino_cycles ino_lanes lanes_32 lanes_sequential ino_chunked ino_planned frontend_ino frontend_ooo frontend_interaction breakdown_ino breakdown_ino_total breakdown_ooo breakdown_cube
-critical_path_ino critical_path_ino_whole top_critical_pcs path_overlap slack_ino secondary_path limits_ino scenario_grid prior_graph_ino ooo_two_pass ooo_cycles ooo_approximate ooo_window ooo_lanes ooo_chunked work_counters
+critical_path_ino top_critical_pcs path_overlap slack_ino secondary_path limits_ino scenario_grid prior_graph_ino ooo_two_pass ooo_cycles ooo_approximate ooo_window ooo_lanes ooo_chunked work_counters
 ino_accuracy ooo_accuracy ooo_earliest_accuracy ooo_approximate_accuracy ooo_lowfi accuracy_summary cache_model stat_costs iss_counts mechanistic cycle_stack vp_random vp_critical vp_focused vp_summary
 crack_trace fusible_pairs fuse_trace value_speculation block_sizes block_reads block_movs block_nulls block_mix block_decode_delay block_graph block_formats block_formats_conversations block_breakdown block_path_mix
 doc_trace_runs stream_ino stream_windows stream_sessions vector_speedup bench_ino bench_ooo bench_ooo_approx bench_simulator_ino bench_simulator_ooo""".split()
@@ -569,11 +548,6 @@ _RUN1 = "SELECT program_id, cycles, instrs, round(cycles / instrs, 6) AS cyc_per
 _SLICED = "p AS (SELECT * FROM trace WHERE seq < {n})"
 
 
-def _prefixed(n: int) -> str:
-    """The main trace's CTEs with its first n instructions as ``trace``."""
-    return oracles.TRACE.replace("trace AS (SELECT program_id", "whole AS (SELECT program_id") + f", trace AS (SELECT * FROM whole WHERE seq < {n})"
-
-
 ORACLE_SQL = {
     "trace_lineitem": with_trace(f"SELECT {_COLS}, imem_cycles, dmem_cycles, mispredicted FROM trace"),
     "trace_lineitem_distributed": with_trace(f"SELECT {_COLS}, imem_cycles, dmem_cycles, mispredicted FROM trace"),
@@ -590,9 +564,28 @@ ORACLE_SQL = {
         "SELECT program_id, (SELECT 3 * count(*) FROM trace t WHERE t.program_id = e.program_id) AS vertices, count(*) AS edges FROM e GROUP BY program_id",
         "e AS (" + " UNION ".join(f"SELECT program_id, src_seq, src_stage, dst_seq, dst_stage FROM ({q})" for k, q in oracles.EDGES.items()) + ")",
     ),
-    "graph_longest": oracles.inorder([P_INO], "SELECT program_id, cycles FROM runs", _prefixed(PREFIX)),
-    "graph_relaxed": oracles.inorder([P_INO], "SELECT program_id, cycles FROM runs", _prefixed(6)),
-    "critical_path_ino": oracles.inorder([P_INO], "SELECT program_id, cycles FROM runs", _prefixed(PREFIX)),
+    "graph_longest": oracles.inorder([P_INO], "SELECT program_id, cycles FROM runs"),
+    "graph_valid": with_trace(
+        "SELECT problem, count(*) AS n FROM (SELECT 'negative' AS problem FROM e WHERE w < 0 UNION ALL SELECT 'self-loop' FROM e WHERE src_seq = dst_seq AND src_stage = dst_stage UNION ALL SELECT 'cycle' FROM e WHERE (src_seq, instr('FEC', src_stage)) >= (dst_seq, instr('FEC', dst_stage))) GROUP BY problem",
+        "e AS (" + " UNION ALL ".join(f"SELECT src_seq, src_stage, dst_seq, dst_stage, w FROM ({q})" for q in oracles.EDGES.values()) + ")",
+    ),
+    "critical_path_ino": oracles.inorder([P_INO], "SELECT program_id, cycles FROM runs"),
+    "limits_ino": oracles.named(whatif.limits(P_INO), "SELECT n.program_id, n.scenario, n.cycles, round(1 - n.cycles / b.cycles, 6) AS improvement, round(b.cycles / n.cycles, 6) AS speedup FROM n JOIN n b ON b.program_id = n.program_id AND b.scenario = 'base'"),
+    "scenario_grid": oracles.named({m.name: m for m in configs.grid(P_INO, fbw=[1, 2, 4], ibw=[1, 2])}),
+    "value_speculation": oracles.named({"base": P_INO, "right": P_INO.edit(predicted_permille=1000), "wrong": P_INO.edit(predicted_permille=1000, predict_penalty=8)}),
+    "crack_trace": oracles.inorder([P_INO], "SELECT program_id, cycles, instrs FROM runs", oracles.CRACKED),
+    "doc_trace_runs": oracles.inorder([P_INO], "SELECT program_id, instrs, cycles FROM runs", oracles.recorded("documents")),
+    "fusible_pairs": with_trace(
+        "SELECT a.program_id, a.seq AS first, b.seq AS second FROM trace a JOIN trace b ON b.program_id = a.program_id AND b.seq = a.seq + 1 AND (a.op_class, b.op_class) IN (('INT_MUL', 'INT_ALU'), ('FP_MUL', 'FP_ALU')) JOIN k ON k.program_id = a.program_id AND k.src_seq = a.seq AND k.n = 1 AND k.reader = b.seq",
+        f"e AS ({oracles.EDGES['edges_data_reg']}), k AS (SELECT program_id, src_seq, count(*) AS n, min(dst_seq) AS reader FROM e GROUP BY ALL)",
+    ),
+    "block_graph": with_trace(
+        "SELECT program_id, 'block_fetch' AS kind, count(*) AS n FROM trace GROUP BY ALL UNION ALL SELECT program_id, 'block_commit', count(*) FROM trace WHERE op_class IN ('BRANCH', 'STORE') OR dst IS NOT NULL GROUP BY ALL UNION ALL SELECT program_id, 'chain_block_commit', count(*) FROM b WHERE more GROUP BY ALL UNION ALL SELECT program_id, CASE WHEN m THEN 'chain_redirect' ELSE 'chain_block_fetch' END, count(*) FROM b WHERE more GROUP BY ALL",
+        "b AS (SELECT program_id, block_no, bool_or(mispredicted) AS m, lead(block_no) OVER (PARTITION BY program_id ORDER BY block_no) IS NOT NULL AS more FROM trace GROUP BY program_id, block_no)",
+    ),
+    "toy_path": toys.cases_sql({"toy": toys.toy()}).replace("SELECT case_name, cast(max(n) AS bigint) AS cycles FROM p GROUP BY case_name", ", l AS (SELECT v, max(n) AS cp FROM p GROUP BY v) SELECT e.a AS src, e.b AS dst, e.w FROM e JOIN l x ON x.v = e.a JOIN l y ON y.v = e.b WHERE y.cp = x.cp + e.w"),
+    "toy_fused": toys.cases_sql({n: [(x, y, kind, 2 if x == "E2" else w) for a, b, kind, w in toys.toy(registers=k) for x, y in [(a.replace("3", "2"), b.replace("3", "2"))] if x != y] for k, n in ((2, "fused, second register"), (1, "fused, one register"))}),
+    "stream_sessions": "SELECT user_id, count(*) FILTER (WHERE begins) AS sessions, count(*) AS n FROM (SELECT user_id, coalesce(ts - lag(ts) OVER (PARTITION BY user_id ORDER BY ts) >= INTERVAL 30 MINUTE, true) AS begins FROM events) GROUP BY user_id",
     "frontend_chain": with_trace("SELECT program_id, seq, cast(sum(CASE WHEN seq > 0 THEN imem_cycles ELSE 0 END) OVER (PARTITION BY program_id ORDER BY seq) AS bigint) AS cp FROM trace"),
     "commit_chain": f"WITH RECURSIVE {oracles.TRACE.strip()}, {oracles.X}, r AS MATERIALIZED (SELECT program_id, seq, seq % 7 * 3 + x AS ready FROM x), s AS (SELECT program_id, seq, cast(ready AS bigint) AS c1, cast(-1000000 AS bigint) AS c2 FROM r WHERE seq = 0 UNION ALL SELECT r.program_id, r.seq, greatest(r.ready, c1, c2 + 1), c1 FROM s JOIN r ON r.program_id = s.program_id AND r.seq = s.seq + 1) SELECT program_id, seq, c1 AS cp FROM s",
     "toy_base": toys.cases_sql({"base": toys.TOY_CASES["base"]}),
@@ -606,7 +599,7 @@ ORACLE_SQL = {
     "ino_cycles": oracles.inorder([P_INO], _RUN1),
     "ino_lanes": oracles.inorder(list(FRONT.values()), "SELECT program_id, lane, cycles FROM runs"),
     "lanes_32": oracles.inorder([], "SELECT program_id, lane, cycles FROM runs", lanes_sql=oracles.EMBEDDED_LANES.format(n=32)),
-    "lanes_sequential": oracles.inorder([], "SELECT program_id, lane, cycles FROM runs", lanes_sql=oracles.EMBEDDED_LANES.format(n=4)),
+    "lanes_sequential": oracles.inorder([], "SELECT program_id, lane, cycles FROM runs", lanes_sql=oracles.EMBEDDED_LANES.format(n=32)),
     "ino_chunked": oracles.inorder([P_INO], "SELECT program_id, cycles, instrs FROM runs"),
     "ino_planned": oracles.inorder([P_INO, P_INO, FRONT["both"]], "SELECT program_id, lane, cycles FROM runs"),
     "breakdown_ino_total": oracles.inorder([P_INO], "SELECT program_id, cycles FROM runs"),
