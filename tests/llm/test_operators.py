@@ -80,13 +80,17 @@ def similar(a, b):
     return 100 * len(x & y) >= 80 * len(x | y)
 
 
-def test_blocks_hold_each_run_once(spark):
-    """Lines about a block's length, of signs beyond the basic plane too."""
-    lines = ["".join(chr(0x1F600 + k % 7) if k % 3 else "a" for k in range(n)) for n in (1, 4, 5, 63, 64, 65, 66, 67, 68, 69, 128, 132, 133, 300)]
-    d = spark.createDataFrame([(x,) for x in lines], "line string").select("line", line_dedup.blocks(F.col("line")).alias("b"))
-    for r in d.collect():
-        got = [b[i : i + 5] for b in r["b"] for i in range(max(1, len(b) - 4))]
-        assert got == [r["line"][i : i + 5] for i in range(max(1, len(r["line"]) - 4))]
+def test_minima_against_single_lines():
+    """Whatever lines are hashed at a time, a signature is that of the line alone."""
+    r = random.Random(6)
+    lines = ["".join(chr(r.choice([97, 98, 32, 233, 0x1F600])) for _ in range(n)) for n in (1, 4, 5, 6, 9, 70, 300, 3, 70_000, 2, 66_000, 5)] + ["-" * k for k in (40, 47)] + ["~" * 41]
+    got = line_dedup.minima(lines)
+    for x, m in zip(lines, got):
+        h = line_dedup.run_hashes(x.ljust(5, "\U0010ffff"))
+        even = h[h % 2 == 0]
+        use = even & ~np.uint64(1 << 63) if len(even) else h | np.uint64(1 << 63)
+        assert m.tolist() == [int((use ^ s).min()) for s in line_dedup._SEEDS]
+    assert (got[-3] == got[-2]).all() and len(set(line_dedup.shingle_set("abcabcabc").tolist())) == 3
 
 
 def test_line_dedup_against_brute_force(spark):
@@ -120,18 +124,17 @@ def test_line_dedup_against_brute_force(spark):
     assert all(kept == (k == c) for k, (kept, c) in got.items())
 
 
-def test_line_dedup_compares_all_of_a_hot_bucket(spark, monkeypatch):
-    """Lines of a template share buckets; each has a near copy far from it in order."""
-    monkeypatch.setattr(line_dedup, "BANDS", 40)
-    monkeypatch.setattr(line_dedup, "ROWS", 1)
+def test_line_dedup_compares_all_of_a_hot_bucket(spark):
+    """Lines of a template share most buckets, below the threshold; each has a near copy far from it in order."""
     r = random.Random(4)
-    own = ["".join(r.choice("abcdefghijklmnopqrstuvwxyz") for _ in range(40)) for _ in range(60)]
-    line = lambda x: f"posted by {x} for all readers of the monthly paper"
-    order = list(range(60))
+    own = ["".join(r.choice("abcdefghijklmnopqrstuvwxyz") for _ in range(24)) for _ in range(150)]
+    line = lambda x: f"posted today by {x} for all the patient readers of the monthly paper on small gardens, wide rivers, old bridges and the quiet villages that lie between them"
+    order = list(range(150))
     r.shuffle(order)
-    lines = [line(x) for x in own] + [line(own[k][:20] + "#" + own[k][21:]) for k in order]
+    lines = [line(x) for x in own] + [line(own[k][:12] + "#" + own[k][13:]) for k in order]
+    assert 0.6 < len(line_set(lines[0]) & line_set(lines[1])) / len(line_set(lines[0]) | line_set(lines[1])) < 0.8
     got = {x["doc_id"]: x["class_doc_id"] for x in line_dedup.deduplicated(docs(spark, list(enumerate(lines)))).collect()}
-    assert got == {**{k: k for k in range(60)}, **{60 + i: k for i, k in enumerate(order)}}
+    assert got == {**{k: k for k in range(150)}, **{150 + i: k for i, k in enumerate(order)}}
 
 
 def test_line_dedup_of_long_words_and_lines(spark):
@@ -441,19 +444,30 @@ def test_shards_match_the_mixture(spark):
 
 
 def test_chat_round_trip_and_parts(spark):
-    rows = [(1, 0, "user", "a < b \\l \\b </turn>\n<turn x>\n"), (1, 1, "assistant", "\\<\\\\ok"), (1, 1, "assistant", "\\<\\\\ok"), (1, None, None, None), (2, 0, "we>\nird<", "é x"), (None, 0, "assistant", "null id")]
-    c = spark.createDataFrame(rows, "conv_id bigint, turn bigint, role string, text string")
-    f = chat_format.formatted(chat_format.text_turns(c))
-    back = {r["conv_id"]: [(t["role"], t["text"]) for t in r["t"]] for r in f.select("conv_id", chat_format.parsed(f["formatted"]).alias("t")).collect()}
-    assert back[1] == [("", ""), ("user", rows[0][3]), ("assistant", rows[1][3]), ("assistant", rows[1][3])] and back[2] == [("we>\nird<", "é x")]
-    x = {r["conv_id"]: r for r in chat_format.read_back(f).collect()}[1]
-    assert x["loss_chars"] == 2 * len(rows[1][3]) and x["loss_sha256"] == hashlib.sha256((2 * rows[1][3]).encode()).hexdigest()
-    parts = [("text", "see ", None, None), ("image", None, "img://1", 3), ("text", " and <", None, None), ("audio", None, "a.wav", None), ("odd", None, "o", 9)]
+    media = "see https://a.b/x.PNG, (http://c/d.e.mp3) and https://f/g.pdf.\ufeff"
+    rows = [(1, 0, "user", "a < b \\l \\b </turn>\n<turn x>\n"), (1, 1, "assistant", "\\<\\\\ok"), (1, 1, "assistant", "\\<\\\\ok"), (1, None, None, None), (2, 0, "we>\nird<", "é x"), (None, 0, "assistant", "null id"),
+            (3, 0, "user", media), (3, 1, "assistant", "\ufeff" + media + " <part image:0>"), (3, 2, "assistant", "😀" * 5000)]
+    c = spark.createDataFrame(rows, "conv_id bigint, turn bigint, role string, text string").withColumn("flat", F.lit(1)).withColumn("parts", F.lit("x"))
+    f = chat_format.formatted(chat_format.typed_turns(c))
+    back = {r["conv_id"]: [(t["role"], t["text"]) for t in r["t"]] for r in f.select("conv_id", chat_format.parsed(f["formatted"], f["attachments"]).alias("t")).collect()}
+    assert back[1] == [("", ""), ("user", rows[0][3]), ("assistant", rows[1][3]), ("assistant", rows[1][3])] and back[2] == [("we>\nird<", "é x")]
+    assert back[3] == [r[2:] for r in rows[6:]]
+    got = {r["conv_id"]: r for r in chat_format.read_back(f).collect()}
+    for k in (1, 3, None):
+        said = "".join(r[3] for r in rows if r[0] == k and r[2] == "assistant")
+        assert got[k]["loss_chars"] == len(said) and got[k]["loss_sha256"] == hashlib.sha256(said.encode()).hexdigest()
+    assert (got[3]["n_attachments"], got[3]["expanded_tokens"]) == (6, 2 * (256 + 25 + 512)) and got[2]["loss_spans"] == ""
+    form = {r["conv_id"]: r for r in f.collect()}
+    assert "see <part image:0>, (<part audio:1>) and <part document:2>." in form[3]["formatted"]
+    assert [[a["ref"] for a in t] for t in form[3]["attachments"]] == [["https://a.b/x.PNG", "http://c/d.e.mp3", "https://f/g.pdf"]] * 2 + [[]]
+    for r in form.values():
+        assert all(r["formatted"][: s["start"]].endswith("<turn assistant>\n") and r["formatted"][s["end"] :].startswith("\n</turn>\n") for s in r["loss_spans"])
+    parts = [("text", "see ", None, None), ("image", None, "img://1", 3), ("text", " and <", None, None), ("audio", None, "a.wav", None), ("o>d", None, "o", 9)]
     t = spark.createDataFrame([(7, 0, "user", parts), (7, 1, "assistant", None)], f"conv_id bigint, turn bigint, role string, parts {chat_format.PARTS}")
     r = chat_format.formatted(t).first()
-    assert "see <part image:0> and \\l<part audio:1><part odd:2>" in r["formatted"] and r["expanded_tokens"] == 3 * 256 + 25
-    assert [(a["type"], a["ref"], a["tokens"]) for a in r["attachments"]] == [("image", "img://1", 768), ("audio", "a.wav", 25), ("odd", "o", 0)]
-    assert chat_format.read_back(chat_format.formatted(chat_format.text_turns(c.where("false")))).count() == 0
+    assert "see <part image:0> and \\l<part audio:1><part o\\gd:2>" in r["formatted"] and r["expanded_tokens"] == 3 * 256 + 25
+    assert [(a["type"], a["ref"], a["tokens"]) for a in r["attachments"][0]] == [("image", "img://1", 768), ("audio", "a.wav", 25), ("o>d", "o", 0)]
+    assert chat_format.read_back(chat_format.formatted(chat_format.typed_turns(c.where("false")))).count() == 0
 
 
 # -- 8: packing ----------------------------------------------------------------------------------------------
