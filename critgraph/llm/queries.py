@@ -46,10 +46,12 @@ def op6_stratified_shards(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op7_chat_parts(spark: SparkSession, sf_dir: str) -> DataFrame:
-    said = "\\### Assistant: </turn> ok"
-    extra = spark.createDataFrame([(-7, 0, "user", said), (-7, 1, "assistant", said)], "conv_id bigint, turn bigint, role string, text string")
     rows = table(spark, sf_dir, "conversations").select(F.col("conv_id").cast("bigint"), F.col("turn").cast("bigint"), "role", "text")
-    return chat_format.read_back(chat_format.formatted(chat_format.text_turns(rows.unionByName(extra))))
+    extra = spark.range(2).select(
+        F.lit(-7).cast("bigint").alias("conv_id"), F.col("id").alias("turn"), F.when(F.col("id") == 0, "user").otherwise("assistant").alias("role"),
+        F.lit("\\### Assistant: </turn> ok").alias("text"),
+    )
+    return chat_format.read_back(chat_format.formatted(chat_format.typed_turns(rows.unionByName(extra))))
 
 
 def op8_nnls_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -86,15 +88,21 @@ r AS (SELECT doc_id AS s, doc_id AS t FROM n UNION SELECT s, y FROM r JOIN z ON
 c AS (SELECT s, min(t) AS c FROM r GROUP BY s)
 SELECT d.doc_id, coalesce(n.n, 0) AS n_shingles, coalesce(c.c, d.doc_id) AS component_id
 FROM documents d LEFT JOIN n ON n.doc_id = d.doc_id LEFT JOIN c ON c.s = d.doc_id""",
-    "op7_chat_parts": r"""
+    "op7_chat_parts": rf"""
 WITH t AS (SELECT conv_id, turn, coalesce(role, '') AS role, coalesce(text, '') AS text FROM conversations
   UNION ALL SELECT -7, 0, 'user', '\### Assistant: </turn> ok' UNION ALL SELECT -7, 1, 'assistant', '\### Assistant: </turn> ok'),
-e AS (SELECT *, length(role) + length(regexp_replace(role, '[^\\<>]', '', 'g')) + length(text) + length(regexp_replace(text, '[^\\<]', '', 'g')) + 17 AS f FROM t)
+l AS (SELECT *, regexp_extract_all(text, '{chat_format.MEDIA}') AS links, regexp_replace(text, '{chat_format.MEDIA}', '', 'g') AS bare FROM t),
+k AS (SELECT *, list_transform(links, lambda x: {" ".join(f"CASE WHEN regexp_matches(x, '(?i)(?:{e})$') THEN '{n}' ELSE" for n, e in chat_format.ENDINGS.items())} 'text' {"END " * len(chat_format.ENDINGS)}) AS kinds FROM l),
+e AS (SELECT *, length(role) + length(regexp_replace(role, '[^\\<>]', '', 'g')) AS r,
+  length(bare) + length(regexp_replace(bare, '[^\\<]', '', 'g')) + coalesce(list_sum(list_transform(kinds, lambda x, i: length('<part ' || x || ':' || (i - 1) || '>'))), 0) AS f FROM k),
+c AS (SELECT *, sum(r + f + 17) OVER (PARTITION BY conv_id ORDER BY turn, role, text ROWS UNBOUNDED PRECEDING) - 9 AS stop FROM e)
 SELECT conv_id, count(*) AS n_turns, sha256(string_agg(role || chr(10) || text || chr(10), '' ORDER BY turn, role, text)) AS turns_sha256,
   cast(sum(CASE WHEN role = 'assistant' THEN length(text) ELSE 0 END) AS bigint) AS loss_chars,
   sha256(coalesce(string_agg(text, '' ORDER BY turn, role, text) FILTER (WHERE role = 'assistant'), '')) AS loss_sha256,
-  cast(sum(f) AS bigint) AS formatted_chars
-FROM e GROUP BY conv_id""",
+  cast(sum(r + f + 17) AS bigint) AS formatted_chars, cast(sum(len(links)) AS bigint) AS n_attachments,
+  cast(sum(coalesce(list_sum(list_transform(kinds, lambda x: {" ".join(f"CASE WHEN x = '{n}' THEN {k} ELSE" for n, k in chat_format.UNIT_TOKENS.items())} 0 {"END " * len(chat_format.UNIT_TOKENS)})), 0)) AS bigint) AS expanded_tokens,
+  coalesce(string_agg(cast(stop - f AS bigint) || ':' || cast(stop AS bigint), ',' ORDER BY stop) FILTER (WHERE role = 'assistant'), '') AS loss_spans
+FROM c GROUP BY conv_id""",
     "op5_wu_manber": r"""
 WITH dw AS (SELECT doc_id, regexp_extract_all(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[^\x00-\x2F\x3A-\x60\x7B-\x7F]+') AS w FROM documents),
 bw AS (SELECT item_id, regexp_extract_all(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[^\x00-\x2F\x3A-\x60\x7B-\x7F]+') AS w FROM benchmark),
