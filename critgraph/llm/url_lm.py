@@ -1,17 +1,19 @@
 """URL filters: ratio of two character language models, in DataFrame functions alone.
 
 Rules (host with its subdomains, path prefix; the longest fitting rule wins) settle some
-URLs. The accepted and the rejected ones train two variable-order Markov models (orders 0
-to 2, Witten-Bell smoothing, an unseen context falling back to the shorter one). Every
+URLs. The accepted and the rejected ones train two variable-order Markov models over code points as they stand (orders 0
+to ``ORDER``, Witten-Bell smoothing, an unseen context falling back to the shorter one). Every
 other URL is judged by the mean log-likelihood difference per character against a
-threshold calibrated on the rule-settled URLs.
+threshold calibrated on the rule-settled URLs of one fold, which trains no model (one in ``FOLDS`` by hash).
 
-Characters are folded to an alphabet of 40 signs, so a model has at most 40^3 trigrams:
-that bound, not the data, limits what is broadcast. Counts cover all rows.
+Counts cover all rows. Grams, their counts and their ratios are tables that grow with the pages: each order's
+probabilities come from the order below by joins on the gram and on its context, and URLs meet the ratios by a join on the gram. Counts are
+combined before they are shuffled; the grams that every URL has are dealt out by Spark's handling of skewed joins.
 
 Defined results: a null URL or one without "://" has an empty host and path, fits no rule
-and is judged as the text it has; with only one kind of training URL all differences are 0
-and the verdict is allow; repeated rows are judged alike; extra columns are not read.
+and is judged as the text it has; with only one kind of training URL all differences are 0; with only one kind in the
+calibrating fold the threshold is 0; ties go to allow;
+repeated rows are judged alike, rows without an id like others; very long URLs are scored whole; an empty table gives no row; extra columns are not read.
 """
 
 from __future__ import annotations
@@ -19,12 +21,14 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from critgraph.runtime import materialise, release
+
 #: The rules of the query (allow?, host, path prefix).
 RULES = ((True, "com", "/"), (False, "example.com", "/en/"), (True, "www.example.com", "/en/"), (False, "net", "/es/"), (False, "net", "/fr/"))
 UPPER, LOWER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"
-#: Signs after folding: 26 letters, 0 for digits, these marks, ~ for the rest, ^ and $ for the ends.
-MARKS = "/.-_?=&%:#"
-ALPHABET = 26 + 1 + len(MARKS) + 3
+ORDER, FOLDS = 4, 5
+#: Signs for the place before a URL's first character and after its last.
+BEFORE, AFTER = "\x02", "\x03"
 BINS = 400  # of the calibration histogram, over differences of -4 to 4
 
 
@@ -47,45 +51,29 @@ def rule_of(host: Column, path: Column, rules) -> tuple[Column, Column]:
     return name, allow
 
 
-def folded(url: Column) -> Column:
-    s = F.translate(F.coalesce(url, F.lit("")), UPPER + "123456789", LOWER + "0" * 9)
-    return F.concat(F.lit("^^"), F.regexp_replace(s, r"[^a-z0/.\-_?=&%:#]", "~"), F.lit("$"))
-
-
-def trigrams(url: Column) -> Column:
-    return F.regexp_extract_all(folded(url), F.lit(r"(?=(...))"), F.lit(1))
-
-
-def log_ratios(counts: DataFrame) -> DataFrame:
-    """(gram, ratio): log P_accepted - log P_rejected of a trigram's last sign, from (gram, acc, rej)."""
-    c = counts.select("gram", "acc", "rej", F.substring("gram", 1, 2).alias("c2"), F.substring("gram", 2, 1).alias("c1"), F.substring("gram", 3, 1).alias("c"))
+def grams(url: Column) -> Column:
+    """The runs of ORDER + 1 signs that end at each character of a URL and behind it."""
+    padded = F.concat(F.lit(BEFORE * ORDER), F.coalesce(url, F.lit("")), F.lit(AFTER))
+    return F.regexp_extract_all(padded, F.lit(r"(?s)(?=(.{%d}))" % (ORDER + 1)), F.lit(1))
 
-    def context(by: list[str], of: str) -> DataFrame:
-        """Totals and kinds of continuation per context, for both models."""
-        d = c.groupBy(*by, "c").agg(F.sum("acc").alias("acc"), F.sum("rej").alias("rej"))
-        n = d.groupBy(*by) if by else d.groupBy()
-        return d, n.agg(*(f(x).alias(f"{of}_{k}_{x}") for x in ("acc", "rej") for k, f in (("n", F.sum), ("t", lambda y: F.sum((F.col(y) > 0).cast("int"))))))
 
-    one, one_tot = context(["c1"], "u")
-    zero, zero_tot = context([], "z")
-    two_tot = c.groupBy("c2").agg(*(f(x).alias(f"w_{k}_{x}") for x in ("acc", "rej") for k, f in (("n", F.sum), ("t", lambda y: F.sum((F.col(y) > 0).cast("int"))))))
-    d = (
-        c.join(F.broadcast(two_tot), "c2")
-        .join(F.broadcast(one.withColumnsRenamed({"acc": "u_acc", "rej": "u_rej"})), ["c1", "c"])
-        .join(F.broadcast(one_tot), "c1")
-        .join(F.broadcast(zero.withColumnsRenamed({"acc": "z_acc", "rej": "z_rej"})), "c")
-        .crossJoin(F.broadcast(zero_tot))  # one row
-    )
+MODELS = ("acc", "rej")
 
-    def p(x: str) -> Column:
-        low = (F.col(f"z_{x}") + 1) / (F.col(f"z_n_{x}") + ALPHABET)
-        for own, of in ((f"u_{x}", "u"), (x, "w")):
-            n, t = F.col(f"{of}_n_{x}"), F.col(f"{of}_t_{x}")
-            low = F.when(n > 0, (F.col(own) + t * low) / (n + t)).otherwise(low)
-        return low
 
-    trained = (F.col("z_n_acc") > 0) & (F.col("z_n_rej") > 0)
-    return d.select("gram", F.when(trained, F.log(p("acc")) - F.log(p("rej"))).otherwise(F.lit(0.0)).alias("ratio"))
+def probabilities(counts: DataFrame, order: int = ORDER) -> DataFrame:
+    """(gram, p_acc, p_rej): the last sign's smoothed probability after the signs before it, from (gram, acc, rej)."""
+    if order:
+        lower = counts.groupBy(F.substring("gram", 2, order).alias("gram")).agg(*(F.sum(x).alias(x) for x in MODELS))
+        below = probabilities(lower, order - 1).select(F.col("gram").alias("_low"), *(F.col(f"p_{x}").alias(f"_p_{x}") for x in MODELS))
+        seen = counts.groupBy(F.substring("gram", 1, order).alias("_ctx"))
+        seen = seen.agg(*(f(x).alias(f"{k}_{x}") for x in MODELS for k, f in (("n", F.sum), ("t", lambda y: F.sum((F.col(y) > 0).cast("int"))))))
+        d = counts.withColumns({"_ctx": F.substring("gram", 1, order), "_low": F.substring("gram", 2, order)}).join(seen, "_ctx").join(below, "_low")
+    else:  # one row of totals; an unseen sign has its share of one sign more than there are
+        r = counts.agg(F.count(F.lit(1)), *(F.sum(x) for x in MODELS), *(F.sum((F.col(x) > 0).cast("int")) for x in MODELS)).first()
+        d = counts.withColumns({f"{k}_{x}": F.lit(r[1 + i + 2 * j] or 0) for i, x in enumerate(MODELS) for j, k in enumerate("nt")})
+        d = d.withColumns({f"_p_{x}": F.lit(1.0 / (r[0] + 1)) for x in MODELS})
+    own = lambda x: F.when(F.col(f"n_{x}") > 0, (F.col(x) + F.col(f"t_{x}") * F.col(f"_p_{x}")) / (F.col(f"n_{x}") + F.col(f"t_{x}"))).otherwise(F.col(f"_p_{x}"))
+    return d.select("gram", *(own(x).alias(f"p_{x}") for x in MODELS))
 
 
 def judged(pages: DataFrame, rules=RULES) -> DataFrame:
@@ -93,11 +81,18 @@ def judged(pages: DataFrame, rules=RULES) -> DataFrame:
     host, path = host_path(F.col("url"))
     name, allow = rule_of(F.col("host"), F.col("path"), rules)
     rows = pages.select("page_id", "url").withColumns({"host": host, "path": path}).withColumns({"rule": name, "_allow": allow})
-    rows = rows.withColumn("_row", F.monotonically_increasing_id())
-    grams = rows.withColumn("gram", F.explode(trigrams(F.col("url"))))
-    counts = grams.groupBy("gram").agg(F.sum(F.col("_allow").eqNullSafe(True).cast("bigint")).alias("acc"), F.sum(F.col("_allow").eqNullSafe(False).cast("bigint")).alias("rej"))
-    scored = grams.join(F.broadcast(log_ratios(counts)), "gram").groupBy("_row", "page_id", "host", "path", "rule", "_allow").agg(F.round(F.avg("ratio"), 9).alias("score"))
-    cut = calibrated(scored)
+    rows = rows.withColumns({"_row": F.monotonically_increasing_id(), "_held": F.pmod(F.xxhash64("url"), F.lit(FOLDS)) == 0})
+    rows = materialise(rows, "urls")  # the html is read past once
+    spelt = rows.withColumn("gram", F.explode(grams(F.col("url"))))
+    taught = lambda kind: F.sum((F.col("_allow").eqNullSafe(kind) & ~F.col("_held")).cast("bigint"))
+    counts = materialise(spelt.groupBy("gram").agg(taught(True).alias("acc"), taught(False).alias("rej")), "grams")
+    kinds = rows.where(~F.col("_held") & F.col("_allow").isNotNull()).select("_allow").distinct().count()
+    ratio = F.log("p_acc") - F.log("p_rej") if kinds == 2 else F.lit(0.0)
+    ratios = materialise(probabilities(counts).select("gram", ratio.alias("ratio")), "ratios")
+    scores = spelt.select("_row", "gram").join(ratios, "gram").groupBy("_row").agg(F.round(F.avg("ratio"), 9).alias("score"))
+    scored = materialise(rows.join(scores, "_row").drop("url", "_row"), "scored")
+    release(rows, counts, ratios)
+    cut = calibrated(scored.where("_held"))
     verdict = F.when(F.coalesce(F.col("_allow"), F.col("score") >= cut), "allow").otherwise("block")
     return scored.select("page_id", "host", "path", "rule", verdict.alias("verdict"), "score", F.lit(cut).alias("threshold"))
 

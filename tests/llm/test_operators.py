@@ -350,33 +350,43 @@ def test_url_rules_and_models(spark):
     assert got[0]["host"] == "www.example.com" and got[3]["path"] == "/es/5" and got[6]["path"] == "/en/"
     assert all((got[k]["host"], got[k]["path"], got[k]["rule"]) == ("", "", None) for k in (7, 8, 9)) and got[11]["rule"] is None
     assert url_lm.judged(pages).count() == len(urls) + 1 and url_lm.judged(pages.where("false")).count() == 0
-    # scores against a plain computation
+    # scores, threshold and verdicts against a plain computation
     import math
     from collections import Counter
 
-    fold = lambda u: "^^" + re.sub(r"[^a-z0/.\-_?=&%:#]", "~", re.sub("[1-9]", "0", (u or "").translate(str.maketrans(url_lm.UPPER, url_lm.LOWER)))) + "$"
-    rows = [*urls, urls[0]]
-    allow = {0: True, 1: False, 2: True, 3: False, 4: False, len(urls): True}
-    n = {m: [Counter(), Counter(), Counter()] for m in (True, False)}
+    many = [f"http://{r}.{h}/{p}/{k}" for k, (r, h, p) in enumerate([("www", "example.com", "en"), ("b", "net", "fr"), ("shop", "x.com", "Straße"), ("c", "net", "es"), ("é", "org", "日本"), ("d", "info", "fr")] * 9)] + [*urls, urls[0], "x" * 3000]
+    pages = spark.createDataFrame([(k, u) for k, u in enumerate(many)], "page_id bigint, url string")
+    got = {r["page_id"]: r for r in url_lm.judged(pages).collect()}
+    held = {r["page_id"] for r in pages.where(F.pmod(F.xxhash64("url"), F.lit(url_lm.FOLDS)) == 0).collect()}
+    allow = {k: got[k]["verdict"] == "allow" for k in got if got[k]["rule"]}
+    pad = lambda u: "\x02" * 4 + (u or "") + "\x03"
+    n = {m: Counter() for m in (True, False)}
     for k, m in allow.items():
-        s = fold(rows[k])
-        for i in range(len(s) - 2):
-            for o in range(3):
-                n[m][o][s[i + 2 - o : i + 3]] += 1
+        if k not in held:
+            s = pad(many[k])
+            n[m].update(s[i - o : i + 1] for i in range(4, len(s)) for o in range(5))
+    signs = len({c for u in many for c in pad(u)[4:]})
 
     def p(m, g):
-        low = (n[m][0][g[2]] + 1) / (sum(n[m][0].values()) + url_lm.ALPHABET)
-        for o in (1, 2):
-            ctx = g[2 - o : 2]
-            own = {k: v for k, v in n[m][o].items() if k[:-1] == ctx}
+        low = 1 / (signs + 1)
+        for o in range(5):
+            ctx = g[4 - o : 4]
+            own = [v for k, v in n[m].items() if len(k) == o + 1 and k[:-1] == ctx]
             if own:
-                low = (n[m][o][g[2 - o :]] + len(own) * low) / (sum(own.values()) + len(own))
+                low = (n[m][g[4 - o :]] + len(own) * low) / (sum(own) + len(own))
         return low
 
-    for k, u in enumerate(urls):
-        s = fold(u)
-        want = sum(math.log(p(True, s[i : i + 3]) / p(False, s[i : i + 3])) for i in range(len(s) - 2)) / (len(s) - 2)
+    for k in [0, 1, 4, 5, *range(54, len(many) - 1)]:
+        s = pad(many[k])
+        want = sum(math.log(p(True, s[i - 4 : i + 1]) / p(False, s[i - 4 : i + 1])) for i in range(4, len(s))) / (len(s) - 4)
         assert abs(got[k]["score"] - want) < 1e-6
+    cut = got[0]["threshold"]
+    part = lambda x, m: [allow[k] for k in held if k in allow and (got[k]["score"] >= x) == m]
+    worth = lambda x: sum(part(x, True)) / max(1, sum(allow[k] for k in held if k in allow)) + part(x, False).count(False) / max(1, sum(not allow[k] for k in held if k in allow))
+    assert {allow[k] for k in held if k in allow} == {True, False} and worth(cut) >= max(worth(got[k]["score"]) for k in held) - 1e-9
+    assert all((got[k]["verdict"] == "allow") == (got[k]["score"] >= cut) for k in got if not got[k]["rule"])
+    one = pages.where("url like '%fr%'").union(spark.createDataFrame([(None, None)], pages.schema)).withColumn("gram", F.lit(1))
+    assert {r["score"] for r in url_lm.judged(one).collect()} == {0.0}
 
 
 # -- 5: decontamination ----------------------------------------------------------------------------
@@ -419,6 +429,7 @@ def test_wu_manber_against_brute_force(spark):
     assert out[90]["n_hit"] == 4 and out[90]["items_sha256"] == hashlib.sha256(b"50,51").hexdigest() and not out[91]["contaminated"]
     clean = {x["doc_id"] for x in wu_manber.clean_documents(d, b).collect()}
     assert clean == {i for i, x in out.items() if not x["contaminated"]}
+    assert clean == {x["doc_id"] for x in wu_manber.clean_documents(d.withColumn("hits", F.lit(1)), b, pass_bytes=300).collect()}
     assert wu_manber.decontamination(d, b.where("false")).where("contaminated").count() == 0 and wu_manber.decontamination(d.where("false"), b).count() == 0
 
 
