@@ -20,11 +20,12 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from critgraph.runtime import ship
+from critgraph.runtime import materialise, release, ship
 
 WORD = re.compile(rb"[^\x00-\x2f\x3a-\x60\x7b-\x7f]+")
-#: UTF-8 bytes of test items that one pass holds; more items are searched in further passes.
-PASS_BYTES = 32 << 20
+#: UTF-8 bytes of test items that one pass holds (some 0.4 GB of tables in a worker); more items are searched in further
+#: passes, each of which writes its findings before the next one's items are fetched.
+PASS_BYTES = 4 << 20
 
 
 def words_of(text: bytes | None) -> list[bytes]:
@@ -74,34 +75,47 @@ def tables(items: list[tuple[str, bytes]], window: int) -> list[Table]:
     return [by[k] for k in sorted(by)]
 
 
-def _blocks(benchmark: DataFrame, pass_bytes: int) -> Iterator[list[tuple[str, bytes]]]:
-    b = benchmark.select(F.coalesce(F.col("item_id").cast("string"), F.lit("")).alias("i"), F.col("text").cast("binary").alias("t")).where("t is not null")
-    total = b.agg(F.sum(F.octet_length("t") + F.octet_length("i"))).first()[0] or 0
-    parts = total // pass_bytes + 1
-    for k in range(parts):
-        part = b if parts == 1 else b.where(F.pmod(F.xxhash64("i", "t"), F.lit(2 * parts)).isin(2 * k, 2 * k + 1))
-        if rows := part.collect():
-            yield [(r["i"], bytes(r["t"])) for r in rows]
+class _Passes:
+    """The test items in parts of about ``pass_bytes`` (twice that for uneven hashing), one part on the driver at a time."""
+
+    def __init__(self, benchmark: DataFrame, pass_bytes: int):
+        self.b = benchmark.select(F.coalesce(F.col("item_id").cast("string"), F.lit("")).alias("i"), F.col("text").cast("binary").alias("t")).where("t is not null")
+        total = self.b.agg(F.sum(F.octet_length("t") + F.octet_length("i"))).first()[0] or 0
+        self.parts = total // pass_bytes + 1
+
+    def items(self, k: int) -> list[tuple[str, bytes]]:
+        part = self.b if self.parts == 1 else self.b.where(F.pmod(F.xxhash64("i", "t"), F.lit(2 * self.parts)).isin(2 * k, 2 * k + 1))
+        return [(r["i"], bytes(r["t"])) for r in part.collect()]
+
+    def over(self, rows: DataFrame, scan) -> DataFrame:
+        """``rows`` after all passes; ``scan`` makes a pass's function of Arrow batches from its broadcast items and whether it is the last."""
+        spark, before = rows.sparkSession, None
+        for k in range(self.parts):
+            shared = spark.sparkContext.broadcast(self.items(k))
+            rows = rows.mapInArrow(scan(shared, k == self.parts - 1), rows.schema)
+            if k < self.parts - 1:  # one task holds one pass's tables
+                rows = materialise(rows, "pass")
+                shared.destroy()
+                if before is not None:
+                    release(before)
+                before = rows
+        return rows
 
 
 def search(docs: DataFrame, benchmark: DataFrame, window: int = 10, pass_bytes: int = PASS_BYTES) -> DataFrame:
     """docs (doc_id, text) with n_words, hits (word spans [start, end) joined), items (sorted).
 
     The benchmark's size is measured first; each pass over the texts holds at most about
-    ``pass_bytes`` of items (twice that for uneven hashing), so memory stays bounded.
+    ``pass_bytes`` of items, and passes follow each other, so memory stays bounded.
     """
-    spark = docs.sparkSession
-    ship(spark)
+    ship(docs.sparkSession)
     out = docs.select("doc_id", F.col("text").cast("binary").alias("text")).withColumns(
         {"hits": F.expr("cast(array() as array<bigint>)"), "items": F.expr("cast(array() as array<string>)")}
     )
     out = out.select("doc_id", "text", F.lit(-1).cast("bigint").alias("n_words"), "hits", "items")
-    blocks = list(_blocks(benchmark, pass_bytes)) or [[]]
-    for k, block in enumerate(blocks):
-        shared = spark.sparkContext.broadcast(block)
-        last = k == len(blocks) - 1
 
-        def scan(batches, shared=shared, last=last):
+    def one_pass(shared, last):
+        def scan(batches):
             found = tables(shared.value, window)
             for b in batches:
                 texts, hits, items = b.column(1).to_pylist(), b.column(3).to_pylist(), b.column(4).to_pylist()
@@ -125,8 +139,9 @@ def search(docs: DataFrame, benchmark: DataFrame, window: int = 10, pass_bytes:
                     names=["doc_id", "text", "n_words", "hits", "items"],
                 )
 
-        out = out.mapInArrow(scan, out.schema)
-    return out.drop("text")
+        return scan
+
+    return _Passes(benchmark, pass_bytes).over(out, one_pass).drop("text")
 
 
 def merged(spans: list[tuple[int, int]]) -> list[int]:
@@ -149,24 +164,22 @@ def decontamination(docs: DataFrame, benchmark: DataFrame, window: int = 10) ->
     )
 
 
-def clean_documents(docs: DataFrame, benchmark: DataFrame, window: int = 10) -> DataFrame:
+def clean_documents(docs: DataFrame, benchmark: DataFrame, window: int = 10, pass_bytes: int = PASS_BYTES) -> DataFrame:
     """The rows of ``docs`` whose text holds no window of the benchmark, all columns kept.
 
     The texts pass through one Python stage with every column, so no join is needed and
     repeated or null ids need no care.
     """
-    spark = docs.sparkSession
-    ship(spark)
-    out = docs
-    for block in _blocks(benchmark, PASS_BYTES):
-        shared = spark.sparkContext.broadcast(block)
-        at = docs.columns.index("text")
-
-        def keep(batches, shared=shared):
+    ship(docs.sparkSession)
+    at = docs.columns.index("text")
+
+    def one_pass(shared, last):
+        def keep(batches):
             found = tables(shared.value, window)
             for b in batches:
                 texts = b.column(at).cast(pa.binary()).to_pylist()
                 yield b.filter(pa.array([not any(True for t in found for _ in t.search(w)) for w in map(words_of, texts)], pa.bool_()))
 
-        out = out.mapInArrow(keep, docs.schema)
-    return out
+        return keep
+
+    return _Passes(benchmark, pass_bytes).over(docs, one_pass)
