@@ -128,6 +128,28 @@ def run_shared_order(trace: DataFrame, lanes: list[Machine]) -> DataFrame:
     return _grouped(trace, fn, schemas.RUN)
 
 
+def vector_times(trace: DataFrame, lanes: list[Machine], sizes: tuple[int, ...]) -> DataFrame:
+    """(program_id, lanes, vector_s, sequential_s): CPU seconds of the first lanes swept at once, and of the scalar kernel lane by lane.
+
+    Both are taken in the worker, on the same columns: reading, shuffling and the job itself are in neither.
+    """
+    import time
+
+    def fn(program, cols):
+        for n in sizes:
+            a = time.process_time()
+            sweep = kernels.LaneSweep(lanes[:n])
+            sweep.feed(cols)
+            b = time.process_time()
+            one_by_one = [kernels.run(kernels.Program(cols, m)) for m in lanes[:n]]
+            c = time.process_time()
+            if sweep.cycles().tolist() != one_by_one:
+                raise RuntimeError(f"vector and scalar cycles of program {program} differ")
+            yield program, n, b - a, c - b
+
+    return _grouped(trace, fn, "program_id int, lanes int, vector_s double, sequential_s double")
+
+
 def per_instr(runs: DataFrame) -> DataFrame:
     return runs.withColumn("cyc_per_instr", F.round(F.col("cycles") / F.col("instrs"), 6))
 
@@ -190,20 +212,6 @@ def slack(trace: DataFrame, m: Machine, method: str = "") -> DataFrame:
     return _grouped(trace, fn, "program_id int, src_seq bigint, src_stage string, dst_seq bigint, dst_stage string, kind string, w bigint, slack bigint")
 
 
-def program_edges(trace: DataFrame, m: Machine, method: str = "") -> DataFrame:
-    """Every edge of the run's event graph, as the kernel sees it (for prefixes and checks)."""
-
-    def fn(program, cols):
-        p = kernels.Program(cols, m)
-        kernels.run(p, method)
-        for i in range(p.n):
-            for s in ("F", "E", "C") if p.D is None else ("F", "D", "E", "C"):
-                for w, ws, kind, _, terms in kernels.parents(p, i, s):
-                    yield program, p.seq[w], ws, p.seq[i], s, kind, sum(c for _, c in terms)
-
-    return _grouped(trace, fn, schemas.EDGE)
-
-
 def work_counters(trace: DataFrame, m: Machine) -> DataFrame:
     """What the updated list costs: (program_id, instrs, live_vertices, list_entries), the last counting insertions and moves."""
 

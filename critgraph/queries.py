@@ -2,7 +2,6 @@
 
 from __future__ import annotations
 
-import time
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -497,20 +496,10 @@ def stream_sessions(s, d):
 
 
 def vector_speedup(s, d):
-    """Wall seconds of n lanes at once against one after another, on a slice."""
-    t = traces.sliced(_t(s, d), 0, 1000).persist()
-    t.count()
-    rows = []
-    for n in (1, 4, 16, 32):
-        lanes = _lane_machines(s, d)[:n]
-        a = time.perf_counter()
-        runs.run_lanes(t, lanes).agg(F.sum("cycles")).collect()
-        b = time.perf_counter()
-        for m in lanes:
-            runs.run_lanes(t, [m]).agg(F.sum("cycles")).collect()
-        rows.append((n, b - a, time.perf_counter() - b))
-    t.unpersist()
-    return s.createDataFrame([(n, round(v, 4), round(q, 4), round(q / v, 4)) for n, v, q in rows], "lanes int, vector_s double, sequential_s double, speedup double")
+    """CPU seconds of n lanes at once against the scalar kernel once a lane, over the whole trace."""
+    t = runs.vector_times(_t(s, d), _lane_machines(s, d), (1, 2, 4, 8, 16, 32))
+    t = t.groupBy("lanes").agg(F.sum("vector_s").alias("vector_s"), F.sum("sequential_s").alias("sequential_s"))
+    return t.select("lanes", F.round("vector_s", 4).alias("vector_s"), F.round("sequential_s", 4).alias("sequential_s"), F.round(F.col("sequential_s") / F.col("vector_s"), 4).alias("speedup"))
 
 
 def bench_ino(s, d):
