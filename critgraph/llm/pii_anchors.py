@@ -37,9 +37,9 @@ NEAR, IBAN_MOST = 50, 64  # characters from a cue to a code's start; of a code w
 _AFTER = re.compile(r"[.,]?\s{1,2}([0-9]{1,5}[a-z]?)\b")
 _BEFORE = re.compile(r"([0-9]{1,5}),?\s{1,2}(?:\w{1,30}\s){0,3}$")
 #: Cues of accounts and of street names.
-ACCOUNT_CUES = ("account", "acct", "iban", "ssn", "passport", "token", "password", "secret", "api_key", "apikey", "konto", "cuenta", "compte")
-STREET_CUES = ("street", "avenue", "boulevard", "rue", "calle", "avenida")
-STREET_ENDS = ("straße", "strasse")
+ACCOUNT_CUES = ("account", "acct", "iban", "ssn", "passport", "token", "password", "secret", "api_key", "apikey", "konto", "cuenta", "compte", "routing", "swift", "vat", "nif", "dni", "license")
+STREET_CUES = ("street", "avenue", "boulevard", "road", "lane", "rue", "chemin", "calle", "avenida", "plaza")
+STREET_ENDS = ("straße", "strasse", "platz", "gasse", "allee")
 SCHEMES = ("http://", "https://", "ftp://", "www.")
 
 

@@ -30,7 +30,7 @@ def shards(docs: DataFrame, n_shards: int = 8, seed: int = 42) -> DataFrame:
     placed = ranked(rows, ["source", "_h", "doc_id", "text_crc32", "size"], "_r")
     placed = materialise(placed, "strata")
     per = placed.groupBy(F.col("source").alias("_s")).agg(F.min("_r").alias("_first"), F.count(F.lit(1)).alias("_n"))
-    #: exact fraction: twice the half-open rank over twice the stratum's rows
+    # half-open rank over the stratum's rows, a double: places closer than its precision are ordered by hash
     place = (2 * (F.col("_r") - F.col("_first")) + 1) / (2 * F.col("_n"))
     mixed = placed.join(per, F.col("source").eqNullSafe(F.col("_s"))).select(*rows.columns, place.alias("_f"))
     order = ranked(mixed, ["_f", "_h", "source", "doc_id", "text_crc32", "size"], "_g")

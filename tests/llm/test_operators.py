@@ -449,6 +449,15 @@ def test_shards_match_the_mixture(spark):
     want = sorted((i, len((t or "").encode()) + 1, zlib.crc32((t or "").encode())) for i, t in rows)
     assert sorted((r["doc_id"], r["size"], r["text_crc32"]) for r in got) == want
     assert sharding.shards(d.where("false")).count() == 0
+    # places against a plain computation from the same hashes
+    raw = F.coalesce("text", F.lit("")).cast("binary")
+    keyed = [(r["source"], r["h"], r["doc_id"], r["c"], r["n"]) for r in d.select("source", "doc_id", F.crc32(raw).alias("c"), (F.octet_length(raw) + 1).cast("bigint").alias("n"), F.xxhash64(F.lit(42), "doc_id", F.crc32(raw)).alias("h")).collect()]
+    mixed = []
+    for s in {x[0] for x in keyed}:
+        own = sorted(x[1:] for x in keyed if x[0] == s)
+        mixed += [((2 * k + 1) / (2 * len(own)), x[0], s or "", *x[1:]) for k, x in enumerate(own)]
+    want = [(x[3], x[4], g * 8 // 403, g - -(-(g * 8 // 403) * 403 // 8)) for g, x in enumerate(sorted(mixed))]
+    assert sorted((r["doc_id"], r["text_crc32"], r["shard"], r["slot"]) for r in got) == sorted(want)
 
 
 # -- 7: chat ---------------------------------------------------------------------------------------------
@@ -644,6 +653,7 @@ def test_pii_method_kinds(spark):
     assert say("see https://a.org/x?y=1. and www.b.net, ok") == [("url", "https://a.org/x?y=1"), ("url", "www.b.net")]
     assert say("account no: AB-123456 here") == [("account", "AB-123456")] and say("IBAN DE89 3704 0044 0532 0130 00 x")[0] == ("account", "DE89 3704 0044 0532 0130 00")
     assert say("lives at 12 Long Street today") == [("address", "12 Long Street")] and say("Hauptstraße 5 hier") == [("address", "Hauptstraße 5")]
+    assert say("at 7 Mill Road or Rathausplatz 3a") == [("address", "7 Mill Road"), ("address", "Rathausplatz 3a")]
     assert say("true 5 accounts of streets without numbers, password to come") == []
     d = pii_anchors.masked(docs(spark, [(1, "mail a@b.co now"), (2, None)])).collect()
     assert [r["text"] for r in sorted(d, key=lambda r: r["doc_id"])] == ["mail <email> now", None]
