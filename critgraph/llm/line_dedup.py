@@ -1,22 +1,21 @@
-"""Line dedup: fuzzy lines by MinHash.
+"""Line dedup: fuzzy lines by MinHash, in DataFrame functions alone.
 
 Lines are compared without the blanks around them. Equal lines form one class first, with
 map-side combining, and go on as one occurrence.
 
 Character shingles: the distinct runs of ``RUN`` code points at all positions of the line, whatever its length.
-Signatures: shingles are hashed once and minimised under ``BANDS * ROWS`` xor permutations, in all of which
-hashes that are even come first (so odd ones count only in lines that have no other).
+Signatures: minima of the hashed shingles under ``BANDS * ROWS`` xor permutations, in all of which shingles that begin
+the line or follow a blank come first. So a line with ``LEAST`` of these or more needs no others; a line with fewer than ``FEW`` has a
+signature of all its shingles (those in between have both, so similar lines share a kind).
 Banding: each band of ROWS minima is a bucket. In a bucket a line is paired with the hub first: the line that
 shares buckets with most others. Then it is paired with every line of the
 bucket that is still in another component, unless bounds rule the pair out: signatures must agree in ``AGREE`` of
 ``DIGEST`` minima at least, each known by four bits (lines of Jaccard 0.8 agree in 13 of 16 on average, and 1 in 500 of them in fewer than 9),
-and what both lines share with the hub must leave room for the overlap needed (lossless).
+and what is known of both lines against the hub (sizes, and bitmaps of what each lacks and has besides) must leave room
+for the overlap needed (lossless).
 Verification: exact Jaccard of the full shingle sets, at least ``THRESHOLD`` percent. Distributed
 union-find joins verified pairs; each component keeps its first occurrence.
 
-Signatures and overlaps are computed on arrays in Python workers: in DataFrame functions alone the same took 1,052 CPU seconds a
-GB, as all positions of all lines are hashed (README). Everything else is DataFrame functions.
-
 Defined results: null texts have no line; a line without a sign other than blanks is kept and
 in no class; lines shorter than a shingle are one shingle; repeated rows (same doc_id, same
 text) are one document and share the decisions, as do lines of equal number and content in
@@ -26,21 +25,18 @@ kept by ``dedup_lines`` and clash with nothing (internal names start with _cg).
 
 from __future__ import annotations
 
-import numpy as np
-import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import Window
 
-from critgraph.llm.words import distinct
-from critgraph.runtime import components, materialise, release, ship
+from critgraph.runtime import components, materialise, release
 
 RUN = 5
 BANDS, ROWS = 8, 4
 THRESHOLD = 80
 DIGEST, AGREE = 16, 9
-#: Code points that are hashed and minimised at a time, in whole lines (a longer line alone).
-AT_ONCE = 1 << 16
+FEW, LEAST = 12, 6
+MARKS = 4  # words of 64 bits of a bitmap
 #: Up to so many pairs, the ids of their lines are sent to all tasks (16 MB); beyond, texts and ids are shuffled.
 SENT_PAIRS = 1 << 20
 BLANKS = " \t\r\x0b\x0c"
@@ -57,28 +53,18 @@ def _lines(docs: DataFrame) -> DataFrame:
     return d.select("d", "x", "n", (big * F.lit(2**31).cast("decimal(10,0)") + F.col("n")).cast("decimal(32,0)").alias("occ"), "line", F.xxhash64("line").alias("h1"), F.xxhash64(F.lit(17), "line").alias("h2"))
 
 
-_FACTORS = [np.uint64(pow(0x9E3779B97F4A7C15, k, 1 << 64) | 1) for k in range(RUN)]
-_MUL = np.uint64(0xD6E8FEB86659FD93)
-_END = "\U0010ffff"  # fills lines shorter than a run
+def all_runs(line: Column) -> Column:
+    """The runs at all positions; a shorter line is one run."""
+    return F.when(F.length(line) < RUN, F.array(line)).otherwise(F.regexp_extract_all(line, F.lit(r"(?s)(?=(.{%d}))" % RUN), F.lit(1)))
 
 
-def run_hashes(text: str) -> np.ndarray:
-    """A 64-bit hash of the run of RUN code points at each place of ``text`` (of RUN code points at least)."""
-    codes = np.frombuffer(text.encode("utf-32-le", "surrogatepass"), np.uint32).astype(np.uint64)
-    n = len(codes) - RUN + 1
-    h = codes[:n] * _FACTORS[0]
-    for k in range(1, RUN):
-        h += codes[k : k + n] * _FACTORS[k]
-    h ^= h >> np.uint64(31)
-    h *= _MUL
-    h ^= h >> np.uint64(29)
-    h *= _MUL
-    return h ^ (h >> np.uint64(32))
+def word_runs(line: Column) -> Column:
+    """The runs that begin the line or follow a blank."""
+    return F.regexp_extract_all(line, F.lit(r"(?s)(?<!\S)(?=(.{%d}))" % RUN), F.lit(1))
 
 
-def shingle_set(line: str) -> np.ndarray:
-    """Distinct hashes of the line's runs, sorted; a line shorter than a run is one run."""
-    return distinct(run_hashes(line.ljust(RUN, _END)))
+def shingle_set(line: Column) -> Column:
+    return F.array_distinct(F.transform(all_runs(line), lambda s: F.xxhash64(s)))
 
 
 def _seeds() -> list[int]:
@@ -91,56 +77,6 @@ def _seeds() -> list[int]:
     return out
 
 
-_SEEDS = np.array(_seeds(), np.uint64)
-_TOP = np.uint64(1 << 63)
-
-
-def minima(lines: list[str]) -> np.ndarray:
-    """The signature of each line: a row of BANDS * ROWS minima."""
-    out = np.empty((len(lines), len(_SEEDS)), np.uint64)
-    padded = [x if len(x) >= RUN else x.ljust(RUN, _END) for x in lines]
-    at = 0
-    while at < len(lines):
-        to, size = at, 0
-        while to < len(lines) and (to == at or size + len(padded[to]) <= AT_ONCE):
-            size += len(padded[to])
-            to += 1
-        h = run_hashes("".join(padded[at:to]))
-        lengths = np.fromiter(map(len, padded[at:to]), np.int64, to - at)
-        own = np.repeat(np.arange(to - at), lengths)[: len(h)]
-        inside = np.arange(len(h)) - np.repeat(np.cumsum(lengths) - lengths, lengths)[: len(h)] <= (lengths - RUN)[own]
-        even = (h & np.uint64(1)) == 0
-        some = np.bincount(own[inside & even], minlength=to - at) > 0
-        use = inside & (even | ~some[own])
-        # odd ones, of lines without an even one, get the top bit: they come after all even ones
-        h = np.where(even, h & ~_TOP, h | _TOP)[use]
-        first = np.searchsorted(own[use], np.arange(to - at))
-        for k, seed in enumerate(_SEEDS):
-            out[at:to, k] = np.minimum.reduceat(h ^ seed, first)
-        at = to
-    return out
-
-
-def band_keys(m: np.ndarray) -> np.ndarray:
-    """A row of BANDS bucket keys for each signature."""
-    out = np.empty((len(m), BANDS), np.uint64)
-    for b in range(BANDS):
-        h = np.full(len(m), b + 1, np.uint64)
-        for r in range(ROWS):
-            h = (h ^ m[:, b * ROWS + r]) * _MUL
-            h ^= h >> np.uint64(29)
-        out[:, b] = h
-    return out
-
-
-def digests(m: np.ndarray) -> np.ndarray:
-    """DIGEST of the minima, four bits each."""
-    g = np.zeros(len(m), np.uint64)
-    for j in range(DIGEST):
-        g |= (m[:, j * (BANDS * ROWS // DIGEST)] & np.uint64(15)) << np.uint64(4 * j)
-    return g
-
-
 def agreement(g: Column, other: Column) -> Column:
     """How many of the DIGEST minima (four bits each) are equal in both digests."""
     x = g.bitwiseXOR(other)
@@ -150,18 +86,27 @@ def agreement(g: Column, other: Column) -> Column:
 
 
 def signatures(lines: DataFrame) -> DataFrame:
-    """A row for each distinct line: id, h1, h2, occ (its first), k (how many), line, keys (one a band), g (digest)."""
-    ship(lines.sparkSession)
-    reps = lines.groupBy("h1", "h2").agg(F.min("occ").alias("occ"), F.count(F.lit(1)).alias("k"), F.first("line").alias("line"))
-
-    def run(batches):
-        for b in batches:
-            m = minima(b.column(4).to_pylist())
-            keys = pa.ListArray.from_arrays(pa.array(np.arange(len(m) + 1, dtype=np.int32) * BANDS, pa.int32()), pa.array(band_keys(m).ravel().view(np.int64)))
-            yield pa.record_batch([*b.columns, keys, pa.array(digests(m).view(np.int64))], names=["h1", "h2", "occ", "k", "line", "keys", "g"])
+    """A row for each distinct line: id, h1, h2, occ (its first), k (how many), line, kinds (a list of keys, one a band, and digest g).
 
-    made = reps.mapInArrow(run, "h1 bigint, h2 bigint, occ decimal(32,0), k bigint, line string, keys array<bigint>, g bigint")
-    return made.withColumn("id", F.monotonically_increasing_id())
+    The texts are shuffled once: the minima are gathered by the same keys, and meet the texts by them. What is exploded
+    carries no text. The lowest bit of a hash tells the kind of signature.
+    """
+    reps = lines.groupBy("h1", "h2").agg(F.min("occ").alias("occ"), F.count(F.lit(1)).alias("k"), F.first("line").alias("line"))
+    # all columns of reps are asked for (the condition holds), so that the join below reads the same exchange; arrays are
+    # exploded once as a whole, so that they are computed once
+    whole = F.when(F.col("occ").isNotNull() & (F.col("k") > 0), F.col("line"))
+    words = reps.select("h1", "h2", whole.alias("line"), F.explode_outer(F.array(word_runs(whole))).alias("w"))
+    of = lambda runs, kind: F.transform(runs, lambda s: F.xxhash64(s).bitwiseAND(F.lit(-2)).bitwiseOR(F.lit(kind)))
+    none = F.expr("cast(array() as array<bigint>)")
+    hashes = F.concat(F.when(F.size("w") >= LEAST, of(F.col("w"), 0)).otherwise(none), F.when(F.size("w") < FEW, of(all_runs(F.col("line")), 1)).otherwise(none))
+    hashed = words.select("h1", "h2", F.explode_outer(hashes).alias("h"))
+    mins = hashed.groupBy("h1", "h2", F.col("h").bitwiseAND(F.lit(1)).alias("kind")).agg(*(F.min(F.col("h").bitwiseXOR(F.lit(c))).alias(f"m{k}") for k, c in enumerate(_seeds())))
+    keys = F.array(*(F.xxhash64(F.lit(b), "kind", *(f"m{b * ROWS + r}" for r in range(ROWS))) for b in range(BANDS)))
+    g, every = F.lit(0).cast("bigint"), BANDS * ROWS // DIGEST
+    for j in range(DIGEST):
+        g = g.bitwiseOR(F.shiftleft(F.shiftrightunsigned(f"m{j * every}", 1).bitwiseAND(F.lit(15)), 4 * j))
+    kinds = mins.groupBy("h1", "h2").agg(F.collect_list(F.struct(keys.alias("keys"), g.alias("g"))).alias("kinds"))
+    return reps.join(kinds, ["h1", "h2"]).withColumn("id", F.monotonically_increasing_id())
 
 
 def _fits(n, m, k) -> Column:
@@ -169,57 +114,70 @@ def _fits(n, m, k) -> Column:
     return (100 + THRESHOLD) * k >= THRESHOLD * (n + m)
 
 
+def _marks(hashes: Column, word: int) -> Column:
+    """A word of the bitmap of some hashes."""
+    at = lambda h: F.call_function("shiftleft", F.lit(1).cast("bigint"), F.shiftrightunsigned(h, 8).bitwiseAND(F.lit(63)).cast("int"))
+    mine = lambda h: F.shiftrightunsigned(h, 14).bitwiseAND(F.lit(MARKS - 1)) == word
+    return F.aggregate(hashes, F.lit(0).cast("bigint"), lambda acc, h: F.when(mine(h), acc.bitwiseOR(at(h))).otherwise(acc))
+
+
 def _overlaps(pairs: DataFrame, reps: DataFrame) -> DataFrame:
-    """(a, b, na, nb, k): sizes and overlap of the shingle sets of the lines of each pair (a, b)."""
+    """(a, b, na, nb, k, lacks, besides): sizes and overlap of the shingle sets of each pair's lines, bitmaps of what a lacks of b and has besides."""
     pairs = materialise(pairs, "pairs")
     ids = pairs.select(F.explode(F.array("a", "b")).alias("id")).distinct()
     texts = reps.select("id", "line").join(F.broadcast(ids) if pairs.count() <= SENT_PAIRS else ids, "id", "left_semi")
     both = pairs.join(texts.select(F.col("id").alias("a"), F.col("line").alias("la")), "a").join(texts.select(F.col("id").alias("b"), F.col("line").alias("lb")), "b")
-
-    def run(batches):
-        last, own = None, None  # pairs of one b follow each other
-        for t in batches:
-            na, nb, k = [], [], []
-            for b, x, y in zip(t.column(1).to_pylist(), t.column(2).to_pylist(), t.column(3).to_pylist()):
-                if b != last:
-                    last, own = b, shingle_set(y)
-                s = shingle_set(x)
-                na.append(len(s))
-                nb.append(len(own))
-                k.append(len(np.intersect1d(s, own, assume_unique=True)))
-            yield pa.record_batch([t.column(0), t.column(1), *(pa.array(c, pa.int64()) for c in (na, nb, k))], names=["a", "b", "na", "nb", "k"])
-
-    out = materialise(both.select("a", "b", "la", "lb").mapInArrow(run, "a bigint, b bigint, na bigint, nb bigint, k bigint"), "overlaps")
+    sets = both.select("a", "b", F.explode_outer(F.array(F.struct(shingle_set(F.col("la")).alias("a"), shingle_set(F.col("lb")).alias("b")))).alias("s"))
+    apart = F.struct(F.array_except("s.b", "s.a").alias("lacks"), F.array_except("s.a", "s.b").alias("besides"))
+    d = sets.select("a", "b", F.size("s.a").alias("na"), F.size("s.b").alias("nb"), F.explode_outer(F.array(apart)).alias("d"))
+    bitmap = lambda of: F.array(*(_marks(F.col(of), j) for j in range(MARKS)))
+    out = materialise(d.select("a", "b", "na", "nb", (F.col("nb") - F.size("d.lacks")).alias("k"), bitmap("d.lacks").alias("lacks"), bitmap("d.besides").alias("besides")), "overlaps")
     release(pairs)
     return out
 
 
+def _most(size: str, mine: tuple[str, ...], theirs: tuple[str, ...]) -> Column:
+    """A bound of the overlap of two lines from each one's (size, overlap with the hub, lacks, besides), and the hub's size."""
+    (n, k, lacks, besides), (m, q, lacking, beside) = mine, theirs
+    bits = lambda f: sum((F.bit_count(f(j)) for j in range(1, MARKS)), F.bit_count(f(0)))
+    at = lambda c, j: F.get(F.col(c), j)
+    missing = F.greatest(bits(lambda j: at(lacks, j).bitwiseOR(at(lacking, j))), F.col(size) - F.col(k), F.col(size) - F.col(q))
+    only = lambda x, y: bits(lambda j: at(x, j).bitwiseAND(F.bitwise_not(at(y, j))))
+    own = F.least(F.col(n) - F.col(k) - only(besides, beside), F.col(m) - F.col(q) - only(beside, besides))
+    return F.col(size) - missing + own
+
+
 def line_classes(docs: DataFrame) -> DataFrame:
     """Per line with a sign: d, x, n, occ, and keeper: the occurrence its class keeps."""
     lines = _lines(docs)
     reps = materialise(signatures(lines), "lines")
+    release()
     size = F.count(F.lit(1)).over(Window.partitionBy("key"))
-    shared = materialise(reps.select("id", "g", F.explode("keys").alias("key")).withColumn("size", size).where("size > 1"), "shared")
+    shared = reps.select("id", F.explode("kinds").alias("s")).select("id", "s.g", F.explode("s.keys").alias("key"))
+    shared = materialise(shared.withColumn("size", size).where("size > 1"), "shared")
     known = shared.join(shared.groupBy("id").agg(F.sum("size").alias("company")), "id")
     hub = F.first(F.struct("id", "g")).over(Window.partitionBy("key").orderBy(F.desc("company"), "id"))
-    bands = materialise(known.select("id", "g", "key", hub.alias("hub")), "buckets")
+    bands = materialise(known.select("id", "g", "key", "size", hub.alias("hub")), "buckets")
     release(shared)
     near = bands.where((F.col("id") != F.col("hub.id")) & (agreement(F.col("g"), F.col("hub.g")) >= AGREE))
     met = _overlaps(near.select(F.col("id").alias("a"), F.col("hub.id").alias("b")).distinct(), reps)
     linked = lambda d: d.where(_fits(F.col("na"), F.col("nb"), F.col("k"))).select("a", "b")
-    # then all that share a bucket, are still apart and are not ruled out
+    # then all that share a bucket, are still apart and are not ruled out; in a bucket of two nothing is left to compare
     parts = materialise(components(linked(met)).withColumnRenamed("node", "id"), "parts")
-    to_hub = met.select(F.col("a").alias("id"), F.col("b").alias("hub"), F.col("na").alias("n"), "k")
-    placed = bands.select("id", "g", "key", F.col("hub.id").alias("hub")).join(parts, "id", "left").join(to_hub, ["id", "hub"], "left")
-    placed = placed.select("id", "g", "key", "hub", F.coalesce("component", "id").alias("c"), "n", "k")
-    other = placed.select("key", F.col("id").alias("b"), F.col("g").alias("gb"), F.col("c").alias("cb"), F.col("n").alias("nb"), F.col("k").alias("kb"))
-    most = F.least("k", "kb") + F.least(F.col("n") - F.col("k"), F.col("nb") - F.col("kb"))  # shared with and without the hub
-    # a pair with the hub itself has been compared, if signatures agree at all
-    across = placed.join(other, "key").where("b < id and c <> cb and b <> hub and id <> hub").where((agreement(F.col("g"), F.col("gb")) >= AGREE) & F.coalesce(_fits(F.col("n"), F.col("nb"), most), F.lit(True)))
+    to_hub = met.select(F.col("a").alias("id"), F.col("b").alias("hub"), F.col("na").alias("n"), "k", F.col("nb").alias("hub_n"), "lacks", "besides")
+    placed = bands.where("size > 2").select("id", "g", "key", F.col("hub.id").alias("hub")).where("id <> hub").join(parts, "id", "left").join(to_hub, ["id", "hub"], "left")
+    placed = materialise(placed.select("id", "g", "key", F.coalesce("component", "id").alias("c"), "n", "k", "hub_n", "lacks", "besides"), "placed")
+    release(bands, parts)
+    names = {"id": "b", "g": "gb", "c": "cb", "n": "nb", "k": "kb", "lacks": "lacks_b", "besides": "besides_b"}
+    other = placed.select("key", *(F.col(x).alias(y) for x, y in names.items()))
+    most = _most("hub_n", ("n", "k", "lacks", "besides"), ("nb", "kb", "lacks_b", "besides_b"))
+    possible = (agreement(F.col("g"), F.col("gb")) >= AGREE) & F.coalesce(_fits(F.col("n"), F.col("nb"), most), F.lit(True))
+    across = placed.join(other, (placed["key"] == other["key"]) & (F.col("b") < F.col("id")) & (F.col("c") != F.col("cb")) & possible)
     more = _overlaps(across.select(F.col("id").alias("a"), "b").distinct(), reps)
+    release(placed)
     joined = components(linked(met).union(linked(more)))
     member = materialise(joined.select(F.col("node").alias("id"), "component").union(joined.select("component", "component").distinct()), "parts")
-    release(bands, parts, met, more)
+    release(met, more)
     # classes of one occurrence, which keep themselves, go no further
     several = reps.select("id", "h1", "h2", "occ", "k").join(member, "id", "left").where("k > 1 or component is not null").select("h1", "h2", "occ", F.coalesce("component", "id").alias("c"))
     several = materialise(several, "classes")

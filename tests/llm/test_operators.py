@@ -80,17 +80,28 @@ def similar(a, b):
     return 100 * len(x & y) >= 80 * len(x | y)
 
 
-def test_minima_against_single_lines():
-    """Whatever lines are hashed at a time, a signature is that of the line alone."""
+def test_bound_by_the_hub_is_lossless(spark):
+    """What bitmaps against a third line say of two lines' overlap is never too little."""
     r = random.Random(6)
-    lines = ["".join(chr(r.choice([97, 98, 32, 233, 0x1F600])) for _ in range(n)) for n in (1, 4, 5, 6, 9, 70, 300, 3, 70_000, 2, 66_000, 5)] + ["-" * k for k in (40, 47)] + ["~" * 41]
-    got = line_dedup.minima(lines)
-    for x, m in zip(lines, got):
-        h = line_dedup.run_hashes(x.ljust(5, "\U0010ffff"))
-        even = h[h % 2 == 0]
-        use = even & ~np.uint64(1 << 63) if len(even) else h | np.uint64(1 << 63)
-        assert m.tolist() == [int((use ^ s).min()) for s in line_dedup._SEEDS]
-    assert (got[-3] == got[-2]).all() and len(set(line_dedup.shingle_set("abcabcabc").tolist())) == 3
+    base = prose(r, 60, 3000).split(" ")
+    lines = []
+    for k in range(40):
+        w = list(base)
+        for _ in range(r.randrange(14)):
+            w[r.randrange(60)] = f"z{r.randrange(25)}"
+        lines.append(" ".join(w))
+    reps = spark.createDataFrame(list(enumerate(lines)), "id bigint, line string")
+    met = line_dedup._overlaps(reps.where("id > 0").select(F.col("id").alias("a"), F.lit(0).cast("bigint").alias("b")), reps)
+    names = ["a", "na", "k", "lacks", "besides"]
+    pairs = met.join(met.select(*(F.col(x).alias(f"{x}_2") for x in names)), F.col("a") < F.col("a_2"))
+    bound = line_dedup._most("nb", tuple(names[1:]), tuple(f"{x}_2" for x in names[1:]))
+    tight = 0
+    for x in pairs.select("a", "a_2", "na", "k", bound.alias("most")).collect():
+        true = len(line_set(lines[x["a"]]) & line_set(lines[x["a_2"]]))
+        assert x["na"] == len(line_set(lines[x["a"]])) and x["k"] == len(line_set(lines[x["a"]]) & line_set(lines[0]))
+        assert x["most"] >= true
+        tight += x["most"] < 1.1 * true + 5
+    assert tight > 200
 
 
 def test_line_dedup_against_brute_force(spark):
