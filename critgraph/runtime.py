@@ -84,8 +84,7 @@ def release(*tables: DataFrame) -> None:
         _delete(*entry)
         _scratch.remove(entry)
     gc.collect()
-    if tables:
-        tables[0].sparkSession.sparkContext._jvm.System.gc()
+    SparkSession.active().sparkContext._jvm.System.gc()
 
 
 def _delete(spark: SparkSession, path: str) -> None:
