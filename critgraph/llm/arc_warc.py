@@ -18,6 +18,7 @@ from __future__ import annotations
 import base64
 import gzip
 import hashlib
+import io
 import uuid
 from collections.abc import Iterator
 
@@ -68,6 +69,12 @@ def http_fields(body: bytes) -> dict[str, str]:
     return dict(x.split(": ", 1) for x in header_text(body.partition(b"\r\n\r\n")[0]).split("\r\n")[1:] if ": " in x)
 
 
+def members_of(data: bytes) -> bytes:
+    """The records of a gzip file of many members, read as a stream: decompressing it at once copies the rest of the file for each member."""
+    with gzip.GzipFile(fileobj=io.BytesIO(data)) as f:
+        return f.read()
+
+
 def page_of(body: bytes) -> int | None:
     own = http_fields(body).get(PAGE_FIELD)
     return None if own is None else int(own)
@@ -165,7 +172,7 @@ def index(legacy: DataFrame) -> DataFrame:
         for b in batches:
             for k in range(b.num_rows):
                 name = b.column(0)[k].as_py()
-                rows = [(name, i, page_of(x["body"]), hashlib.sha256(x["payload"]).hexdigest(), len(x["payload"]), x["url"]) for i, x in enumerate(parse_arc(gzip.decompress(b.column(1)[k].as_py())))]
+                rows = [(name, i, page_of(x["body"]), hashlib.sha256(x["payload"]).hexdigest(), len(x["payload"]), x["url"]) for i, x in enumerate(parse_arc(members_of(b.column(1)[k].as_py())))]
                 kinds = [pa.string(), pa.int64(), pa.int64(), pa.string(), pa.int64(), pa.string()]
                 yield pa.record_batch([pa.array(c, kind) for c, kind in zip(list(zip(*rows)) or [[]] * 6, kinds)], names=[x.split()[0] for x in schema.split(", ")])
 
@@ -195,7 +202,7 @@ def convert(legacy: DataFrame) -> DataFrame:
                 name, data = b.column(0)[k].as_py(), b.column(1)[k].as_py()
                 to = {x["place"]: x for x in b.column(2)[k].as_py() or ()}
                 members = [gzip.compress(warc_info(name), 1, mtime=0)]
-                for i, arc in enumerate(parse_arc(gzip.decompress(data))):
+                for i, arc in enumerate(parse_arc(members_of(data))):
                     fields = {"WARC-Payload-Digest": f"sha256:{hashlib.sha256(arc['payload']).hexdigest()}"}
                     if x := to.get(i):
                         fields |= {
@@ -222,7 +229,7 @@ def read_back(archives: DataFrame) -> DataFrame:
         for b in batches:
             for k in range(b.num_rows):
                 rows = []
-                for head, block in parse_warc(gzip.decompress(b.column(0)[k].as_py())):
+                for head, block in parse_warc(members_of(b.column(0)[k].as_py())):
                     if (kind := head["WARC-Type"]) not in ("response", "revisit"):
                         continue
                     payload, declared = block.partition(b"\r\n\r\n")[2], head["WARC-Payload-Digest"].partition(":")[2]
