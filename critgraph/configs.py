@@ -90,7 +90,7 @@ P_OOO = Machine(
 )
 #: The block core: seeded statistics in place of recorded costs.
 P_EDGE = {
-    "window": 128, "segment": 32, "units": {"INT_ALU": 8, "INT_MUL": 2, "INT_DIV": 2, "FP_ALU": 2, "FP_MUL": 2, "FP_DIV": 1, "LSU": 2}, "lsq": 32, "in_flight": 4,
+    "segment": 32, "units": {"INT_ALU": 8, "INT_MUL": 2, "INT_DIV": 2, "FP_ALU": 2, "FP_MUL": 2, "FP_DIV": 1, "LSU": 2},
     "branch_pct": 95, "ihit_pct": 98, "dhit_pct": 90, "hit": 2, "miss": 10, "stores_per_cycle": 2, "writes_per_cycle": 4, "bytes_per_cycle": 16,
 }
 

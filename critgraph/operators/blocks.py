@@ -144,6 +144,7 @@ class BlockProgram:
         self.blocks, self.op, self.parents, self.where = [], [], [], []
         self.delay: list[int] = []
         self.miss: list[bool] = []
+        self.output: set[int] = set()  # what the block's commit waits for: branches, stores, register writes
         writer: dict[int, int] = {}
         store: dict[int, int] = {}
         for b in sorted(groups):
@@ -154,8 +155,18 @@ class BlockProgram:
     def _block(self, cols, program, rows, writer, store) -> None:
         start = len(self.op)
         local: dict[int, int] = {}
-        uses: dict[int, int] = {}
+        uses: dict[int, int] = {}  # targets that a result has taken
         mine: list[tuple[int, int | None]] = []
+        # consumers that each result of the block will have: a result of more than TARGETS is handed on by MOVs
+        made: dict[int, int] = {}
+        wanted: dict[int, int] = {}
+        for i in rows:
+            for r in {cols["src1"][i], cols["src2"][i]} - {None}:
+                if r in made:
+                    wanted[made[r]] = wanted.get(made[r], 0) + 1
+            if cols["dst"][i] is not None:
+                made[cols["dst"][i]] = i
+        left: dict[int, int] = {}  # consumers still to come, by the instruction or MOV that holds the result
 
         def add(op, parents, miss=False, seq=None):
             self.op.append(op)
@@ -169,15 +180,18 @@ class BlockProgram:
             if reg not in local:
                 local[reg] = add("READ", [writer[reg]] if reg in writer else [])
             v = local[reg]
+            if self.op[v] != "READ" and uses.get(v, 0) == TARGETS - 1 and left[v] > 1:
+                uses[v] = TARGETS
+                local[reg] = m = add("MOV", [v])
+                left[m] = left[v]
+                v = m
             uses[v] = uses.get(v, 0) + 1
-            if uses[v] > TARGETS and self.op[v] != "READ":
-                local[reg] = v = add("MOV", [v])
-                uses[v] = 1
+            left[v] = left.get(v, 0) - 1
             return v
 
         for i in rows:
             op = schemas.OPS[cols["op"][i]]
-            parents = [value(r) for r in (cols["src1"][i], cols["src2"][i]) if r is not None]
+            parents = [value(r) for r in dict.fromkeys((cols["src1"][i], cols["src2"][i])) if r is not None]
             addr = cols["addr"][i]
             if op == "LOAD" and addr in store:
                 parents.append(store[addr])
@@ -187,11 +201,14 @@ class BlockProgram:
                 store[addr] = k
             if cols["dst"][i] is not None:
                 local[cols["dst"][i]] = k
+                left[k] = wanted.get(i, 0)
+            if op in ("BRANCH", "STORE") or cols["dst"][i] is not None:
+                self.output.add(k)
         if cols.get("predicated") and cols["predicated"][rows[0]]:
             reg = [sum(cols["dst"][i] is not None for i in rows[j::2]) for j in (0, 1)]
             mem = [sum(schemas.OPS[cols["op"][i]] == "STORE" for i in rows[j::2]) for j in (0, 1)]
             for _ in range(abs(reg[0] - reg[1]) + abs(mem[0] - mem[1])):
-                add("NULL", [])
+                self.output.add(add("NULL", []))
         for reg, v in local.items():
             if self.op[v] != "READ":
                 writer[reg] = v
@@ -241,9 +258,10 @@ class BlockProgram:
             nonlocal ready_back
             b = ready_back
             s, e = self.blocks[b]
-            if any(E[k] is None for k in range(s, e)):
+            needed = [k for k in range(s, e) if k in self.output]
+            if BF[b] is None or any(E[k] is None for k in needed):
                 return False
-            t = max(E[k] + lat[k] for k in range(s, e))
+            t = max((E[k] + lat[k] for k in needed), default=BF[b])
             if b:
                 t = max(t, BC[b - 1] + self._commit(b - 1))
             BC[b] = t
@@ -309,10 +327,12 @@ class BlockProgram:
         while True:
             if state == "BC":
                 s, e = self.blocks[b]
-                k = max((j for j in range(s, e)), key=lambda j: (self.E[j] + lat[j], j))
-                if self.E[k] + lat[k] == self.BC[b]:
+                k = max((j for j in range(s, e) if j in self.output), key=lambda j: (self.E[j] + lat[j], j), default=None)
+                if k is not None and self.E[k] + lat[k] == self.BC[b]:
                     out.append((self.op[k], "execute", lat[k]))
                     state = "E"
+                elif self.BF[b] == self.BC[b]:
+                    state = "BF"
                 else:
                     out.append(("BLOCK", "block_commit", self._commit(b - 1)))
                     b -= 1
@@ -383,6 +403,23 @@ def path_mix(trace: DataFrame, form: str = "4seg") -> DataFrame:
     return _grouped(_filled(trace), fn, "program_id int, class string, term string, instrs bigint, cycles bigint", "block_no", "predicated")
 
 
+def shares(paths: DataFrame) -> DataFrame:
+    """(program_id, read_mov_instrs, null_instrs, read_mov_cycles): shares of the critical path's instructions, and of its cycles of fetch, decode and execution."""
+    n = lambda what, *of: F.sum(F.when(F.col("class").isin(*of), F.col(what)).otherwise(0))
+    instrs = F.greatest(F.sum(F.when(F.col("class") != "BLOCK", F.col("instrs")).otherwise(0)), F.lit(1))
+    staged = F.col("term").isin("fetch", "decode", "execute")
+    cycles = F.greatest(F.sum(F.when(staged, F.col("cycles")).otherwise(0)), F.lit(1))
+    own = F.sum(F.when(staged & F.col("class").isin("READ", "MOV"), F.col("cycles")).otherwise(0))
+    return paths.groupBy("program_id").agg(F.round(n("instrs", "READ", "MOV") / instrs, 6).alias("read_mov_instrs"), F.round(n("instrs", "NULL") / instrs, 6).alias("null_instrs"), F.round(own / cycles, 6).alias("read_mov_cycles"))
+
+
+def format_gains(runs: DataFrame, base: str = "4seg") -> DataFrame:
+    """(format, average, maximum, minimum) over programs of the improvement over the format ``base``."""
+    d = runs.join(runs.where(F.col("format") == base).select("program_id", F.col("cycles").alias("_base")), "program_id")
+    gain = 1 - F.col("cycles") / F.col("_base")
+    return d.groupBy("format").agg(*(F.round(f(gain), 6).alias(n) for n, f in (("average", F.avg), ("maximum", F.max), ("minimum", F.min))))
+
+
 def _filled(trace: DataFrame) -> DataFrame:
     """A block trace with the columns that it may lack."""
     blank = {"imem_cycles": "int", "dmem_cycles": "int", "mispredicted": "boolean", "predicated": "boolean"}

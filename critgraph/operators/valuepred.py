@@ -10,7 +10,7 @@ from critgraph.configs import Machine
 from critgraph.operators import kernels
 from critgraph.operators.runs import _grouped
 
-CURVE = "program_id int, sweep string, pass int, predicted bigint, loads bigint, base bigint, cycles bigint"
+CURVE = "program_id int, sweep string, pass int, step int, predicted bigint, loads bigint, base bigint, cycles bigint"
 
 
 def random_sweep(trace: DataFrame, m: Machine, step: int = 10) -> DataFrame:
@@ -24,7 +24,7 @@ def random_sweep(trace: DataFrame, m: Machine, step: int = 10) -> DataFrame:
             p = kernels.Program(cols, lane)
             cycles = kernels.run(p)
             base = cycles if base is None else base
-            yield program, "random", k, sum(p.cut), len(loads), base, cycles
+            yield program, "random", 0, step * k, sum(p.cut), len(loads), base, cycles
 
     return _grouped(trace, fn, CURVE)
 
@@ -35,31 +35,32 @@ def critical_loads(p: kernels.Program) -> list[int]:
 
 
 def critical_sweep(trace: DataFrame, m: Machine, passes: int = 3, step: int = 20) -> DataFrame:
-    """Critical loads first, in steps; then those newly critical, pass by pass; the rest by latency, longest first."""
+    """Critical loads first, in seeded random order and steps; then those newly critical, pass by pass; the rest by latency, longest first."""
 
     def fn(program, cols):
         loads = {i for i, o in enumerate(cols["op"]) if o == schemas.LOAD}
         p = kernels.Program(cols, m)
         base = kernels.run(p)
-        yield program, "critical", 0, 0, len(loads), base, base
+        yield program, "critical", 0, 0, 0, len(loads), base, base
         chosen: set[int] = set()
 
-        def part(new: list[int], number: int, last: bool):
+        def part(new: list[int], number: int):
             nonlocal p
             for k in range(step, 101, step):
                 take = new[: -(-len(new) * k // 100)]
                 p = kernels.Program(cols, m, chosen | set(take))
-                yield program, "critical", number, len(chosen) + len(take), len(loads), base, kernels.run(p)
+                yield program, "critical", number, k, len(chosen) + len(take), len(loads), base, kernels.run(p)
 
         for number in range(1, passes + 1):
             new = [i for i in critical_loads(p) if i not in chosen]
             if not new:
                 break
-            yield from part(new, number, False)
+            new.sort(key=lambda i: ((p.seq[i] * 7919 + 42 * 1299709) % 100003, i))
+            yield from part(new, number)
             chosen |= set(new)
         rest = sorted(loads - chosen, key=lambda i: (-(cols["dmem"][i] or 0), i))
         if rest:
-            yield from part(rest, passes + 1, True)
+            yield from part(rest, passes + 1)
 
     return _grouped(trace, fn, CURVE)
 
@@ -79,20 +80,28 @@ def focused(trace: DataFrame, m: Machine, coverage: int = 19, critical: int = 40
                 break
             take.add(i)
         q = kernels.Program(cols, m, take)
-        yield program, "focused", 0, len(take), len(loads), base, kernels.run(q)
+        yield program, "focused", 0, coverage, len(take), len(loads), base, kernels.run(q)
 
     return _grouped(trace, fn, CURVE)
 
 
 def curve(points: DataFrame) -> DataFrame:
-    """(program_id, sweep, pass, coverage, improvement)."""
-    return points.select("program_id", "sweep", "pass", F.round(F.col("predicted") / F.greatest("loads", F.lit(1)), 6).alias("coverage"), F.round(1 - F.col("cycles") / F.col("base"), 6).alias("improvement"))
+    """(program_id, sweep, pass, step, coverage, improvement)."""
+    return points.select("program_id", "sweep", "pass", "step", F.round(F.col("predicted") / F.greatest("loads", F.lit(1)), 6).alias("coverage"), F.round(1 - F.col("cycles") / F.col("base"), 6).alias("improvement"))
 
 
-def mean_curve(points: DataFrame, spark=None) -> DataFrame:
-    """Averages over programs by sweep and pass (a pass's steps kept apart by coverage rank), with the published reference point."""
+def mean_curve(points: DataFrame) -> DataFrame:
+    """The curve averaged over programs, a point for each step of each pass, with the published reference points."""
     c = curve(points)
-    d = c.groupBy("sweep", "pass").agg(F.round(F.avg("coverage"), 6).alias("coverage"), F.round(F.avg("improvement"), 6).alias("improvement"))
-    #: fixed values: the criticality-unaware reference of the paper, 40 percent coverage and 6.6 percent
-    reference = points.sparkSession.createDataFrame([("reference_random", 0, 0.40, 0.066), ("reference_focused", 0, 0.19, 0.058)], "sweep string, pass int, coverage double, improvement double")
+    d = c.groupBy("sweep", "pass", "step").agg(F.round(F.avg("coverage"), 6).alias("coverage"), F.round(F.avg("improvement"), 6).alias("improvement"))
+    #: fixed values: the criticality-unaware and the focused reference of the paper, coverage and speed-up
+    reference = points.sparkSession.createDataFrame([("reference_random", 0, 40, 0.40, 0.066), ("reference_focused", 0, 19, 0.19, 0.058)], "sweep string, pass int, step int, coverage double, improvement double")
     return d.unionByName(reference)
+
+
+def knee(points: DataFrame, share: float = 0.9) -> DataFrame:
+    """(sweep, coverage, improvement, best): the least mean coverage that brings ``share`` of the best mean improvement of a sweep."""
+    d = mean_curve(points).where("sweep in ('random', 'critical')")
+    best = d.groupBy("sweep").agg(F.max("improvement").alias("best"))
+    near = d.join(F.broadcast(best), "sweep").where(F.col("improvement") >= share * F.col("best"))  # a row a sweep
+    return near.groupBy("sweep", "best").agg(F.min(F.struct("coverage", "improvement")).alias("p")).select("sweep", "p.coverage", "p.improvement", "best")

@@ -172,10 +172,17 @@ def run_chunked_ooo(trace: DataFrame, m: Machine, size: int = 20_000, warm: int
     """(program_id, lane, cycles, instrs, chunks, rerun) of an out-of-order core by speculative chunks.
 
     A chunk whose starting state equals its predecessor's end, up to a shift, is settled; the others are
-    run again with twice the warm-up. With a warm-up as long as the program, every chunk is settled.
+    run again with four times the warm-up. With a warm-up as long as the program, every chunk is settled; if chunks are
+    not after ``rounds``, ValueError is raised and no sum is given.
+
+    The state at a border is the lengths F, D, E and C of the last ``rob`` instructions. Nothing older can bind: an
+    instruction is dispatched after the commit of the one ``rob`` before it, hence after all that older ones have executed,
+    freed their units and left their slots. So a reorder buffer is required.
     """
+    if not m.rob:
+        raise ValueError("without a reorder buffer a border's state has no bound")
     ship(trace.sparkSession)
-    span = m.rob or m.window
+    span = m.rob
     warm = warm or 2 * span
     schema = "program_id int, chunk bigint, delta bigint, instrs bigint, enters string, leaves string"
 
@@ -210,5 +217,7 @@ def run_chunked_ooo(trace: DataFrame, m: Machine, size: int = 20_000, warm: int
         rows = _cut(trace, size, warm, 2 * m.window).join(again, ["program_id", "chunk"], "left_semi")
         new = sweep(rows, warm).withColumn("rerun", F.lit(1))
         done = materialise(done.join(again, ["program_id", "chunk"], "left_anti").select(*new.columns).unionByName(new), "ooo")
+    else:
+        raise ValueError(f"chunks did not settle within {rounds} rounds")
     total = done.groupBy("program_id").agg(F.sum("delta").alias("cycles"), F.sum("instrs").alias("instrs"), F.count(F.lit(1)).alias("chunks"), F.sum("rerun").alias("rerun"))
     return total.select("program_id", F.lit(0).alias("lane"), "cycles", "instrs", "chunks", "rerun")

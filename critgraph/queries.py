@@ -358,7 +358,7 @@ def ooo_earliest_accuracy(s, d):
 
 
 def ooo_lowfi(s, d):
-    return _accuracy(s, d, P_OOO, t=costs.calibrated_statistics(traces.sliced(_t(s, d), 0, SLICE)))
+    return _accuracy(s, d, P_OOO, t=costs.low_fidelity(materialise(traces.sliced(_t(s, d), 0, SLICE), "trace")))
 
 
 def accuracy_summary(s, d):
@@ -407,6 +407,10 @@ def vp_summary(s, d):
     return valuepred.mean_curve(points)
 
 
+def vp_knee(s, d):
+    return valuepred.knee(valuepred.critical_sweep(_t(s, d), P_OOO).unionByName(valuepred.random_sweep(_t(s, d), P_OOO)))
+
+
 def crack_trace(s, d):
     t = graph.crack(_t(s, d), (F.col("op_class") == "INT_MUL") & (F.col("pc") % 5 == 0))
     return runs.run_each(t, [P_INO]).select("program_id", "cycles", "instrs")
@@ -479,12 +483,20 @@ def block_path_mix(s, d):
     return p.groupBy("program_id", "class").agg(F.sum("instrs").alias("instrs"), F.sum("cycles").alias("cycles"))
 
 
+def block_path_shares(s, d):
+    return blocks.shares(blocks.path_mix(_t(s, d)))
+
+
+def block_format_gains(s, d):
+    return blocks.format_gains(blocks.run_blocks(_t(s, d)))
+
+
 def doc_trace_runs(s, d):
     return runs.run_each(costs.recorded(traces.from_documents(s, d)), [P_INO]).select("program_id", "instrs", "cycles")
 
 
 def stream_ino(s, d):
-    return streams.final_state(streams.drained(streams.sweep_stream(streams.events_stream(s, d)), "append")).drop("late")
+    return streams.final_state(streams.drained(streams.sweep_stream(streams.events_stream(s, d)))).drop("late")
 
 
 def stream_windows(s, d):
@@ -527,8 +539,8 @@ edges_frontend edges_control edges_commit edges_issue edges_pipeline edges_data_
 frontend_chain commit_chain toy_base toy_whatif toy_path toy_without_mul toy_fused toy_sql_path fu_pipelined fu_blocking fu_depth crack_example spec_branch
 ino_cycles ino_lanes lanes_32 lanes_sequential ino_chunked ino_planned frontend_ino frontend_ooo frontend_interaction breakdown_ino breakdown_ino_total breakdown_ooo breakdown_cube
 critical_path_ino top_critical_pcs path_overlap slack_ino secondary_path limits_ino scenario_grid prior_graph_ino ooo_two_pass ooo_cycles ooo_approximate ooo_window ooo_lanes ooo_chunked work_counters
-ino_accuracy ooo_accuracy ooo_earliest_accuracy ooo_approximate_accuracy ooo_lowfi accuracy_summary cache_model stat_costs iss_counts mechanistic cycle_stack vp_random vp_critical vp_focused vp_summary
-crack_trace fusible_pairs fuse_trace value_speculation block_sizes block_reads block_movs block_nulls block_mix block_decode_delay block_graph block_formats block_formats_conversations block_breakdown block_path_mix
+ino_accuracy ooo_accuracy ooo_earliest_accuracy ooo_approximate_accuracy ooo_lowfi accuracy_summary cache_model stat_costs iss_counts mechanistic cycle_stack vp_random vp_critical vp_focused vp_summary vp_knee
+crack_trace fusible_pairs fuse_trace value_speculation block_sizes block_reads block_movs block_nulls block_mix block_decode_delay block_graph block_formats block_formats_conversations block_breakdown block_path_mix block_path_shares block_format_gains
 doc_trace_runs stream_ino stream_windows stream_sessions vector_speedup bench_ino bench_ooo bench_ooo_approx bench_simulator_ino bench_simulator_ooo""".split()
 QUERIES = {n: globals()[n] for n in NAMES}
 
@@ -560,6 +572,10 @@ ORACLE_SQL = {
     ),
     "critical_path_ino": oracles.inorder([P_INO], "SELECT program_id, cycles FROM runs"),
     "limits_ino": oracles.named(whatif.limits(P_INO), "SELECT n.program_id, n.scenario, n.cycles, round(1 - n.cycles / b.cycles, 6) AS improvement, round(b.cycles / n.cycles, 6) AS speedup FROM n JOIN n b ON b.program_id = n.program_id AND b.scenario = 'base'"),
+    "cache_model": with_trace(
+        "SELECT program_id, cast(CASE WHEN hit1 THEN 2 WHEN last2 IS NOT NULL AND (SELECT count(DISTINCT o.line) FROM m o WHERE o.program_id = v.program_id AND o.line % 1024 = v.line % 1024 AND o.seq > v.last2 AND o.seq < v.seq) < 16 THEN 10 ELSE 40 END AS int) AS dmem_cycles, count(*) AS n FROM (SELECT *, true AS hit1, cast(NULL AS bigint) AS last2 FROM h WHERE hit UNION ALL SELECT *, false, lag(seq) OVER (PARTITION BY program_id, line ORDER BY seq) FROM m) v GROUP BY ALL",
+        "a AS (SELECT program_id, seq, addr >> 6 AS line FROM trace WHERE addr IS NOT NULL), u AS (SELECT *, lag(seq) OVER (PARTITION BY program_id, line ORDER BY seq) AS last FROM a), h AS MATERIALIZED (SELECT program_id, seq, line, last IS NOT NULL AND (SELECT count(DISTINCT o.line) FROM a o WHERE o.program_id = u.program_id AND o.line % 64 = u.line % 64 AND o.seq > u.last AND o.seq < u.seq) < 8 AS hit FROM u), m AS MATERIALIZED (SELECT * FROM h WHERE NOT hit)",
+    ),
     "scenario_grid": oracles.named({m.name: m for m in configs.grid(P_INO, fbw=[1, 2, 4], ibw=[1, 2])}),
     "value_speculation": oracles.named({"base": P_INO, "right": P_INO.edit(predicted_permille=1000), "wrong": P_INO.edit(predicted_permille=1000, predict_penalty=8)}),
     "crack_trace": oracles.inorder([P_INO], "SELECT program_id, cycles, instrs FROM runs", oracles.CRACKED),

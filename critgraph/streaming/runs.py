@@ -95,12 +95,12 @@ def views_before_purchases(events: DataFrame, within: str = "1 hour") -> DataFra
     return p.join(v, F.expr(f"user_id = v_user and v_ts <= ts and v_ts >= ts - interval {within}"))
 
 
-def drained(stream: DataFrame, mode: str = "append") -> DataFrame:
-    """All output of a stream over what its source holds now, as a table in memory (tests and small results)."""
-    spark, name = stream.sparkSession, "s" + uuid.uuid4().hex
-    q = stream.writeStream.format("memory").queryName(name).outputMode(mode).option("checkpointLocation", f"{shared_dir(spark)}/stream-{name}").trigger(availableNow=True).start()
+def drained(stream: DataFrame) -> DataFrame:
+    """All output (append mode) of a stream over what its source holds now, written as Parquet in the shared folder."""
+    spark, at = stream.sparkSession, f"{shared_dir(stream.sparkSession)}/critgraph-stream-{uuid.uuid4().hex}"
+    q = stream.writeStream.format("parquet").option("path", f"{at}/rows").option("checkpointLocation", f"{at}/state").outputMode("append").trigger(availableNow=True).start()
     q.awaitTermination()
-    return spark.table(name)
+    return spark.read.schema(stream.schema).parquet(f"{at}/rows")
 
 
 def final_state(updates: DataFrame) -> DataFrame:

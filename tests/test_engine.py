@@ -7,12 +7,12 @@ from pyspark.sql import functions as F
 
 from critgraph import queries as Q
 from critgraph.configs import P_INO, P_OOO
-from critgraph.operators import graph, runs, toys, whatif
+from critgraph.operators import blocks, graph, runs, toys, valuepred, whatif
 from critgraph.plans import chunks, planner
 from critgraph.sources import traces
 from critgraph.streaming import runs as streams
 
-SLOW = {"graph_size", "graph_relaxed", "graph_longest", "trace_lineitem_distributed", "stream_ino"}
+SLOW = {"graph_size", "graph_longest", "trace_lineitem_distributed", "stream_ino"}
 
 
 @pytest.fixture(scope="module")
@@ -174,7 +174,7 @@ def test_operators_take_the_whole_trace(spark, monkeypatch):
     monkeypatch.setattr(Q, "_t", lambda s, d: t)
     q = lambda n: Q.QUERIES[n](spark, "").collect()
     cycles = {r["program_id"]: r["cycles"] for r in q("ino_cycles")}
-    for n in ("critical_path_ino_whole", "graph_longest_whole"):
+    for n in ("critical_path_ino", "graph_longest"):
         assert {r["program_id"]: r["cycles"] for r in q(n)} == cycles
     assert {r["program_id"]: r["cycles"] for r in q("value_speculation") if r["scenario"] == "base"} == cycles
     assert sum(r["n"] for r in q("slack_ino") if r["kind"] == "pipe") == 2 * 2 * 1200
@@ -198,3 +198,56 @@ def test_peel_finds_deep_cycles(spark):
     e = lambda rows: spark.createDataFrame(rows, "program_id int, src_seq bigint, src_stage string, dst_seq bigint, dst_stage string, w int")
     assert graph.peel(e(chain)).count() == 0
     assert sorted((r["src_seq"], r["dst_seq"]) for r in graph.peel(e(chain + loop)).collect()) == [(4000, 4001), (4001, 4000), (4001, 4002), (4002, 4003)]
+
+
+def test_edits_of_the_explicit_graph(spark):
+    rows = [("F0", "E0", "pipe", 1), ("F0", "F1", "fetch", 1), ("F1", "E1", "pipe", 1)]
+    e = toys.edges_of(spark, rows)
+    pair = spark.createDataFrame([(0, 0, 1)], "program_id int, src_seq bigint, dst_seq bigint")
+    late = graph.recovery(e, pair, 7)
+    assert {(r["stage"], r["seq"]): r["cp"] for r in graph.longest(late).collect()} == {("F", 0): 0, ("E", 0): 1, ("F", 1): 8, ("E", 1): 9}
+    lanes = e.withColumn("w", F.array(F.col("w"), F.col("w") * 2)).unionByName(e.where("kind = 'fetch'").withColumn("w", F.array(F.lit(None).cast("int"), F.lit(1))))
+    got = {(r["src_seq"], r["src_stage"], r["dst_seq"], r["dst_stage"]): r["w"] for r in graph.merge_lanes(lanes).collect()}
+    assert got == {(0, "F", 0, "E"): [1, 2], (0, "F", 1, "F"): [1, 2], (1, "F", 1, "E"): [1, 2]}
+    both = whatif.combine(lambda m: m.set_latency(INT_MUL=1), lambda m: whatif.drop(m, "fetch_bw"))(Q.P_INO)
+    assert both.latency["INT_MUL"] == 1 and both.fbw is None and whatif.drop(Q.P_INO, "queue").lsq is None and whatif.drop(Q.P_INO, "fu_occ").units == {}
+
+
+def test_stream_joins_on_batches(spark):
+    rows = [(1, 5, "view", "2024-01-01 10:00:00"), (2, 5, "purchase", "2024-01-01 10:30:00"), (3, 5, "purchase", "2024-01-01 12:00:00"), (4, 6, "purchase", "2024-01-01 10:10:00")]
+    e = spark.createDataFrame(rows, "event_id bigint, user_id bigint, event_type string, ts string").withColumn("ts", F.to_timestamp("ts"))
+    assert [(r["event_id"], r["view_id"]) for r in streams.views_before_purchases(e).collect()] == [(2, 1)]
+    names = spark.createDataFrame([(5, "a")], "user_id bigint, name string")
+    assert {(r["event_id"], r["name"]) for r in streams.with_static(e, names, "user_id").collect()} == {(1, "a"), (2, "a"), (3, "a"), (4, None)}
+
+
+def test_one_rule_for_moves_and_commit(spark):
+    """The block evaluator holds as many READ, MOV and NULL as the counting operators, and no commit waits for what writes nothing."""
+    t = traces.from_lineitem(spark, "/root/testdata/sf0.001").persist()
+    want = {(r["program_id"]): r["n"] for r in blocks.mix(t).groupBy("program_id").agg(F.sum("n").alias("n")).collect()}
+    got = {r["program_id"]: r["instrs"] for r in blocks.run_blocks(t, ("4seg",)).collect()}
+    assert got == want
+    p = blocks.BlockProgram({"op": [0, 0, 0, 0, 0], "seq": [0, 1, 2, 3, 4], "src1": [None, 1, 1, 1, 1], "src2": [None, None, None, 1, None], "dst": [1, 2, 3, 4, None], "addr": [None] * 5, "block_no": [0] * 5, "predicated": [False] * 5}, 0, "4seg")
+    assert p.op.count("MOV") == 2 and len(p.op) == 7 and len(p.output) == 4
+    assert p.run() > 0 and sum(c for *_, c in p.path()) > 0
+    s = blocks.shares(blocks.path_mix(t)).collect()
+    assert len(s) == len(got) and all(0 <= r["read_mov_cycles"] <= 1 and 0 < r["read_mov_instrs"] <= 1 for r in s)
+    gains = {r["format"]: r for r in blocks.format_gains(blocks.run_blocks(t)).collect()}
+    assert gains["4seg"]["maximum"] == 0 and all(r["minimum"] <= r["average"] <= r["maximum"] for r in gains.values())
+
+
+def test_value_prediction_keeps_steps_and_finds_the_knee(spark):
+    t = traces.from_lineitem(spark, "/root/testdata/sf0.001").persist()
+    points = valuepred.critical_sweep(t, Q.P_OOO).unionByName(valuepred.random_sweep(t, Q.P_OOO)).persist()
+    c = valuepred.mean_curve(points).collect()
+    assert {r["step"] for r in c if r["sweep"] == "critical" and r["pass"] == 1} == {20, 40, 60, 80, 100}
+    k = {r["sweep"]: r for r in valuepred.knee(points).collect()}
+    assert k["critical"]["coverage"] <= k["random"]["coverage"] and all(r["improvement"] >= 0.9 * r["best"] for r in k.values())
+
+
+def test_chunks_out_of_order_settle_or_raise(spark):
+    t = traces.from_lineitem(spark, "/root/testdata/sf0.001")
+    with pytest.raises(ValueError):
+        chunks.run_chunked_ooo(t, Q.P_OOO.edit(rob=None))
+    with pytest.raises(ValueError):
+        chunks.run_chunked_ooo(t, Q.P_OOO, 40, warm=1, rounds=1)
