@@ -108,6 +108,29 @@ runs AS (SELECT program_id, cast(lane AS int) AS lane, cast(max(ch[1]) AS bigint
 {select}"""
 
 
+def unordered(m: Machine, select: str) -> str:
+    """The recurrence of an in-order core whose instructions wait for no issue order, unit or queue: fetch, data, commit.
+
+    Any earlier store may bind, so the last store of each address is kept.
+    """
+    low = -(10**12)
+    o = "CASE " + " ".join(f"WHEN op_class = '{op}' THEN {OPS.index(op)}" for op in OPS[:9]) + " END"
+    lat = [m.latency[x] for x in OPS[:9]]
+    return f"""
+WITH RECURSIVE {TRACE.strip()},
+t AS MATERIALIZED (SELECT program_id, seq, src1, src2, dst, addr, coalesce(imem_cycles, 0) AS f, mispredicted AS miss, {o} AS o, {lat}[{o} + 1] + CASE WHEN op_class = 'LOAD' THEN coalesce(dmem_cycles, 0) ELSE 0 END AS x FROM trace),
+s AS (
+ SELECT program_id, seq, cast(0 AS bigint) AS f1, cast({low} AS bigint) AS f2, cast({m.decode} AS bigint) AS e1, cast({m.decode} + x AS bigint) AS c1, cast({low} AS bigint) AS c2, x AS x1, miss AS m1,
+  list_transform(range(32), lambda i: CASE WHEN i = dst THEN cast({m.decode} + x AS bigint) ELSE cast({low} AS bigint) END) AS regs,
+  CASE WHEN o = 7 THEN MAP {{cast(addr AS bigint): cast({m.decode} AS bigint)}} ELSE MAP {{cast(-1 AS bigint): cast({low} AS bigint)}} END AS st FROM t WHERE seq = 0
+ UNION ALL
+ SELECT program_id, seq, nf, f1, ne, greatest(ne + x, c1, c2 + 1), c1, x, miss, CASE WHEN dst IS NULL THEN regs ELSE regs[1:dst] || [ne + x] || regs[dst + 2:32] END,
+  CASE WHEN o = 7 THEN map_concat(st, MAP {{cast(addr AS bigint): ne}}) ELSE st END
+ FROM (SELECT *, greatest(nf + {m.decode}, coalesce(regs[src1 + 1], {low}), coalesce(regs[src2 + 1], {low}), CASE WHEN o = 6 THEN coalesce(element_at(st, addr)[1], {low}) + {m.forward} ELSE {low} END) AS ne
+  FROM (SELECT t.*, f1, c1, c2, regs, st, greatest(CASE WHEN m1 THEN e1 + x1 + {m.penalty} ELSE f1 END + t.f, f2 + 1) AS nf FROM s JOIN t ON t.program_id = s.program_id AND t.seq = s.seq + 1)))
+{select}"""
+
+
 def renamed(more: str, ctes: str = TRACE) -> str:
     """CTEs in which ``trace`` is made by ``more`` from the main trace, there called ``whole``."""
     return ctes.replace("trace AS (SELECT program_id", "whole AS (SELECT program_id") + f", trace AS ({more})"

@@ -571,6 +571,7 @@ ORACLE_SQL = {
         "e AS (" + " UNION ALL ".join(f"SELECT src_seq, src_stage, dst_seq, dst_stage, w FROM ({q})" for q in oracles.EDGES.values()) + ")",
     ),
     "critical_path_ino": oracles.inorder([P_INO], "SELECT program_id, cycles FROM runs"),
+    "prior_graph_ino": oracles.unordered(P_INO.without_resources(), "SELECT program_id, cast(max(c1) AS bigint) AS cycles FROM s GROUP BY program_id"),
     "limits_ino": oracles.named(whatif.limits(P_INO), "SELECT n.program_id, n.scenario, n.cycles, round(1 - n.cycles / b.cycles, 6) AS improvement, round(b.cycles / n.cycles, 6) AS speedup FROM n JOIN n b ON b.program_id = n.program_id AND b.scenario = 'base'"),
     "cache_model": with_trace(
         "SELECT program_id, cast(CASE WHEN hit1 THEN 2 WHEN last2 IS NOT NULL AND (SELECT count(DISTINCT o.line) FROM m o WHERE o.program_id = v.program_id AND o.line % 1024 = v.line % 1024 AND o.seq > v.last2 AND o.seq < v.seq) < 16 THEN 10 ELSE 40 END AS int) AS dmem_cycles, count(*) AS n FROM (SELECT *, true AS hit1, cast(NULL AS bigint) AS last2 FROM h WHERE hit UNION ALL SELECT *, false, lag(seq) OVER (PARTITION BY program_id, line ORDER BY seq) FROM m) v GROUP BY ALL",
