@@ -12,6 +12,7 @@ from critgraph.operators import baselines, blocks, graph, runs, toys, valuepred,
 from critgraph.plans import chunks, oracles, planner
 from critgraph.plans.oracles import with_trace
 from critgraph.runtime import materialise
+from critgraph.schemas import OPS, TERM_OF_OP
 from critgraph.sources import tables, traces
 from critgraph.streaming import runs as streams
 
@@ -571,6 +572,7 @@ ORACLE_SQL = {
         "e AS (" + " UNION ALL ".join(f"SELECT src_seq, src_stage, dst_seq, dst_stage, w FROM ({q})" for q in oracles.EDGES.values()) + ")",
     ),
     "critical_path_ino": oracles.inorder([P_INO], "SELECT program_id, cycles FROM runs"),
+    "cycle_stack": oracles.inorder([P_INO], ", g AS (SELECT s.program_id, CASE WHEN eh[1] + x1 = ch[1] THEN " + "CASE t.o " + " ".join(f"WHEN {k} THEN '{TERM_OF_OP[op]}'" for k, op in enumerate(OPS[:9])) + " END ELSE 'commit_bw' END AS term, ch[1] - CASE WHEN s.seq = 0 THEN 0 ELSE ch[2] END AS gap FROM s JOIN t USING (program_id, seq)) SELECT program_id, term, cast(sum(gap) AS bigint) AS cycles FROM g WHERE gap > 0 GROUP BY ALL"),
     "prior_graph_ino": oracles.unordered(P_INO.without_resources(), "SELECT program_id, cast(max(c1) AS bigint) AS cycles FROM s GROUP BY program_id"),
     "limits_ino": oracles.named(whatif.limits(P_INO), "SELECT n.program_id, n.scenario, n.cycles, round(1 - n.cycles / b.cycles, 6) AS improvement, round(b.cycles / n.cycles, 6) AS speedup FROM n JOIN n b ON b.program_id = n.program_id AND b.scenario = 'base'"),
     "cache_model": with_trace(
