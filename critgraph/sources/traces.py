@@ -56,10 +56,10 @@ def from_lineitem(spark: SparkSession, sf_dir: str, distributed: bool = False) -
     """
     d = lineitem_rows(spark, sf_dir)
     if distributed:
-        d = ranked(d, ["program_id", *ORDER], "_pos")
-        d = ranked(d.where("not wrong_path"), ["_pos"], "_k")
-        first = d.groupBy("program_id").agg(F.min("_k").alias("_k0"), F.min("_pos").alias("_p0"))
-        start = ranked(lineitem_rows(spark, sf_dir).select("program_id", *ORDER), ["program_id", *ORDER], "_pos").groupBy("program_id").agg(F.min("_pos").alias("_start"))
+        every = ranked(d, ["program_id", *ORDER], "_pos")
+        start = every.groupBy("program_id").agg(F.min("_pos").alias("_start"))
+        d = ranked(every.where("not wrong_path"), ["_pos"], "_k")
+        first = d.groupBy("program_id").agg(F.min("_k").alias("_k0"))
         d = d.join(first, "program_id").join(start, "program_id")
         # rows and correct rows before this one within the program differ by the wrong-path rows before it
         d = d.withColumns({"seq": F.col("_k") - F.col("_k0"), "_w": (F.col("_pos") - F.col("_start")) - (F.col("_k") - F.col("_k0"))})
@@ -68,13 +68,17 @@ def from_lineitem(spark: SparkSession, sf_dir: str, distributed: bool = False) -
         so_far = order.rowsBetween(Window.unboundedPreceding, Window.currentRow)
         d = d.withColumn("_w", F.sum(F.col("wrong_path").cast("bigint")).over(so_far)).withColumn("seq", F.row_number().over(order) - 1 - F.col("_w"))
         d = d.where("not wrong_path")
-    by_seq = Window.partitionBy("program_id").orderBy("seq")
-    folded = WRONG_PATH_CYCLES * (F.col("_w") - F.coalesce(F.lag("_w").over(by_seq), F.lit(0)))
     op, pk, sk, ok, ln = (F.col(c) for c in ("op_class", "l_partkey", "l_suppkey", "l_orderkey", "l_linenumber"))
     memory = op.isin("LOAD", "STORE")
     miss = (op == "BRANCH") & ((31 * ok + 17 * pk + 7 * ln) % 100 < _by_region({0: 20, 1: 4, 2: 4, 3: 2}, 8))
     d = d.withColumn("mispredicted", miss)
-    begins = (F.col("seq") % 16 == 0) | F.coalesce(F.lag("mispredicted").over(by_seq), F.lit(False))
+    if distributed:  # the row before, by a join: no task sees a whole program
+        d = d.join(d.select("program_id", (F.col("seq") + 1).alias("seq"), F.col("_w").alias("_w_before"), F.col("mispredicted").alias("_missed")), ["program_id", "seq"], "left")
+    else:
+        by_seq = Window.partitionBy("program_id").orderBy("seq")
+        d = d.withColumns({"_w_before": F.lag("_w").over(by_seq), "_missed": F.lag("mispredicted").over(by_seq)})
+    folded = WRONG_PATH_CYCLES * (F.col("_w") - F.coalesce("_w_before", F.lit(0)))
+    begins = (F.col("seq") % 16 == 0) | F.coalesce("_missed", F.lit(False))
     line = F.when((13 * ok + 11 * pk) % 100 < _by_region({0: 60}, 5), 20).otherwise(1)
     block = Window.partitionBy("program_id", "l_orderkey").orderBy("seq")
     return d.select(
