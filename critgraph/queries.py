@@ -212,7 +212,7 @@ def toy_sql_path(s, d):
 
 
 def ino_cycles(s, d):
-    return runs.per_instr(runs.run_each(_t(s, d), [P_INO])).drop("lane")
+    return runs.per_instr(planner.run(_t(s, d), [P_INO])).drop("lane")
 
 
 def ino_lanes(s, d):
@@ -311,7 +311,7 @@ def ooo_two_pass(s, d):
 
 
 def ooo_cycles(s, d):
-    return runs.per_instr(runs.run_each(_t(s, d), [P_OOO])).drop("lane")
+    return runs.per_instr(planner.run(_t(s, d), [P_OOO])).drop("lane")
 
 
 def ooo_approximate(s, d):
@@ -320,7 +320,7 @@ def ooo_approximate(s, d):
 
 def ooo_window(s, d):
     sizes = (16, 64, 192, 352)
-    return _named(runs.run_each(_t(s, d), [P_OOO.edit(window=w) for w in sizes]), [f"window {w}" for w in sizes])
+    return _named(planner.run(_t(s, d), [P_OOO.edit(window=w) for w in sizes]), [f"window {w}" for w in sizes])
 
 
 def ooo_lanes(s, d):
@@ -414,7 +414,7 @@ def vp_knee(s, d):
 
 def crack_trace(s, d):
     t = graph.crack(_t(s, d), (F.col("op_class") == "INT_MUL") & (F.col("pc") % 5 == 0))
-    return runs.run_each(t, [P_INO]).select("program_id", "cycles", "instrs")
+    return planner.run(t, [P_INO]).select("program_id", "cycles", "instrs")
 
 
 def fusible_pairs(s, d):
@@ -493,7 +493,7 @@ def block_format_gains(s, d):
 
 
 def doc_trace_runs(s, d):
-    return runs.run_each(costs.recorded(traces.from_documents(s, d)), [P_INO]).select("program_id", "instrs", "cycles")
+    return planner.run(costs.recorded(traces.from_documents(s, d)), [P_INO]).select("program_id", "instrs", "cycles")
 
 
 def stream_ino(s, d):
