@@ -36,7 +36,7 @@ BANDS, ROWS = 8, 4
 THRESHOLD = 80
 DIGEST, AGREE = 16, 9
 FEW, LEAST = 12, 6
-MARKS = 4  # words of 64 bits of a bitmap
+MARKS = 8  # words of 64 bits of a bitmap
 #: Up to so many pairs, the ids of their lines are sent to all tasks (16 MB); beyond, texts and ids are shuffled.
 SENT_PAIRS = 1 << 20
 BLANKS = " \t\r\x0b\x0c"
@@ -114,15 +114,8 @@ def _fits(n, m, k) -> Column:
     return (100 + THRESHOLD) * k >= THRESHOLD * (n + m)
 
 
-def _marks(hashes: Column, word: int) -> Column:
-    """A word of the bitmap of some hashes."""
-    at = lambda h: F.call_function("shiftleft", F.lit(1).cast("bigint"), F.shiftrightunsigned(h, 8).bitwiseAND(F.lit(63)).cast("int"))
-    mine = lambda h: F.shiftrightunsigned(h, 14).bitwiseAND(F.lit(MARKS - 1)) == word
-    return F.aggregate(hashes, F.lit(0).cast("bigint"), lambda acc, h: F.when(mine(h), acc.bitwiseOR(at(h))).otherwise(acc))
-
-
 def _overlaps(pairs: DataFrame, reps: DataFrame) -> DataFrame:
-    """(a, b, na, nb, k, lacks, besides): sizes and overlap of the shingle sets of each pair's lines, bitmaps of what a lacks of b and has besides."""
+    """(a, b, na, nb, k, lacks, besides): sizes and overlap of the shingle sets of each pair's lines, what a lacks of b and has besides."""
     pairs = materialise(pairs, "pairs")
     ids = pairs.select(F.explode(F.array("a", "b")).alias("id")).distinct()
     texts = reps.select("id", "line").join(F.broadcast(ids) if pairs.count() <= SENT_PAIRS else ids, "id", "left_semi")
@@ -130,20 +123,32 @@ def _overlaps(pairs: DataFrame, reps: DataFrame) -> DataFrame:
     sets = both.select("a", "b", F.explode_outer(F.array(F.struct(shingle_set(F.col("la")).alias("a"), shingle_set(F.col("lb")).alias("b")))).alias("s"))
     apart = F.struct(F.array_except("s.b", "s.a").alias("lacks"), F.array_except("s.a", "s.b").alias("besides"))
     d = sets.select("a", "b", F.size("s.a").alias("na"), F.size("s.b").alias("nb"), F.explode_outer(F.array(apart)).alias("d"))
-    bitmap = lambda of: F.array(*(_marks(F.col(of), j) for j in range(MARKS)))
-    out = materialise(d.select("a", "b", "na", "nb", (F.col("nb") - F.size("d.lacks")).alias("k"), bitmap("d.lacks").alias("lacks"), bitmap("d.besides").alias("besides")), "overlaps")
-    release(pairs)
-    return out
+    return d.select("a", "b", "na", "nb", (F.col("nb") - F.size("d.lacks")).alias("k"), "d.lacks", "d.besides")
+
+
+def _marked(overlaps: DataFrame) -> DataFrame:
+    """Overlaps with bitmaps (words l0.., x0..) in place of what a lacks of b and has besides."""
+    both = F.concat(F.transform("lacks", lambda h: h.bitwiseAND(F.lit(-2))), F.transform("besides", lambda h: h.bitwiseOR(F.lit(1))))
+    e = overlaps.select("b", "a", "na", "nb", "k", F.explode_outer(both).alias("h"))
+    bit = F.call_function("shiftleft", F.lit(1).cast("bigint"), F.shiftrightunsigned("h", 8).bitwiseAND(F.lit(63)).cast("int"))
+    of = lambda kind, word: F.shiftrightunsigned("h", 14).bitwiseAND(F.lit(MARKS - 1)) * 2 + F.col("h").bitwiseAND(F.lit(1)) == 2 * word + kind
+    words = [F.coalesce(F.bit_or(F.when(of(kind, j), bit)), F.lit(0).cast("bigint")).alias(f"{n}{j}") for kind, n in enumerate("lx") for j in range(MARKS)]
+    return e.groupBy("b", "a", "na", "nb", "k").agg(*words)
 
 
-def _most(size: str, mine: tuple[str, ...], theirs: tuple[str, ...]) -> Column:
-    """A bound of the overlap of two lines from each one's (size, overlap with the hub, lacks, besides), and the hub's size."""
-    (n, k, lacks, besides), (m, q, lacking, beside) = mine, theirs
+WORDS = [f"{n}{j}" for n in "lx" for j in range(MARKS)]
+
+
+def _most(size: str, of: str = "", other: str = "_2") -> Column:
+    """A bound of the overlap of two lines from each one's size n, overlap k with the hub and bitmaps, and the hub's size.
+
+    The columns of the two are told apart by the endings ``of`` and ``other``.
+    """
+    at = lambda n, end: F.col(f"{n}{end}")
     bits = lambda f: sum((F.bit_count(f(j)) for j in range(1, MARKS)), F.bit_count(f(0)))
-    at = lambda c, j: F.get(F.col(c), j)
-    missing = F.greatest(bits(lambda j: at(lacks, j).bitwiseOR(at(lacking, j))), F.col(size) - F.col(k), F.col(size) - F.col(q))
-    only = lambda x, y: bits(lambda j: at(x, j).bitwiseAND(F.bitwise_not(at(y, j))))
-    own = F.least(F.col(n) - F.col(k) - only(besides, beside), F.col(m) - F.col(q) - only(beside, besides))
+    missing = F.greatest(bits(lambda j: at(f"l{j}", of).bitwiseOR(at(f"l{j}", other))), F.col(size) - at("k", of), F.col(size) - at("k", other))
+    only = lambda p, q: bits(lambda j: at(f"x{j}", p).bitwiseAND(F.bitwise_not(at(f"x{j}", q))))
+    own = F.least(at("n", of) - at("k", of) - only(of, other), at("n", other) - at("k", other) - only(other, of))
     return F.col(size) - missing + own
 
 
@@ -160,20 +165,20 @@ def line_classes(docs: DataFrame) -> DataFrame:
     bands = materialise(known.select("id", "g", "key", "size", hub.alias("hub")), "buckets")
     release(shared)
     near = bands.where((F.col("id") != F.col("hub.id")) & (agreement(F.col("g"), F.col("hub.g")) >= AGREE))
-    met = _overlaps(near.select(F.col("id").alias("a"), F.col("hub.id").alias("b")).distinct(), reps)
+    met = materialise(_marked(_overlaps(near.select(F.col("id").alias("a"), F.col("hub.id").alias("b")).distinct(), reps)), "met")
     linked = lambda d: d.where(_fits(F.col("na"), F.col("nb"), F.col("k"))).select("a", "b")
     # then all that share a bucket, are still apart and are not ruled out; in a bucket of two nothing is left to compare
     parts = materialise(components(linked(met)).withColumnRenamed("node", "id"), "parts")
-    to_hub = met.select(F.col("a").alias("id"), F.col("b").alias("hub"), F.col("na").alias("n"), "k", F.col("nb").alias("hub_n"), "lacks", "besides")
-    placed = bands.where("size > 2").select("id", "g", "key", F.col("hub.id").alias("hub")).where("id <> hub").join(parts, "id", "left").join(to_hub, ["id", "hub"], "left")
-    placed = materialise(placed.select("id", "g", "key", F.coalesce("component", "id").alias("c"), "n", "k", "hub_n", "lacks", "besides"), "placed")
+    placed = bands.where("size > 2").select("id", "g", "key", F.col("hub.id").alias("hub")).where("id <> hub").join(parts, "id", "left").withColumn("c", F.coalesce("component", "id"))
+    whole = Window.partitionBy("key")
+    placed = placed.withColumn("parted", F.min("c").over(whole) != F.max("c").over(whole)).where("parted").drop("component", "parted")
+    placed = placed.join(met.select(F.col("a").alias("id"), F.col("b").alias("hub"), F.col("na").alias("n"), "k", F.col("nb").alias("hub_n"), *WORDS), ["id", "hub"], "left").drop("hub")
+    placed = materialise(placed, "placed")
     release(bands, parts)
-    names = {"id": "b", "g": "gb", "c": "cb", "n": "nb", "k": "kb", "lacks": "lacks_b", "besides": "besides_b"}
-    other = placed.select("key", *(F.col(x).alias(y) for x, y in names.items()))
-    most = _most("hub_n", ("n", "k", "lacks", "besides"), ("nb", "kb", "lacks_b", "besides_b"))
-    possible = (agreement(F.col("g"), F.col("gb")) >= AGREE) & F.coalesce(_fits(F.col("n"), F.col("nb"), most), F.lit(True))
-    across = placed.join(other, (placed["key"] == other["key"]) & (F.col("b") < F.col("id")) & (F.col("c") != F.col("cb")) & possible)
-    more = _overlaps(across.select(F.col("id").alias("a"), "b").distinct(), reps)
+    other = placed.drop("hub_n").select(F.col("key"), *(F.col(x).alias(f"{x}_2") for x in ("id", "g", "c", "n", "k", *WORDS)))
+    possible = (agreement(F.col("g"), F.col("g_2")) >= AGREE) & F.coalesce(_fits(F.col("n"), F.col("n_2"), _most("hub_n")), F.lit(True))
+    across = placed.join(other, (placed["key"] == other["key"]) & (F.col("id_2") < F.col("id")) & (F.col("c") != F.col("c_2")) & possible)
+    more = materialise(_overlaps(across.select(F.col("id").alias("a"), F.col("id_2").alias("b")).distinct(), reps).drop("lacks", "besides"), "met")
     release(placed)
     joined = components(linked(met).union(linked(more)))
     member = materialise(joined.select(F.col("node").alias("id"), "component").union(joined.select("component", "component").distinct()), "parts")

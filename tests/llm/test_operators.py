@@ -91,12 +91,10 @@ def test_bound_by_the_hub_is_lossless(spark):
             w[r.randrange(60)] = f"z{r.randrange(25)}"
         lines.append(" ".join(w))
     reps = spark.createDataFrame(list(enumerate(lines)), "id bigint, line string")
-    met = line_dedup._overlaps(reps.where("id > 0").select(F.col("id").alias("a"), F.lit(0).cast("bigint").alias("b")), reps)
-    names = ["a", "na", "k", "lacks", "besides"]
-    pairs = met.join(met.select(*(F.col(x).alias(f"{x}_2") for x in names)), F.col("a") < F.col("a_2"))
-    bound = line_dedup._most("nb", tuple(names[1:]), tuple(f"{x}_2" for x in names[1:]))
+    met = line_dedup._marked(line_dedup._overlaps(reps.where("id > 0").select(F.col("id").alias("a"), F.lit(0).cast("bigint").alias("b")), reps)).withColumn("n", F.col("na"))
+    pairs = met.join(met.select(*(F.col(x).alias(f"{x}_2") for x in ("a", "n", "k", *line_dedup.WORDS))), F.col("a") < F.col("a_2"))
     tight = 0
-    for x in pairs.select("a", "a_2", "na", "k", bound.alias("most")).collect():
+    for x in pairs.select("a", "a_2", "na", "k", line_dedup._most("nb").alias("most")).collect():
         true = len(line_set(lines[x["a"]]) & line_set(lines[x["a_2"]]))
         assert x["na"] == len(line_set(lines[x["a"]])) and x["k"] == len(line_set(lines[x["a"]]) & line_set(lines[0]))
         assert x["most"] >= true
