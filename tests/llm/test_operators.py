@@ -80,6 +80,14 @@ def similar(a, b):
     return 100 * len(x & y) >= 80 * len(x | y)
 
 
+def test_a_pair_is_made_in_its_first_shared_bucket(spark):
+    r = random.Random(12)
+    rows = [(r.randrange(8), [r.randrange(3) for _ in range(8)], [r.randrange(3) for _ in range(8)]) for _ in range(300)]
+    pack = lambda v, w: sum(v[4 * w + b] << 16 * b for b in range(4))
+    d = spark.createDataFrame([(b, pack(x, 0), pack(x, 1), pack(y, 0), pack(y, 1), not any(x[k] == y[k] for k in range(b))) for b, x, y in rows], "b int, p bigint, q bigint, r bigint, s bigint, want boolean")
+    assert d.where(line_dedup.first_shared(F.col("b"), (F.col("p"), F.col("q")), (F.col("r"), F.col("s"))) != F.col("want")).count() == 0
+
+
 def test_bound_by_the_hub_is_lossless(spark):
     """What bitmaps against a third line say of two lines' overlap is never too little."""
     r = random.Random(6)
