@@ -7,6 +7,7 @@ from critgraph import queries as Q
 #: At a multiply of 5 and a memory access of 6 cycles: what distinguishes a row -> its length.
 WANT = {
     "crack_example": {("whole", "C1"): 13, ("cracked", "C1"): 9},
+    "fu_blocking": {("blocking", "E0"): 6, ("blocking", "E1"): 11, ("blocking", "E2"): 16},
 }
 KEYS = {"toy_path": ("src", "dst", "w"), "toy_sql_path": ("dst_seq", "dst_stage", "cp")}
 
