@@ -8,6 +8,7 @@ from critgraph import queries as Q
 WANT = {
     "crack_example": {("whole", "C1"): 13, ("cracked", "C1"): 9},
     "fu_blocking": {("blocking", "E0"): 6, ("blocking", "E1"): 11, ("blocking", "E2"): 16},
+    "fu_depth": {("unlimited", "M4"): 10, ("depth 3", "M4"): 13, ("depth 3", "M3"): 17},
 }
 KEYS = {"toy_path": ("src", "dst", "w"), "toy_sql_path": ("dst_seq", "dst_stage", "cp")}
 
