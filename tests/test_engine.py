@@ -66,7 +66,7 @@ def test_hazard_lengths(spark):
 
 
 def test_misprediction_grows_by_dispatch_execution_and_fetch(spark):
-    got = {r["case_name"]: r["cycles"] for r in toys.case_cycles(spark, Q.BRANCH).collect()}
+    got = {r["case_name"]: r["cycles"] for r in toys.case_cycles(spark, {"right": toys.branch(False), "wrong": toys.branch(True)}).collect()}
     assert got["wrong"] - got["right"] == 2 + 1 + (4 - 1)
 
 
