@@ -11,6 +11,7 @@ WANT = {
     "fu_depth": {("unlimited", "M4"): 10, ("depth 3", "M4"): 13, ("depth 3", "M3"): 17},
     "fu_pipelined": {("pipelined", "E0"): 6, ("pipelined", "E1"): 7, ("pipelined", "E2"): 8},
     "spec_branch": {("right", "C1"): 7, ("wrong", "C1"): 16},
+    "toy_base": {("base",): 15},
 }
 KEYS = {"toy_path": ("src", "dst", "w"), "toy_sql_path": ("dst_seq", "dst_stage", "cp")}
 
