@@ -12,6 +12,7 @@ WANT = {
     "fu_pipelined": {("pipelined", "E0"): 6, ("pipelined", "E1"): 7, ("pipelined", "E2"): 8},
     "spec_branch": {("right", "C1"): 7, ("wrong", "C1"): 16},
     "toy_base": {("base",): 15},
+    "toy_fused": {("fused, second register",): 11, ("fused, one register",): 14},
 }
 KEYS = {"toy_path": ("src", "dst", "w"), "toy_sql_path": ("dst_seq", "dst_stage", "cp")}
 
