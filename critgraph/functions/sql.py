@@ -31,14 +31,15 @@ def geo_mean(v: pd.Series) -> float:
     return float(np.exp(np.log(v.clip(lower=1e-6)).mean())) if len(v) else float("nan")
 
 
-@udtf(returnType="src_seq bigint, src_stage string, dst_seq bigint, dst_stage string, kind string, w int, cp bigint")
+@udtf(returnType="program_id int, src_seq bigint, src_stage string, dst_seq bigint, dst_stage string, kind string, w int, cp bigint")
 class CriticalPath:
     """The longest path of a partition's edges: TABLE(edges) PARTITION BY program_id ORDER BY dst_seq."""
 
     def __init__(self):
-        self.rows = []
+        self.rows, self.program = [], None
 
     def eval(self, row):
+        self.program = row["program_id"]
         self.rows.append((row["src_seq"], row["src_stage"], row["dst_seq"], row["dst_stage"], row["kind"], row["w"]))
 
     def terminate(self):
@@ -65,7 +66,8 @@ class CriticalPath:
         while v in via:
             path.append((*via[v], at[v]))
             v = via[v][:2]
-        yield from reversed(path)
+        for r in reversed(path):
+            yield self.program, *r
 
 
 def register(spark: SparkSession) -> None:
