@@ -16,6 +16,7 @@ WANT = {
     "toy_path": {("M0", "E2"): 6, ("E2", "E3"): 5, ("M0", "M1"): 5},
     "toy_sql_path": {(3, "C"): 15},
     "toy_whatif": {("base",): 15, ("fast multiply",): 15, ("second register",): 15, ("both",): 12},
+    "toy_without_mul": {("without multiplier",): 15},
 }
 KEYS = {"toy_path": ("src", "dst", "w"), "toy_sql_path": ("dst_seq", "dst_stage", "cp")}
 
