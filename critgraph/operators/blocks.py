@@ -7,12 +7,18 @@ block graph with its inserted READ, MOV and NULL instructions.
 
 from __future__ import annotations
 
+from array import array
+from collections.abc import Iterator
+
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from critgraph import schemas
 from critgraph.configs import LATENCY, P_EDGE
-from critgraph.operators.runs import _grouped
+from critgraph.operators.runs import arrow_types, kernel_columns
+from critgraph.runtime import ship
 
 MOST = 128  # instructions of a block
 TARGETS = 2  # consumers an instruction can name
@@ -134,26 +140,60 @@ def chains(trace: DataFrame) -> DataFrame:
 
 
 class BlockProgram:
-    """A program as blocks with inserted instructions, its costs by seeded statistics."""
-
-    def __init__(self, cols: dict[str, list], program: int, form: str):
-        self.form = form
-        groups: dict[int, list[int]] = {}
-        for i, b in enumerate(cols["block_no"]):
-            groups.setdefault(b, []).append(i)
-        self.blocks, self.op, self.parents, self.where = [], [], [], []
-        self.delay: list[int] = []
-        self.miss: list[bool] = []
-        self.output: set[int] = set()  # what the block's commit waits for: branches, stores, register writes
-        writer: dict[int, int] = {}
-        store: dict[int, int] = {}
-        for b in sorted(groups):
-            rows = groups[b]
-            for at in range(0, len(rows), MOST):
-                self._block(cols, program, rows[at : at + MOST], writer, store)
+    """A program as blocks with inserted instructions, its costs by seeded statistics.
+
+    Rows are fed in pieces, blocks one after the other; what is kept of an instruction are some 60 bytes in arrays,
+    and the encodings share all but their delays.
+    """
+
+    def __init__(self, cols: dict[str, list] | None, program: int, *forms: str):
+        self.forms, self.program = forms or FORMATS, program
+        self.op: list[str] = []
+        self.up = tuple(array("i") for _ in range(3))  # parents, -1 for none
+        self.where, self.starts = array("i"), array("i", [0])
+        self.delays = {f: array("i") for f in self.forms}
+        self.miss = bytearray()
+        self.needed = bytearray()  # what the block's commit waits for: branches, stores, register writes
+        self.held: dict[str, list] = {}
+        self.writer: dict[int, int] = {}
+        self.store: dict[int, int] = {}
+        if cols is not None:
+            order = sorted(range(len(cols["op"])), key=lambda i: cols["block_no"][i])
+            self.feed({k: [v[i] for i in order] for k, v in cols.items()})
+            self.close()
+
+    @property
+    def n_blocks(self) -> int:
+        return len(self.starts) - 1
+
+    @property
+    def output(self) -> set[int]:
+        return {k for k, x in enumerate(self.needed) if x}
+
+    def parents(self, k: int) -> list[int]:
+        return [u[k] for u in self.up if u[k] >= 0]
+
+    def feed(self, cols: dict[str, list]) -> None:
+        """The next rows, in order of block and seq; rows of a block that may go on are held."""
+        if self.held:
+            cols = {k: self.held[k] + v for k, v in cols.items()}
+        b, at = cols["block_no"], 0
+        while at < len(b):
+            to = at + 1
+            while to < len(b) and b[to] == b[at] and to - at < MOST:
+                to += 1
+            if to == len(b) and to - at < MOST:
+                break
+            self._block(cols, self.program, range(at, to), self.writer, self.store)
+            at = to
+        self.held = {k: v[at:] for k, v in cols.items()}
+
+    def close(self) -> None:
+        if self.held and self.held["op"]:
+            self._block(self.held, self.program, range(len(self.held["op"])), self.writer, self.store)
+        self.held, self.writer, self.store = {}, {}, {}
 
     def _block(self, cols, program, rows, writer, store) -> None:
-        start = len(self.op)
         local: dict[int, int] = {}
         uses: dict[int, int] = {}  # targets that a result has taken
         mine: list[tuple[int, int | None]] = []
@@ -170,9 +210,11 @@ class BlockProgram:
 
         def add(op, parents, miss=False, seq=None):
             self.op.append(op)
-            self.parents.append(parents)
+            for j, u in enumerate(self.up):
+                u.append(parents[j] if j < len(parents) else -1)
             self.miss.append(miss)
-            self.where.append(len(self.blocks))
+            self.needed.append(False)
+            self.where.append(self.n_blocks)
             mine.append((len(self.op) - 1, seq))
             return len(self.op) - 1
 
@@ -203,20 +245,21 @@ class BlockProgram:
                 local[cols["dst"][i]] = k
                 left[k] = wanted.get(i, 0)
             if op in ("BRANCH", "STORE") or cols["dst"][i] is not None:
-                self.output.add(k)
+                self.needed[k] = True
         if cols.get("predicated") and cols["predicated"][rows[0]]:
             reg = [sum(cols["dst"][i] is not None for i in rows[j::2]) for j in (0, 1)]
             mem = [sum(schemas.OPS[cols["op"][i]] == "STORE" for i in rows[j::2]) for j in (0, 1)]
             for _ in range(abs(reg[0] - reg[1]) + abs(mem[0] - mem[1])):
-                self.output.add(add("NULL", []))
+                self.needed[add("NULL", [])] = True
         for reg, v in local.items():
             if self.op[v] != "READ":
                 writer[reg] = v
-        self.blocks.append((start, len(self.op)))
-        self._delays(mine, uses)
+        self.starts.append(len(self.op))
+        for form in self.forms:
+            self._delays(mine, uses, form)
 
-    def _delays(self, mine, uses) -> None:
-        """Arrival cycles of this block's instructions in its encoding."""
+    def _delays(self, mine, uses, form: str) -> None:
+        """Arrival cycles of this block's instructions in an encoding."""
         per = P_EDGE["bytes_per_cycle"]
         t = [2 if uses.get(k, 0) > 1 else 0 for k, _ in mine]
         o = [1 if self.op[k].startswith("FP") or self.op[k] == "INT_DIV" else 0 for k, _ in mine]
@@ -224,44 +267,46 @@ class BlockProgram:
         n, ct, co, cv, st, so = len(mine), 0, 0, 0, sum(t), sum(o)
         for j in range(n):
             ct, co, cv = ct + t[j], co + o[j], cv + v[j]
-            if self.form.startswith("contiguous"):
+            if form.startswith("contiguous"):
                 d = 2 * (j + 1) + ct + co + cv
-            elif self.form == "2seg":
+            elif form == "2seg":
                 d = max(2 * (j + 1), 2 * n + ct + co + cv if t[j] + o[j] + v[j] else 0)
             else:
                 d = max(2 * (j + 1), 2 * n + ct if t[j] else 0, 2 * n + st + co if o[j] else 0, 2 * n + st + so + cv if v[j] else 0)
-            self.delay.append(-(-(HEADER + d) // per) + (1 if self.form.endswith("+1") else 0))
+            self.delays[form].append(-(-(HEADER + d) // per) + (1 if form.endswith("+1") else 0))
 
-    def run(self) -> int:
+    def run(self, form: str = "") -> int:
         """Cycles, with issue by readiness on limited units (two passes: order, then lengths)."""
         n = len(self.op)
-        lat = [LATENCY[o] + (0 if o != "LOAD" else (P_EDGE["hit"] if (7919 * k + 13) % 100 < P_EDGE["dhit_pct"] else P_EDGE["miss"])) for k, o in enumerate(self.op)]
+        lat = array("i", (LATENCY[o] + (0 if o != "LOAD" else (P_EDGE["hit"] if (7919 * k + 13) % 100 < P_EDGE["dhit_pct"] else P_EDGE["miss"])) for k, o in enumerate(self.op)))
         unit = {"LOAD": "LSU", "STORE": "LSU", "BRANCH": "INT_ALU", "READ": "INT_ALU", "MOV": "INT_ALU", "NULL": "INT_ALU"}
-        self.lat = lat
+        self.lat, self.delay = lat, self.delays[form or self.forms[0]]
         base = self._lengths(lat, range(n), None)
-        order = sorted(range(n), key=lambda k: (base[k], k))
+        order = array("q", np.argsort(np.frombuffer(base, np.int64), kind="stable").astype(np.int64).tobytes())
+        del base
         self._lengths(lat, order, unit)
-        return self.BC[-1] if self.blocks else 0
-
-    def _lengths(self, lat, order, unit) -> list[int]:
-        n, nb = len(self.op), len(self.blocks)
-        E: list = [None] * n
-        BF, BC = [None] * nb, [None] * nb
-        self.fu = [-1] * n
+        return self.BC[-1] if self.n_blocks else 0
+
+    def _lengths(self, lat, order, unit) -> array:
+        """Times are not negative: -1 stands for one not known yet."""
+        n, nb, starts, needed = len(self.op), self.n_blocks, self.starts, self.needed
+        unknown = lambda k: array("q", [-1]) * k
+        E, BF, BC = unknown(n), unknown(nb), unknown(nb)
+        self.fu = array("i", [-1]) * n
         rings: dict[str, list[int]] = {}
-        segments = [-(-(e - s) // P_EDGE["segment"]) for s, e in self.blocks]
-        fetch = [P_EDGE["hit"] if (104729 * b + 7) % 100 < P_EDGE["ihit_pct"] else P_EDGE["miss"] for b in range(nb)]
-        self.fetch, self.full = fetch, [-1] * nb
+        segments = array("i", (-(-(starts[b + 1] - starts[b]) // P_EDGE["segment"]) for b in range(nb)))
+        fetch = array("i", (P_EDGE["hit"] if (104729 * b + 7) % 100 < P_EDGE["ihit_pct"] else P_EDGE["miss"] for b in range(nb)))
+        self.fetch, self.full = fetch, array("i", [-1]) * nb
+        up1, up2, up3 = self.up
         ready_front = ready_back = 0
 
         def commit_one() -> bool:
             nonlocal ready_back
             b = ready_back
-            s, e = self.blocks[b]
-            needed = [k for k in range(s, e) if k in self.output]
-            if BF[b] is None or any(E[k] is None for k in needed):
+            awaited = [k for k in range(starts[b], starts[b + 1]) if needed[k]]
+            if BF[b] < 0 or any(E[k] < 0 for k in awaited):
                 return False
-            t = max((E[k] + lat[k] for k in needed), default=BF[b])
+            t = max((E[k] + lat[k] for k in awaited), default=BF[b])
             if b:
                 t = max(t, BC[b - 1] + self._commit(b - 1))
             BC[b] = t
@@ -273,8 +318,7 @@ class BlockProgram:
             b = ready_front
             t = 0
             if b:
-                s, e = self.blocks[b - 1]
-                wrong = [k for k in range(s, e) if self.miss[k]]
+                wrong = [k for k in range(starts[b - 1], starts[b]) if self.miss[k]]
                 t = max((E[k] + lat[k] for k in wrong), default=BF[b - 1]) + fetch[b]
                 room, j = 4 - segments[b], b - 1
                 while j >= 0 and room >= segments[j]:
@@ -294,8 +338,10 @@ class BlockProgram:
             while ready_front <= b:
                 front_one()
             t = BF[b] + self.delay[k]
-            s = self.blocks[b][0]
-            for w in self.parents[k]:
+            s = starts[b]
+            for w in (up1[k], up2[k], up3[k]):
+                if w < 0:
+                    continue
                 cross = self.where[w] == b and (w - s) // P_EDGE["segment"] != (k - s) // P_EDGE["segment"]
                 t = max(t, E[w] + lat[w] + cross)
             if unit is not None:
@@ -314,82 +360,110 @@ class BlockProgram:
         return E
 
     def _commit(self, b: int) -> int:
-        s, e = self.blocks[b]
+        s, e = self.starts[b], self.starts[b + 1]
         stores = sum(self.op[k] == "STORE" for k in range(s, e))
         writes = sum(self.op[k] not in ("STORE", "BRANCH", "NULL") for k in range(s, e))
         return max(-(-stores // P_EDGE["stores_per_cycle"]), -(-writes // P_EDGE["writes_per_cycle"]))
 
-    def path(self) -> list[tuple[str, str, int]]:
-        """(class, term, cycles) of the critical path, last first; class BLOCK for block events."""
-        out, b, k = [], len(self.blocks) - 1, None
+    def path(self) -> Iterator[tuple[str, str, int]]:
+        """(class, term, cycles) of the critical path of the last run, last first; class BLOCK for block events."""
+        b, k, starts = self.n_blocks - 1, None, self.starts
         state = "BC"
         lat = self.lat
         while True:
             if state == "BC":
-                s, e = self.blocks[b]
-                k = max((j for j in range(s, e) if j in self.output), key=lambda j: (self.E[j] + lat[j], j), default=None)
+                k = max((j for j in range(starts[b], starts[b + 1]) if self.needed[j]), key=lambda j: (self.E[j] + lat[j], j), default=None)
                 if k is not None and self.E[k] + lat[k] == self.BC[b]:
-                    out.append((self.op[k], "execute", lat[k]))
+                    yield self.op[k], "execute", lat[k]
                     state = "E"
                 elif self.BF[b] == self.BC[b]:
                     state = "BF"
                 else:
-                    out.append(("BLOCK", "block_commit", self._commit(b - 1)))
+                    yield "BLOCK", "block_commit", self._commit(b - 1)
                     b -= 1
             elif state == "E":
                 b = self.where[k]
-                s = self.blocks[b][0]
-                for w in sorted(self.parents[k], reverse=True):
+                s = starts[b]
+                for w in sorted(self.parents(k), reverse=True):
                     cross = int(self.where[w] == b and (w - s) // P_EDGE["segment"] != (k - s) // P_EDGE["segment"])
                     if self.E[w] + lat[w] + cross == self.E[k]:
-                        out.append((self.op[w], "execute", lat[w]))
+                        yield self.op[w], "execute", lat[w]
                         if cross:
-                            out.append((self.op[k], "cross_segment", cross))
+                            yield self.op[k], "cross_segment", cross
                         k = w
                         break
                 else:
                     w = self.fu[k]
                     if self.BF[b] + self.delay[k] == self.E[k]:
-                        out.append((self.op[k], "decode", self.delay[k]))
+                        yield self.op[k], "decode", self.delay[k]
                         state = "BF"
                     elif w >= 0:
-                        out.append((self.op[k], "fu_wait", self.E[k] - self.E[w]))
+                        yield self.op[k], "fu_wait", self.E[k] - self.E[w]
                         k = w
                     else:
-                        return out
+                        return
             else:
                 if not b:
-                    return out
-                s, e = self.blocks[b - 1]
-                wrong = [j for j in range(s, e) if self.miss[j]]
+                    return
+                wrong = [j for j in range(starts[b - 1], starts[b]) if self.miss[j]]
                 if self.full[b] >= 0 and self.BC[self.full[b]] == self.BF[b]:
                     b, state = self.full[b], "BC"
                 elif wrong:
                     k = max(wrong, key=lambda j: (self.E[j] + lat[j], j))
-                    out += [("BLOCK", "fetch", self.fetch[b]), (self.op[k], "execute", lat[k])]
+                    yield "BLOCK", "fetch", self.fetch[b]
+                    yield self.op[k], "execute", lat[k]
                     state = "E"
                 else:
-                    out.append(("BLOCK", "fetch", self.fetch[b]))
+                    yield "BLOCK", "fetch", self.fetch[b]
                     b -= 1
 
 
+def _streamed(trace: DataFrame, forms: tuple[str, ...], fn, schema: str) -> DataFrame:
+    """``fn`` (program number, BlockProgram) -> rows, once a program: its rows stream in, sorted by block."""
+    ship(trace.sparkSession)
+    names, types = [x.strip().split()[0] for x in schema.split(",")], arrow_types(schema)
+    read = ("op", "seq", "src1", "src2", "dst", "addr", "block_no", "predicated")
+
+    def batch(p: BlockProgram) -> pa.RecordBatch:
+        p.close()
+        cols = list(zip(*fn(p.program, p))) or [[]] * len(names)
+        return pa.record_batch([pa.array(c, t) for c, t in zip(cols, types)], names=names)
+
+    def run(batches):
+        p = None
+        for b in batches:
+            ids = b.column("program_id").to_numpy(zero_copy_only=False)
+            cuts = [0, *(np.flatnonzero(ids[1:] != ids[:-1]) + 1).tolist(), len(ids)]
+            for lo, hi in zip(cuts, cuts[1:]):
+                if lo == hi:
+                    continue
+                if p is None or p.program != int(ids[lo]):
+                    if p is not None:
+                        yield batch(p)
+                    p = BlockProgram(None, int(ids[lo]), *forms)
+                p.feed({k: b.column(k).slice(lo, hi - lo).to_pylist() for k in read})
+        if p is not None:
+            yield batch(p)
+
+    d = kernel_columns(_filled(trace), "block_no", "predicated").select("program_id", *read)
+    return d.repartition("program_id").sortWithinPartitions("program_id", "block_no", "seq").mapInArrow(run, schema)
+
+
 def run_blocks(trace: DataFrame, formats: tuple[str, ...] = FORMATS) -> DataFrame:
     """(program_id, format, cycles, instrs, blocks) of each encoding."""
 
-    def fn(program, cols):
+    def fn(program, p):
         for f in formats:
-            p = BlockProgram(cols, program, f)
-            yield program, f, p.run(), len(p.op), len(p.blocks)
+            yield program, f, p.run(f), len(p.op), p.n_blocks
 
-    return _grouped(_filled(trace), fn, "program_id int, format string, cycles bigint, instrs bigint, blocks bigint", "block_no", "predicated")
+    return _streamed(trace, formats, fn, "program_id int, format string, cycles bigint, instrs bigint, blocks bigint")
 
 
 def path_mix(trace: DataFrame, form: str = "4seg") -> DataFrame:
     """(program_id, class, term, instrs, cycles) along the critical path of a block program."""
 
-    def fn(program, cols):
-        p = BlockProgram(cols, program, form)
-        if not p.blocks:
+    def fn(program, p):
+        if not p.n_blocks:
             return
         p.run()
         total: dict[tuple[str, str], list[int]] = {}
@@ -400,7 +474,7 @@ def path_mix(trace: DataFrame, form: str = "4seg") -> DataFrame:
         for (c, term), (k, cycles) in sorted(total.items()):
             yield program, c, term, k, cycles
 
-    return _grouped(_filled(trace), fn, "program_id int, class string, term string, instrs bigint, cycles bigint", "block_no", "predicated")
+    return _streamed(trace, (form,), fn, "program_id int, class string, term string, instrs bigint, cycles bigint")
 
 
 def shares(paths: DataFrame) -> DataFrame:
