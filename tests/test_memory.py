@@ -2,8 +2,10 @@
 
 import tracemalloc
 
+import pytest
+
+from critgraph import queries as Q
 from critgraph.operators import blocks
-from critgraph.sources import traces
 
 
 def _rows(n: int, first: int = 0) -> dict[str, list]:
@@ -31,3 +33,9 @@ def test_block_program_fed_in_pieces_is_small():
     most = tracemalloc.get_traced_memory()[1] / len(q.op)
     tracemalloc.stop()
     assert most < 130  # bytes an instruction, pieces and both passes included
+
+
+@pytest.mark.parametrize("name", ["block_format_gains"])
+def test_block_queries_hold_no_program_as_a_group(spark, sf, name):
+    plan = Q.QUERIES[name](spark, sf)._jdf.queryExecution().executedPlan().toString()
+    assert "MapInArrow" in plan and "FlatMapGroups" not in plan
