@@ -35,7 +35,7 @@ def test_block_program_fed_in_pieces_is_small():
     assert most < 130  # bytes an instruction, pieces and both passes included
 
 
-@pytest.mark.parametrize("name", ["block_format_gains", "block_formats", "block_path_mix"])
+@pytest.mark.parametrize("name", ["block_format_gains", "block_formats", "block_path_mix", "block_path_shares"])
 def test_block_queries_hold_no_program_as_a_group(spark, sf, name):
     plan = Q.QUERIES[name](spark, sf)._jdf.queryExecution().executedPlan().toString()
     assert "MapInArrow" in plan and "FlatMapGroups" not in plan
