@@ -5,7 +5,8 @@ import tracemalloc
 import pytest
 
 from critgraph import queries as Q
-from critgraph.operators import blocks
+from critgraph.configs import P_INO
+from critgraph.operators import blocks, runs
 
 
 def _rows(n: int, first: int = 0) -> dict[str, list]:
@@ -39,3 +40,14 @@ def test_block_program_fed_in_pieces_is_small():
 def test_block_queries_hold_no_program_as_a_group(spark, sf, name):
     plan = Q.QUERIES[name](spark, sf)._jdf.queryExecution().executedPlan().toString()
     assert "MapInArrow" in plan and "FlatMapGroups" not in plan
+
+
+def test_vector_sweep_is_fed_in_pieces():
+    n = 60_000
+    cols = _rows(n) | {"imem": [1] * n, "dmem": [2] * n, "miss": [k % 97 == 0 for k in range(n)], "pc": [0] * n}
+    lanes = [P_INO.edit(decode=1 + k % 3) for k in range(32)]
+    tracemalloc.start()
+    runs.swept(lanes, cols)
+    most = tracemalloc.get_traced_memory()[1]
+    tracemalloc.stop()
+    assert most < 60 << 20  # a matrix of the whole program alone takes 15 MB, and the sweep has many
