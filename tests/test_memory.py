@@ -6,7 +6,7 @@ import pytest
 
 from critgraph import queries as Q
 from critgraph.configs import P_INO
-from critgraph.operators import blocks, runs
+from critgraph.operators import blocks, graph, runs
 
 
 def _rows(n: int, first: int = 0) -> dict[str, list]:
@@ -51,3 +51,8 @@ def test_vector_sweep_is_fed_in_pieces():
     most = tracemalloc.get_traced_memory()[1]
     tracemalloc.stop()
     assert most < 60 << 20  # a matrix of the whole program alone takes 15 MB, and the sweep has many
+
+
+def test_validity_searches_no_program_without_a_backward_edge(spark, sf, monkeypatch):
+    monkeypatch.setattr(graph, "peel", lambda e: pytest.fail("nothing leads back"))
+    assert Q.graph_valid(spark, sf).collect() == []
