@@ -6,7 +6,7 @@ import pytest
 
 from critgraph import queries as Q
 from critgraph.configs import P_INO
-from critgraph.operators import blocks, graph, runs
+from critgraph.operators import blocks, graph, kernels, runs
 
 
 def _rows(n: int, first: int = 0) -> dict[str, list]:
@@ -56,3 +56,17 @@ def test_vector_sweep_is_fed_in_pieces():
 def test_validity_searches_no_program_without_a_backward_edge(spark, sf, monkeypatch):
     monkeypatch.setattr(graph, "peel", lambda e: pytest.fail("nothing leads back"))
     assert Q.graph_valid(spark, sf).collect() == []
+
+
+def test_slacks_leave_as_they_are_made():
+    n = 20_000
+    cols = _rows(n) | {"imem": [1] * n, "dmem": [2] * n, "miss": [k % 97 == 0 for k in range(n)], "pc": [0] * n}
+    p = kernels.Program(cols, P_INO)
+    end = kernels.run(p)
+    tracemalloc.start()
+    edges, least = 0, end
+    for *_, spare in runs.edge_slacks(p, end):
+        edges, least = edges + 1, min(least, spare)
+    most = tracemalloc.get_traced_memory()[1]
+    tracemalloc.stop()
+    assert least == 0 and edges > 8 * n and most < 200 * n  # bytes: a list of the edges takes over 1,000 an instruction
