@@ -6,7 +6,8 @@ import pytest
 
 from critgraph import queries as Q
 from critgraph.configs import P_INO
-from critgraph.operators import blocks, graph, kernels, runs
+from critgraph.operators import blocks, graph, kernels, runs, valuepred
+from critgraph.sources import traces
 
 
 def _rows(n: int, first: int = 0) -> dict[str, list]:
@@ -70,3 +71,22 @@ def test_slacks_leave_as_they_are_made():
     most = tracemalloc.get_traced_memory()[1]
     tracemalloc.stop()
     assert least == 0 and edges > 8 * n and most < 200 * n  # bytes: a list of the edges takes over 1,000 an instruction
+
+
+def test_both_sweeps_read_the_trace_once(spark, sf):
+    t = traces.from_lineitem(spark, sf).where("program_id < 4")
+    rows = lambda d: sorted(tuple(r) for r in d.collect())
+    both = valuepred.both_sweeps(t, Q.P_OOO)
+    assert rows(both) == rows(valuepred.critical_sweep(t, Q.P_OOO).unionByName(valuepred.random_sweep(t, Q.P_OOO)))
+    plan = Q.vp_knee(spark, sf)._jdf.queryExecution().optimizedPlan().toString()
+    assert "FlatMapGroupsInArrow" not in plan  # the sweeps are written once and read twice
+
+
+def test_one_loop_gives_the_general_schedule():
+    n = 3000
+    cols = _rows(n) | {"imem": [k % 16 == 0 for k in range(n)], "dmem": [20 if k % 11 == 0 else 2 for k in range(n)], "miss": [k % 97 == 0 for k in range(n)], "pc": [0] * n}
+    for m in (Q.P_OOO, Q.P_OOO.edit(window=16, predicted_permille=400), Q.P_OOO.edit(predicted_permille=400, predict_penalty=7)):
+        a, b = kernels.Program(cols, m), kernels.Program(cols, m)
+        kernels.sliding_active(a, m.window)
+        kernels.sliding_updated(b, m.window)
+        assert (a.F, a.D, a.E, a.C) == (b.F, b.D, b.E, b.C)
