@@ -139,19 +139,44 @@ def chains(trace: DataFrame) -> DataFrame:
 # -- evaluation ---------------------------------------------------------------------------
 
 
+class Names:
+    """Operation names in a byte each."""
+
+    def __init__(self):
+        self.codes = bytearray()
+
+    def append(self, name: str) -> None:
+        self.codes.append(schemas.CODE[name])
+
+    def count(self, name: str) -> int:
+        return self.codes.count(schemas.CODE[name])
+
+    def __len__(self) -> int:
+        return len(self.codes)
+
+    def __getitem__(self, k: int) -> str:
+        return schemas.OPS[self.codes[k]]
+
+    def __iter__(self) -> Iterator[str]:
+        return map(schemas.OPS.__getitem__, self.codes)
+
+    def __eq__(self, other) -> bool:
+        return self.codes == other.codes
+
+
 class BlockProgram:
     """A program as blocks with inserted instructions, its costs by seeded statistics.
 
-    Rows are fed in pieces, blocks one after the other; what is kept of an instruction are some 60 bytes in arrays,
-    and the encodings share all but their delays.
+    Rows are fed in pieces, blocks one after the other; what is kept of an instruction are some 20 bytes in arrays and two more
+    an encoding, and some 20 while it is run; the encodings share all but their delays.
     """
 
     def __init__(self, cols: dict[str, list] | None, program: int, *forms: str):
         self.forms, self.program = forms or FORMATS, program
-        self.op: list[str] = []
+        self.op = Names()
         self.up = tuple(array("i") for _ in range(3))  # parents, -1 for none
         self.where, self.starts = array("i"), array("i", [0])
-        self.delays = {f: array("i") for f in self.forms}
+        self.delays = {f: array("H") for f in self.forms}
         self.miss = bytearray()
         self.needed = bytearray()  # what the block's commit waits for: branches, stores, register writes
         self.held: dict[str, list] = {}
@@ -281,9 +306,11 @@ class BlockProgram:
         lat = array("i", (LATENCY[o] + (0 if o != "LOAD" else (P_EDGE["hit"] if (7919 * k + 13) % 100 < P_EDGE["dhit_pct"] else P_EDGE["miss"])) for k, o in enumerate(self.op)))
         unit = {"LOAD": "LSU", "STORE": "LSU", "BRANCH": "INT_ALU", "READ": "INT_ALU", "MOV": "INT_ALU", "NULL": "INT_ALU"}
         self.lat, self.delay = lat, self.delays[form or self.forms[0]]
-        base = self._lengths(lat, range(n), None)
-        order = array("q", np.argsort(np.frombuffer(base, np.int64), kind="stable").astype(np.int64).tobytes())
-        del base
+        self.E = self.BF = self.BC = self.fu = None  # of the run before
+        self._lengths(lat, range(n), None)
+        order = np.argsort(np.frombuffer(self.E, np.int64), kind="stable")
+        self.E = self.BF = self.BC = self.fu = None
+        order = memoryview(order.astype(np.int32) if n < 1 << 31 else order)
         self._lengths(lat, order, unit)
         return self.BC[-1] if self.n_blocks else 0
 
@@ -292,7 +319,7 @@ class BlockProgram:
         n, nb, starts, needed = len(self.op), self.n_blocks, self.starts, self.needed
         unknown = lambda k: array("q", [-1]) * k
         E, BF, BC = unknown(n), unknown(nb), unknown(nb)
-        self.fu = array("i", [-1]) * n
+        self.fu = array("i", [-1]) * n if unit is not None else None
         rings: dict[str, list[int]] = {}
         segments = array("i", (-(-(starts[b + 1] - starts[b]) // P_EDGE["segment"]) for b in range(nb)))
         fetch = array("i", (P_EDGE["hit"] if (104729 * b + 7) % 100 < P_EDGE["ihit_pct"] else P_EDGE["miss"] for b in range(nb)))

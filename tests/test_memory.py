@@ -90,3 +90,18 @@ def test_one_loop_gives_the_general_schedule():
         kernels.sliding_active(a, m.window)
         kernels.sliding_updated(b, m.window)
         assert (a.F, a.D, a.E, a.C) == (b.F, b.D, b.E, b.C)
+
+
+@pytest.mark.parametrize("forms", [("4seg",), blocks.FORMATS])
+def test_block_program_keeps_no_run_but_the_last(forms):
+    q = blocks.BlockProgram(None, 4, *forms)
+    for at in range(0, 20000, 2000):
+        q.feed(_rows(2000, at))
+    q.close()
+    tracemalloc.start()
+    for f in (*forms, forms[0]):
+        q.run(f)
+    most = tracemalloc.get_traced_memory()[1] / len(q.op)
+    tracemalloc.stop()
+    assert most < 36  # bytes an instruction that runs take at most: lengths of one run and its order
+    assert q.op.codes and sum(a.itemsize for a in (*q.up, q.where, *q.delays.values())) == 16 + 2 * len(forms)
