@@ -13,7 +13,8 @@ from collections import deque
 from collections.abc import Callable, Iterator
 
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
+from pyspark.sql.functions import row_number
 
 from critgraph.configs import Machine
 from critgraph.operators.runs import arrow_types, kernel_columns, pieces
@@ -294,6 +295,12 @@ class TwoPass:
         return self.most
 
 
+def in_order(columns: DataFrame) -> DataFrame:
+    """Rows dealt by program and sorted by seq: a window over them asks for both, and where the trace's own windows have
+    dealt and sorted them so, Spark does neither again (``repartition`` would)."""
+    return columns.withColumn("_n", row_number().over(Window.partitionBy("program_id").orderBy("seq"))).where("_n > 0").drop("_n")
+
+
 def cycles(trace: DataFrame, sweep: Callable[[], Longest | TwoPass]) -> DataFrame:
     """(program_id, lane, cycles) of the explicit graph, a lane a scenario of the sweep: one pass over the sorted trace."""
     ship(trace.sparkSession)
@@ -311,4 +318,4 @@ def cycles(trace: DataFrame, sweep: Callable[[], Longest | TwoPass]) -> DataFram
             out += [(at, k, c) for k, c in enumerate(now.cycles())]
         yield pa.record_batch([pa.array(c, t) for c, t in zip(list(zip(*out)) or [[]] * 3, arrow_types(schema))], names=["program_id", "lane", "cycles"])
 
-    return kernel_columns(trace).repartition("program_id").sortWithinPartitions("program_id", "seq").mapInArrow(run, schema)
+    return in_order(kernel_columns(trace)).mapInArrow(run, schema)

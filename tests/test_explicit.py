@@ -9,6 +9,7 @@ from pyspark.sql import functions as F
 from critgraph import queries as Q
 from critgraph.configs import P_INO, P_OOO
 from critgraph.operators import explicit, graph, kernels
+from critgraph.runtime import configured
 from critgraph.schemas import LOAD, OPS, STORE
 from critgraph.sources import traces
 
@@ -42,6 +43,14 @@ def test_no_edge_is_shuffled(spark, sf, name):
     assert "MapInArrow" in plan and "FlatMapGroups" not in plan and "Join" not in plan.split("MapInArrow")[0]
 
 
+@pytest.mark.parametrize("name", ["ooo_explicit", "fuse_trace", "value_speculation"])
+def test_lines_are_dealt_by_order_part_and_program_once(spark, sf, name):
+    with configured(spark, {"spark.sql.autoBroadcastJoinThreshold": "-1"}):
+        plan = Q.QUERIES[name](spark, sf)._jdf.queryExecution().executedPlan().toString()
+    assert plan.count("Exchange hashpartitioning(program_id") == 1 and "REPARTITION" not in plan
+    assert 0 < plan.index("SortMergeJoin [l_orderkey") < plan.index("SortMergeJoin [o_custkey")  # a join that comes later is made earlier
+
+
 @pytest.mark.parametrize("m", [P_INO, P_OOO])
 def test_edges_are_those_of_the_graph(spark, sf, m):
     t = traces.from_lineitem(spark, sf).where("program_id < 2").localCheckpoint()
